@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from meterpack.llm import decontaminate, quality, sharding, url_filter
-from meterpack.llm.common import sf_table
+from meterpack.llm import decontaminate, lm_score, mixing, near_dedup, pii, quality, secret_scan, sharding, token_counts, url_filter
+from meterpack.llm.common import sf_table, shared_dir
 
 URL_RULES = [("block", "com/en/"), ("allow", "example.com/en/7"), ("allow", "net/de/"), ("block", "example.net/de/8"), ("block", "org/es/")]
 SHARDS = 24
@@ -21,6 +23,10 @@ def op2_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.shard_documents(sf_table(spark, sf_dir, "documents"), SHARDS)
 
 
+def op3_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.personal_report(sf_table(spark, sf_dir, "documents"))
+
+
 def op4_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.quality_report(sf_table(spark, sf_dir, "documents"))
 
@@ -29,9 +35,61 @@ def op5_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.leak_report(sf_table(spark, sf_dir, "documents"), sf_table(spark, sf_dir, "benchmark"))
 
 
+def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All documents come in with counts estimated from n_chars, get their true counts by a revision (committed twice over,
+    as after a crash), are counted by a second tokenizer, and the toxic ones go again."""
+    docs = sf_table(spark, sf_dir, "documents")
+    toxic = sf_table(spark, sf_dir, "labels").where("toxic = 1").select("doc_id").distinct()
+    gone = docs.join(toxic, "doc_id", "left_semi")
+    ledger = token_counts.TokenLedger(spark, f"{shared_dir(spark)}/tokens-{uuid.uuid4().hex}")
+    guess = F.floor(F.coalesce("n_chars", F.lit(0)) / 6)
+    words, pieces = token_counts.words_v1(F.col("text")), token_counts.pieces_v1(F.col("text"))
+    ledger.commit("1-inserts", token_counts.changes(docs, "words-1", guess))
+    for _ in range(2):
+        ledger.commit("2-revisions", token_counts.revisions(docs, "words-1", guess, words))
+    ledger.commit("3-second-tokenizer", token_counts.changes(docs, "pieces-1", pieces))
+    ledger.commit("4-deletes", token_counts.changes(gone, "words-1", words, -1).union(token_counts.changes(gone, "pieces-1", pieces, -1)))
+    return ledger.totals()
+
+
+OP6_SQL = r"""
+WITH d AS (SELECT * FROM documents WHERE doc_id NOT IN (SELECT doc_id FROM labels WHERE toxic = 1)),
+     c AS (SELECT source, lang, 'words-1' AS tokenizer, len(regexp_extract_all(text, '[^\x20\x09-\x0D]+')) AS n FROM d
+           UNION ALL
+           SELECT source, lang, 'pieces-1', len(regexp_extract_all(text, '[A-Za-z]+|[0-9]+|[^A-Za-z0-9\x20\x09-\x0D]')) FROM d)
+SELECT source, lang, tokenizer, count(*) AS n_docs, CAST(sum(n) AS BIGINT) AS n_tokens FROM c GROUP BY ALL
+"""
+
+
+def op7_lm_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lm_score.score_documents(sf_table(spark, sf_dir, "documents"))
+
+
+def op8_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_dedup.near_duplicates(sf_table(spark, sf_dir, "documents"))
+
+
+def op9_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.mix(sf_table(spark, sf_dir, "documents"))
+
+
+def op10_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A document's source owns it; its language within the source is its repository."""
+    return secret_scan.scan_secrets(sf_table(spark, sf_dir, "documents"), repository=F.concat_ws("/", "source", "lang")).drop("found")
+
+
+OPERATORS = (op1_url_filter, op2_sharding, op3_personal_data, op4_quality_rules, op5_decontamination, op6_token_counts, op7_lm_scores, op8_near_duplicates, op9_mixing, op10_secret_scan)
+
+
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_url_filter, op2_sharding, op4_quality_rules, op5_decontamination)}
+    return {f.__name__: f for f in (*OPERATORS, pipeline)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op6_token_counts": OP6_SQL}
