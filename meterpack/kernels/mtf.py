@@ -5,6 +5,69 @@ from __future__ import annotations
 import numpy as np
 
 
+#: Alphabets above this go through a tree of recency instead of a list: log(n) steps a symbol instead of its rank.
+LARGE = 512
+
+
+class Recency:
+    """Marks on a line of slots, one a symbol, the front symbol on the highest; a Fenwick tree counts and finds them."""
+
+    def __init__(self, size: int, moves: int) -> None:
+        self.n = size + moves
+        self.tree = [0] * (self.n + 1)
+        for i in range(1, self.n + 1):
+            self.tree[i] += i <= size
+            up = i + (i & -i)
+            if up <= self.n:
+                self.tree[up] += self.tree[i]
+        self.size, self.next, self.top = size, size, 1 << (self.n.bit_length() - 1)
+
+    def upto(self, slot: int) -> int:
+        out, i, tree = 0, slot + 1, self.tree
+        while i:
+            out += tree[i]
+            i &= i - 1
+        return out
+
+    def move(self, slot: int) -> int:
+        """Takes the mark from this slot to a new one in front."""
+        tree, n = self.tree, self.n
+        for i, by in ((slot + 1, -1), (self.next + 1, 1)):
+            while i <= n:
+                tree[i] += by
+                i += i & -i
+        self.next += 1
+        return self.next - 1
+
+    def find(self, rank: int) -> int:
+        """The slot of the mark that has `rank` marks in front of it."""
+        want, i, step, tree, n = self.size - rank, 0, self.top, self.tree, self.n
+        while step:
+            if i + step <= n and tree[i + step] < want:
+                i += step
+                want -= tree[i]
+            step >>= 1
+        return i
+
+
+def _ranks(symbols: list[int], size: int) -> list[int]:
+    line, slot, out = Recency(size, len(symbols)), list(range(size - 1, -1, -1)), []
+    for s in symbols:
+        out.append(size - line.upto(slot[s]))
+        slot[s] = line.move(slot[s])
+    return out
+
+
+def _symbols(ranks: list[int], size: int) -> list[int]:
+    line, owner, out = Recency(size, len(ranks)), list(range(size - 1, -1, -1)) + [0] * len(ranks), []
+    for r in ranks:
+        slot = line.find(r)
+        s = owner[slot]
+        out.append(s)
+        owner[line.move(slot)] = s
+    return out
+
+
 def mtf(x: np.ndarray, alphabet: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
     """(ranks, alphabet). Runs are zeros but for their first symbol, so only run heads go through the list."""
     x = np.asarray(x, np.int64)
@@ -13,6 +76,9 @@ def mtf(x: np.ndarray, alphabet: np.ndarray | None = None) -> tuple[np.ndarray,
     if not len(x):
         return ranks, alphabet
     heads = np.flatnonzero(np.concatenate([[True], x[1:] != x[:-1]]))
+    if len(alphabet) > LARGE:
+        ranks[heads] = _ranks(np.searchsorted(alphabet, x[heads]).tolist() if (np.diff(alphabet) > 0).all() else [{int(a): i for i, a in enumerate(alphabet)}[s] for s in x[heads].tolist()], len(alphabet))
+        return ranks, alphabet
     table = alphabet.tolist()
     found = []
     for s in x[heads].tolist():
@@ -28,6 +94,11 @@ def mtf_inverse(ranks: np.ndarray, alphabet: np.ndarray) -> np.ndarray:
     ranks, table = np.asarray(ranks, np.int64), np.asarray(alphabet, np.int64).tolist()
     out = np.empty(len(ranks), np.int64)
     moves = np.flatnonzero(ranks)
+    if len(table) > LARGE:
+        places = np.zeros(len(ranks), np.int64)
+        places[moves] = np.arange(1, len(moves) + 1)
+        chosen = np.array([0, *_symbols(ranks[moves].tolist(), len(table))])
+        return np.array(table, np.int64)[chosen[np.maximum.accumulate(places)]]
     at = 0
     for i, r in zip(moves.tolist(), ranks[moves].tolist(), strict=True):
         out[at:i] = table[0] if i > at else 0
