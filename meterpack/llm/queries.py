@@ -40,15 +40,16 @@ def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     as after a crash), are counted by a second tokenizer, and the toxic ones go again."""
     docs = sf_table(spark, sf_dir, "documents")
     toxic = sf_table(spark, sf_dir, "labels").where("toxic = 1").select("doc_id").distinct()
-    gone = docs.join(toxic, "doc_id", "left_semi")
     ledger = token_counts.TokenLedger(spark, f"{shared_dir(spark)}/tokens-{uuid.uuid4().hex}")
     guess = F.floor(F.coalesce("n_chars", F.lit(0)) / 6)
     words, pieces = token_counts.words_v1(F.col("text")), token_counts.pieces_v1(F.col("text"))
+    # counted before the join, so that no text is shuffled; a semi join would be moved below the count
+    gone = docs.select("doc_id", "source", "lang", words.alias("words"), pieces.alias("pieces")).join(toxic, "doc_id")
     ledger.commit("1-inserts", token_counts.changes(docs, "words-1", guess))
     for _ in range(2):
         ledger.commit("2-revisions", token_counts.revisions(docs, "words-1", guess, words))
     ledger.commit("3-second-tokenizer", token_counts.changes(docs, "pieces-1", pieces))
-    ledger.commit("4-deletes", token_counts.changes(gone, "words-1", words, -1).union(token_counts.changes(gone, "pieces-1", pieces, -1)))
+    ledger.commit("4-deletes", token_counts.changes(gone, "words-1", F.col("words"), -1).union(token_counts.changes(gone, "pieces-1", F.col("pieces"), -1)))
     return ledger.totals()
 
 
