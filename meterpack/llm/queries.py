@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from meterpack.llm import decontaminate, lm_score, mixing, near_dedup, pii, quality, secret_scan, sharding, token_counts, url_filter
 from meterpack.llm.common import sf_table, shared_dir
+from meterpack.llm.oracles import SQL
 
 URL_RULES = [("block", "com/en/"), ("allow", "example.com/en/7"), ("allow", "net/de/"), ("block", "example.net/de/8"), ("block", "org/es/")]
 SHARDS = 24
@@ -53,15 +54,6 @@ def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ledger.totals()
 
 
-OP6_SQL = r"""
-WITH d AS (SELECT * FROM documents WHERE doc_id NOT IN (SELECT doc_id FROM labels WHERE toxic = 1)),
-     c AS (SELECT source, lang, 'words-1' AS tokenizer, len(regexp_extract_all(text, '[^\x20\x09-\x0D]+')) AS n FROM d
-           UNION ALL
-           SELECT source, lang, 'pieces-1', len(regexp_extract_all(text, '[A-Za-z]+|[0-9]+|[^A-Za-z0-9\x20\x09-\x0D]')) FROM d)
-SELECT source, lang, tokenizer, count(*) AS n_docs, CAST(sum(n) AS BIGINT) AS n_tokens FROM c GROUP BY ALL
-"""
-
-
 def op7_lm_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
     return lm_score.score_documents(sf_table(spark, sf_dir, "documents"))
 
@@ -93,4 +85,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op6_token_counts": OP6_SQL}
+    return dict(SQL)
