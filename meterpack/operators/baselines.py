@@ -14,7 +14,7 @@ from meterpack.kernels.arith import ac_encode, adaptive_encode, gaussian_encode
 from meterpack.kernels.codec import column_order
 from meterpack.kernels.huffman import huffman_encode
 from meterpack.kernels.lz import lz77_encode, lz78_encode, lzw_encode
-from meterpack.operators.firststage import rows_of
+from meterpack.operators.firststage import rows_of, spread
 
 
 def _bytes(x: np.ndarray) -> bytes:
@@ -47,7 +47,7 @@ def single(streams: DataFrame, coders: tuple[str, ...] = ("huffman", "gaussian_a
             cr = [round(a / z, 6) if z else None for a, z in zip(o, new, strict=True)]
             yield pa.RecordBatch.from_arrays([pa.array(i, pa.int64()), pa.array(n, pa.int32()), pa.array(c, pa.string()), pa.array(o, pa.int64()), pa.array(new, pa.int64()), pa.array(cr, pa.float64())], names=["stream_id", "block_no", "coder", "orig_bits", "new_bits", "cr"])
 
-    return streams.select("stream_id", "block_no", "n_bits", "words").mapInArrow(run, "stream_id bigint, block_no int, coder string, orig_bits bigint, new_bits bigint, cr double")
+    return spread(streams.select("stream_id", "block_no", "n_bits", "words"), "stream_id", "block_no").mapInArrow(run, "stream_id bigint, block_no int, coder string, orig_bits bigint, new_bits bigint, cr double")
 
 
 def collection(streams: DataFrame, coders: tuple[str, ...] = ("huffman", "gaussian_ac", "lz77", "lz78", "lzw"), layout: str = "concat") -> DataFrame:
@@ -61,4 +61,4 @@ def collection(streams: DataFrame, coders: tuple[str, ...] = ("huffman", "gaussi
         new = [CODERS[c](x) for c in coders]
         return pa.table({"batch_id": pa.array([t["batch_id"][0].as_py()] * n, pa.int64()), "block_no": pa.array([t["block_no"][0].as_py()] * n, pa.int32()), "coder": pa.array(list(coders)), "n_streams": pa.array([len(ids)] * n, pa.int64()), "orig_bits": pa.array([orig] * n, pa.int64()), "new_bits": pa.array(new, pa.int64()), "cr": pa.array([round(orig / z, 6) for z in new])})
 
-    return streams.select("batch_id", "block_no", "stream_id", "n_bits", "words").groupBy("batch_id", "block_no").applyInArrow(run, "batch_id bigint, block_no int, coder string, n_streams bigint, orig_bits bigint, new_bits bigint, cr double")
+    return spread(streams.select("batch_id", "block_no", "stream_id", "n_bits", "words"), "batch_id", "block_no").groupBy("batch_id", "block_no").applyInArrow(run, "batch_id bigint, block_no int, coder string, n_streams bigint, orig_bits bigint, new_bits bigint, cr double")

@@ -10,6 +10,15 @@ from meterpack.kernels.firststage import CODERS, decode_block, encode_block
 from meterpack.schemas import READINGS, STREAMS
 
 
+def spread(df: DataFrame, *keys: str) -> DataFrame:
+    """df hashed by keys into as many partitions as the session shuffles into, or has cores for. A group costs far more
+    time than its bytes tell, so adaptive execution must not merge these partitions, as it would by size; a grouping by
+    the same keys needs no exchange after it."""
+    spark = df.sparkSession
+    n = max(int(spark.conf.get("spark.sql.shuffle.partitions")), spark.sparkContext.defaultParallelism)
+    return df.repartition(n, *keys)
+
+
 def rows_of(column: pa.Array) -> list[np.ndarray]:
     """The cells of a list column as arrays."""
     if isinstance(column, pa.ChunkedArray):
@@ -30,7 +39,7 @@ def first_stage(blocks: DataFrame, coder: str = "gaussian_ac") -> DataFrame:
             columns = [b.column(0), b.column(1), pa.array([coder] * len(done), pa.string()), b.column(2), pa.array(n_bits, pa.int64()), pa.array(mu, pa.int32()), pa.array(sigma, pa.int32()), pa.array(first, pa.int64()), pa.array(words, pa.list_(pa.int32()))]
             yield pa.RecordBatch.from_arrays(columns, names=["stream_id", "block_no", "coder", "n_readings", "n_bits", "mu", "sigma", "first", "words"])
 
-    return blocks.select("stream_id", "block_no", "n_readings", "readings").mapInArrow(run, STREAMS)
+    return spread(blocks.select("stream_id", "block_no", "n_readings", "readings"), "stream_id", "block_no").mapInArrow(run, STREAMS)
 
 
 def first_stage_inverse(streams: DataFrame, block_len: int) -> DataFrame:

@@ -13,7 +13,7 @@ from meterpack.kernels.codec import Config, stages
 from meterpack.kernels.group import silhouette
 from meterpack.kernels.rle import ideal_bits
 from meterpack.operators.baselines import collection, single
-from meterpack.operators.firststage import first_stage, rows_of
+from meterpack.operators.firststage import first_stage, rows_of, spread
 from meterpack.plans.recompress import PACKED, arrow_schema, batch_by_rank, compression_ratio, group_labels, pack_batch, recompress
 from meterpack.kernels.group import pad
 from meterpack.sources.carriers import BLOCK, BLOCK_OF, blocks, carrier, fit
@@ -74,7 +74,7 @@ def _grid(recorded: DataFrame, name: str, first: str, ks, base: Config) -> DataF
         out = pack_batch(record, rows[0]["block_no"], rows, cfg) if len(rows) >= k else []
         return pa.Table.from_pylist(out, schema)
 
-    packed = recorded.crossJoin(F.broadcast(table)).groupBy("record", "k", "grouping", "rle", "block_no").applyInArrow(run, PACKED)
+    packed = spread(recorded.crossJoin(F.broadcast(table)), "record", "k", "grouping", "rle", "block_no").groupBy("record", "k", "grouping", "rle", "block_no").applyInArrow(run, PACKED)
     rle = F.get_json_object("config", "$.rle")
     ratios = compression_ratio(packed.withColumn("rle", rle), "batch_id", "k", "grouping", "rle")
     return ratios.select(F.lit(name).alias("carrier"), F.lit(first).alias("first_stage"), F.col("batch_id").alias("record"), "k", "grouping", "rle", "cr_total", "cr_payload", "n_symbols")
@@ -110,7 +110,7 @@ def entropy_by_stage(spark: SparkSession, sf_dir: str, name: str = "meter_grid",
         g, label, stage, n, h = zip(*out, strict=True)
         return pa.table({"batch_id": pa.array([t["batch_id"][0].as_py()] * len(g), pa.int64()), "block_no": pa.array([t["block_no"][0].as_py()] * len(g), pa.int32()), "grouping": pa.array(g), "cluster_id": pa.array(label, pa.int32()), "stage": pa.array(stage), "n": pa.array(n, pa.int64()), "h": pa.array([round(abs(x), 6) for x in h])})
 
-    return streams.groupBy("batch_id", "block_no").applyInArrow(run, "batch_id bigint, block_no int, grouping string, cluster_id int, stage string, n bigint, h double")
+    return spread(streams, "batch_id", "block_no").groupBy("batch_id", "block_no").applyInArrow(run, "batch_id bigint, block_no int, grouping string, cluster_id int, stage string, n bigint, h double")
 
 
 def entropy_means(by_stage: DataFrame) -> DataFrame:
@@ -136,7 +136,7 @@ def silhouette_by_k(spark: SparkSession, sf_dir: str, name: str = "meter_grid",
         k, g, s, n = zip(*out, strict=True) if out else ((),) * 4
         return pa.table({"batch_id": pa.array([t["batch_id"][0].as_py()] * len(k), pa.int64()), "k": pa.array(k, pa.int32()), "grouping": pa.array(g, pa.string()), "silhouette": pa.array(s, pa.float64()), "n": pa.array(n, pa.int64())})
 
-    return streams.where("block_no = 0").groupBy("batch_id").applyInArrow(run, "batch_id bigint, k int, grouping string, silhouette double, n bigint")
+    return spread(streams.where("block_no = 0"), "batch_id").groupBy("batch_id").applyInArrow(run, "batch_id bigint, k int, grouping string, silhouette double, n bigint")
 
 
 ABLATIONS = {"none": {}, "cluster": {"grouping": "random"}, "interleave": {"layout": "concat"}, "delta": {"delta_order": 0}, "delta in streams": {"delta_scope": "stream"}, "bwt": {"bwt": None}, "mtf": {"mtf": False, "rle": None}, "rle": {"rle": None}, "arithmetic": {"coder": "huffman"}, "static model": {"coder": "adaptive"}, "all but coder": {"grouping": "none", "layout": "concat", "delta_order": 0, "bwt": None, "mtf": False, "rle": None}}

@@ -15,7 +15,7 @@ from meterpack.kernels.bits import get_varints, put_varints, unzigzag, zigzag
 from meterpack.kernels.codec import Config, decode_group, encode, read_config
 from meterpack.kernels.firststage import CODERS, decode_block
 from meterpack.kernels.group import lloyd, pad, random_cluster, seeds
-from meterpack.operators.firststage import rows_of
+from meterpack.operators.firststage import rows_of, spread
 from meterpack.schemas import PACKED, READINGS, STREAMS
 
 BATCH = 56
@@ -120,7 +120,7 @@ def recompress(streams: DataFrame, cfg: Config = Config()) -> DataFrame:
             r["words"] = w
         return pa.Table.from_pylist(pack_batch(rows[0]["batch_id"], rows[0]["block_no"], rows, cfg), schema)
 
-    return streams.select("batch_id", *(c.split()[0] for c in own)).groupBy("batch_id", "block_no").applyInArrow(run, PACKED)
+    return spread(streams.select("batch_id", *(c.split()[0] for c in own)), "batch_id", "block_no").groupBy("batch_id", "block_no").applyInArrow(run, PACKED)
 
 
 def unpack(row: dict) -> list[dict]:
