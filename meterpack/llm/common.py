@@ -21,7 +21,7 @@ BLANKS = b" \t\n\r\x0b\x0c"
 #: UTF-8 bytes that start no code point.
 TAIL_BYTES = bytes(range(0x80, 0xC0))
 #: Rows that a kernel holds as Python objects at a time.
-CHUNK_ROWS = 512
+CHUNK_ROWS = 128
 
 
 def fold_ascii(c: Column) -> Column:
@@ -45,6 +45,17 @@ def sent(sc: SparkContext, what: object) -> Callable[[], object]:
     return get
 
 
+#: Rows of a text column that go to a Python worker at a time: texts are long, and an executor holds several batches.
+BATCH_ROWS = 1024
+
+
+def small_batches(spark: SparkSession) -> None:
+    """Lowers the session's Arrow batch size to BATCH_ROWS where it is above; a runtime setting that any job may lower."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(key, "10000")) <= BATCH_ROWS:
+        spark.conf.set(key, str(BATCH_ROWS))
+
+
 def byte_chunks(column: pa.Array, rows: int = CHUNK_ROWS) -> Iterator[list[bytes | None]]:
     """The UTF-8 bytes of a string column, some rows at a time."""
     raw = column.cast(pa.large_binary()) if pa.types.is_large_string(column.type) else column.cast(pa.binary())
@@ -75,7 +86,7 @@ _POWERS: dict[str, np.ndarray] = {}
 def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     """BASE**i and UNBASE**i for i in 0..n, kept for the worker's life; they double when a longer text comes."""
     if "up" not in _POWERS or len(_POWERS["up"]) <= n:
-        size = 1 << max(16, int(n).bit_length())
+        size = 1 << max(12, int(n).bit_length())
         for name, base in (("up", BASE), ("down", UNBASE)):
             steps = np.full(size, base, np.uint64)
             steps[0] = 1
@@ -83,19 +94,29 @@ def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     return _POWERS["up"], _POWERS["down"]
 
 
+#: Bytes that are hashed at a time.
+HASH_BYTES = 1 << 19
+
+
 def word_hashes(words: list[bytes]) -> np.ndarray:
-    """One 64-bit hash a word, the same on every machine: a byte polynomial over all the words at once, mixed."""
-    if not words:
-        return np.empty(0, np.uint64)
+    """One 64-bit hash a word, the same on every machine: a byte polynomial over many words at once, mixed."""
     lengths = np.fromiter(map(len, words), np.int64, len(words))
-    data = np.frombuffer(b"".join(words), np.uint8).astype(np.uint64) + np.uint64(1)
-    up, down = powers(len(data) + 1)
-    sums = np.empty(len(data) + 1, np.uint64)
-    sums[0] = 0
-    np.cumsum(data * up[: len(data)], out=sums[1:])
-    ends = np.cumsum(lengths)
-    starts = ends - lengths
-    return mix64((sums[ends] - sums[starts]) * down[starts] ^ lengths.astype(np.uint64))
+    out, ends, at = np.empty(len(words), np.uint64), np.cumsum(lengths), 0
+    while at < len(words):
+        before = int(ends[at] - lengths[at])
+        to = max(at + 1, int(np.searchsorted(ends, before + HASH_BYTES, "right")))
+        data = np.frombuffer(b"".join(words[at:to]), np.uint8).astype(np.uint64)
+        data += np.uint64(1)
+        up, down = powers(len(data) + 1)
+        data *= up[: len(data)]
+        sums = np.empty(len(data) + 1, np.uint64)
+        sums[0] = 0
+        np.cumsum(data, out=sums[1:])
+        stop = ends[at:to] - before
+        start = stop - lengths[at:to]
+        out[at:to] = mix64((sums[stop] - sums[start]) * down[start] ^ lengths[at:to].astype(np.uint64))
+        at = to
+    return out
 
 
 def window_hashes(h: np.ndarray, n: int) -> np.ndarray:

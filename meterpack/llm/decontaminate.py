@@ -14,7 +14,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from meterpack.llm.common import byte_chunks, sent, window_hashes, word_hashes
+from meterpack.llm.common import byte_chunks, sent, small_batches, window_hashes, word_hashes
 
 WINDOW = 10
 #: Characters of benchmark text that one broadcast set may come from; a larger benchmark is scanned block by block.
@@ -99,6 +99,7 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, text: str = "text", item_i
     """docs with `leak` beside its columns: n_words, the places of hit words, the ids (as strings) of items found. Map-only.
 
     Several blocks make several scans, whose places and ids are united."""
+    small_batches(docs.sparkSession)
     sc = docs.sparkSession.sparkContext
     out, names = docs, []
     for k, block in enumerate(blocks_of(benchmark, item_id, item_text, max_chars)):

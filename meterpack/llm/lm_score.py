@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from meterpack.llm.common import byte_chunks, sent, staged, word_hashes
+from meterpack.llm.common import CHUNK_ROWS, byte_chunks, sent, small_batches, staged, word_hashes
 from meterpack.llm.decontaminate import words_of
 
 VOCABULARY = 16_383
@@ -29,16 +29,42 @@ BACKOFF = 0.4
 MICRO = 1_000_000
 
 
+def tally(parts: list[np.ndarray], kind) -> tuple[np.ndarray, np.ndarray]:
+    """(values, counts) over all parts, sorted in place."""
+    x = np.concatenate(parts) if parts else np.empty(0, kind)
+    parts.clear()
+    x.sort()
+    heads = np.flatnonzero(np.concatenate([[True], x[1:] != x[:-1]])) if len(x) else np.empty(0, np.int64)
+    return x[heads], np.diff(np.append(heads, len(x)))
+
+
+#: Values that a task gathers before it counts and sends them on.
+GATHER = 2_000_000
+
+
+def tallied(parts, kind):
+    """(values, counts) of the arrays in parts, for GATHER values or a few more at a time."""
+    held, n = [], 0
+    for part in parts:
+        held.append(part)
+        n += len(part)
+        if n >= GATHER:
+            yield tally(held, kind)
+            n = 0
+    if held:
+        yield tally(held, kind)
+
+
 def _count_words(batches):
-    for batch in batches:
-        hashes = [word_hashes([w for t in chunk for w in words_of(t)]) for chunk in byte_chunks(batch.column(0), 2048)]
-        words, n = np.unique(np.concatenate(hashes) if hashes else np.empty(0, np.uint64), return_counts=True)
+    hashes = (word_hashes([w for t in chunk for w in words_of(t)]) for batch in batches for chunk in byte_chunks(batch.column(0)))
+    for words, n in tallied(hashes, np.uint64):
         yield pa.RecordBatch.from_arrays([pa.array(words.view(np.int64)), pa.array(n.astype(np.int64))], names=["word", "n"])
 
 
 def vocabulary(docs: DataFrame, text: str = "text", size: int = VOCABULARY) -> np.ndarray:
     """Hashes of the words found at least c times, in rising order; c is the least count that at most `size` words have.
     The driver gets a histogram of counts and then at most `size` words."""
+    small_batches(docs.sparkSession)
     counts = staged(docs.select(text).mapInArrow(_count_words, "word bigint, n bigint").groupBy("word").agg(F.sum("n").alias("n")), "words")
     by_count = counts.groupBy("n").agg(F.count(F.lit(1)).alias("words"))
     most = by_count.orderBy(F.desc("n")).limit(size).collect()  # counts in use are fewer than words in use
@@ -78,16 +104,17 @@ def _pairs(chunk: list[bytes | None], known: np.ndarray) -> tuple[np.ndarray, np
 
 
 def _count_grams(known):
-    def count(batches):
+    def keys(batches):
         for batch in batches:
-            folds, parts = batch.column(1).to_numpy(zero_copy_only=False), []
-            for k, chunk in enumerate(byte_chunks(batch.column(0), 2048)):
+            folds = batch.column(1).to_numpy(zero_copy_only=False)
+            for k, chunk in enumerate(byte_chunks(batch.column(0))):
                 doc, gram = _pairs(chunk, known())
-                parts.append(gram << 1 | folds[2048 * k : 2048 * (k + 1)][doc])
-            keys, n = np.unique(np.concatenate(parts) if parts else np.empty(0, np.int64), return_counts=True)
-            zero = np.zeros_like(n)
-            side = keys & 1
-            yield pa.RecordBatch.from_arrays([pa.array(keys >> 1), pa.array(np.where(side == 0, n, zero)), pa.array(np.where(side == 1, n, zero))], names=["gram", "n0", "n1"])
+                yield gram << 1 | folds[CHUNK_ROWS * k : CHUNK_ROWS * (k + 1)][doc]
+
+    def count(batches):
+        for gram, n in tallied(keys(batches), np.int64):
+            second = (gram & 1) == 1
+            yield pa.RecordBatch.from_arrays([pa.array(gram >> 1), pa.array(np.where(second, 0, n)), pa.array(np.where(second, n, 0))], names=["gram", "n0", "n1"])
 
     return count
 
@@ -120,17 +147,18 @@ def _explode(known):
     def explode(batches):
         for batch in batches:
             rows = batch.column(0).to_numpy(zero_copy_only=False)
-            for k, chunk in enumerate(byte_chunks(batch.column(1), 2048)):
+            for k, chunk in enumerate(byte_chunks(batch.column(1))):
                 doc, gram = _pairs(chunk, known())
-                # documents of a chunk take 11 bits, a gram 32
+                # a document's number above, a gram in 32 bits
                 keys, n = np.unique(doc << 32 | gram, return_counts=True)
-                yield pa.RecordBatch.from_arrays([pa.array(rows[2048 * k : 2048 * (k + 1)][keys >> 32]), pa.array(keys & ((1 << 32) - 1)), pa.array(n.astype(np.int32))], names=["row", "gram", "n"])
+                yield pa.RecordBatch.from_arrays([pa.array(rows[CHUNK_ROWS * k : CHUNK_ROWS * (k + 1)][keys >> 32]), pa.array(keys & ((1 << 32) - 1)), pa.array(n.astype(np.int32))], names=["row", "gram", "n"])
 
     return explode
 
 
 def score_documents(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", size: int = VOCABULARY) -> DataFrame:
     """One row a document: doc_id, fold, n_tokens, cost (micro-nats), nats_per_token."""
+    small_batches(docs.sparkSession)
     known = sent(docs.sparkSession.sparkContext, vocabulary(docs, text, size))
     costs = gram_costs(staged(count_grams(docs, known, text), "grams"))
     rows = docs.select((F.monotonically_increasing_id() * 2 + fold_of(F.col(text))).alias("row"), F.col(doc_id).alias("doc_id"), F.col(text).alias("text"))

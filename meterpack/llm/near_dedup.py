@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from meterpack.llm.common import FOLD, byte_chunks, staged, window_hashes, word_hashes
+from meterpack.llm.common import CHUNK_ROWS, FOLD, byte_chunks, small_batches, staged, window_hashes, word_hashes
 from meterpack.llm.components import components
 
 SHINGLE = 5
@@ -56,28 +56,37 @@ def least_shared(n: int, k: int = K, percent: int = PERCENT) -> int:
 
 def _sketch(batches):
     for batch in batches:
-        ns, keys, sketches, tops = [], [], [], []
-        for chunk in byte_chunks(batch.column(1)):
-            for s in shingle_sets(chunk):
-                ns.append(len(s))
-                keys.append(hashlib.blake2b(s.tobytes(), digest_size=16).digest() if len(s) else None)
-                sketches.append(s[:K].view(np.int64))
-                tops.append(min(len(s), K) - least_shared(len(s)) + 1 if len(s) else 0)
-        arrays = [batch.column(0), pa.array(ns, pa.int64()), pa.array(keys, pa.binary()), pa.array(sketches, pa.list_(pa.int64())), pa.array(tops, pa.int32())]
-        yield pa.RecordBatch.from_arrays(arrays, names=["id", "n", "key", "sketch", "prefix"])
+        ids = batch.column(0)
+        for k, chunk in enumerate(byte_chunks(batch.column(1))):
+            sets = shingle_sets(chunk)
+            keys = [hashlib.blake2b(s.tobytes(), digest_size=16).digest() if len(s) else None for s in sets]
+            tops = [min(len(s), K) - least_shared(len(s)) + 1 if len(s) else 0 for s in sets]
+            n = pa.array([len(s) for s in sets], pa.int64())
+            arrays = [ids.slice(k * CHUNK_ROWS, CHUNK_ROWS), n, pa.array(keys, pa.binary()), listed([s[:K] for s in sets])[1], pa.array(tops, pa.int32())]
+            yield pa.RecordBatch.from_arrays(arrays, names=["id", "n", "key", "sketch", "prefix"])
 
 
 def sketches(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """(id, n, key, sketch, prefix): size and fingerprint of the set, its K least hashes, how many of the rarest of them
     go into lists."""
+    small_batches(docs.sparkSession)
     rows = docs.select(F.col(doc_id).cast("bigint").alias("id"), F.col(text).alias("text"))
     return rows.mapInArrow(_sketch, "id bigint, n bigint, key binary, sketch array<bigint>, prefix int")
 
 
+def listed(sets: list[np.ndarray]) -> tuple[pa.Array, pa.Array]:
+    """(sizes, sets) as Arrow columns, with one copy of the values."""
+    sizes = np.fromiter(map(len, sets), np.int64, len(sets))
+    offsets = np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32)
+    values = np.concatenate(sets) if len(sets) else np.empty(0, np.uint64)
+    return pa.array(sizes), pa.ListArray.from_arrays(pa.array(offsets), pa.array(values.view(np.int64)))
+
+
 def _sets(batches):
     for batch in batches:
-        sets = [s.view(np.int64) for chunk in byte_chunks(batch.column(1)) for s in shingle_sets(chunk)]
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(map(len, sets), pa.int64()), pa.array(sets, pa.list_(pa.int64()))], names=["id", "n", "shingles"])
+        ids = batch.column(0)
+        for k, chunk in enumerate(byte_chunks(batch.column(1))):
+            yield pa.RecordBatch.from_arrays([ids.slice(k * CHUNK_ROWS, CHUNK_ROWS), *listed(shingle_sets(chunk))], names=["id", "n", "shingles"])
 
 
 def groups(reps: DataFrame) -> DataFrame:
@@ -170,6 +179,7 @@ def _dealt(members: DataFrame, name: str) -> DataFrame:
 
 def find_links(reps: DataFrame, texts: DataFrame) -> DataFrame:
     """(id, component) of all sets that are linked with another. texts: (id, text), one row at least for each rep."""
+    small_batches(reps.sparkSession)
     grouped = staged(groups(reps).join(reps.select("id", "n"), "id"), "groups")
     wanted = grouped.select("id").distinct()
     sets = staged(texts.join(wanted, "id", "left_semi").mapInArrow(_sets, "id bigint, n bigint, shingles array<bigint>").dropDuplicates(["id"]), "sets")

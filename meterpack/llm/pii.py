@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from meterpack.llm.common import sent, text_chunks
+from meterpack.llm.common import sent, small_batches, text_chunks
 
 KINDS = ("email", "ip", "card", "phone")
 LOCAL = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-"
@@ -152,6 +152,7 @@ def _count_votes(batches):
 
 def count_votes(docs: DataFrame, text: str = "text") -> DataFrame:
     """(kind, votes, shape, n) over all documents: at most 4 * 3**LABELERS * 4 rows from each task."""
+    small_batches(docs.sparkSession)
     return docs.select(text).mapInArrow(_count_votes, "kind bigint, votes bigint, shape bigint, n bigint").groupBy("kind", "votes", "shape").agg(F.sum("n").alias("n"))
 
 
@@ -239,6 +240,7 @@ def _finder(model):
 
 def find_personal(docs: DataFrame, model: dict, text: str = "text", name: str = "personal") -> DataFrame:
     """docs with the spans found. Map-only."""
+    small_batches(docs.sparkSession)
     return docs.withColumn(name, _finder(sent(docs.sparkSession.sparkContext, model))(F.col(text)))
 
 
@@ -266,4 +268,5 @@ def _masker(model):
 
 def mask_personal(docs: DataFrame, model: dict, text: str = "text") -> DataFrame:
     """docs with every span found replaced by its kind in brackets."""
+    small_batches(docs.sparkSession)
     return docs.withColumn(text, _masker(sent(docs.sparkSession.sparkContext, model))(F.col(text)))

@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from meterpack.llm.common import BLANKS, TAIL_BYTES, byte_chunks, mix64, sent, staged
+from meterpack.llm.common import BLANKS, TAIL_BYTES, byte_chunks, mix64, sent, small_batches, staged
 
 SYMBOLS = b"#*$%&|<>"
 MIN_WORDS = 50
@@ -69,6 +69,7 @@ def _count_grams(batches):
 
 def count_grams(docs: DataFrame, text: str = "text") -> DataFrame:
     """(gram, n) over all documents: each task sums its own, at most 64**3 rows a task are shuffled."""
+    small_batches(docs.sparkSession)
     return docs.select(text).mapInArrow(_count_grams, "gram bigint, n bigint").groupBy("gram").agg(F.sum("n").alias("n"))
 
 
@@ -187,6 +188,7 @@ def _judge(model):
 
 def score_quality(docs: DataFrame, model: GramModel, text: str = "text", name: str = "quality") -> DataFrame:
     """docs with a struct of measures and the perplexity level. Map-only; other columns stay in the JVM."""
+    small_batches(docs.sparkSession)
     return docs.withColumn(name, _judge(sent(docs.sparkSession.sparkContext, model))(F.col(text)))
 
 
