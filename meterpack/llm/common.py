@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 import pickle
 import uuid
 from collections.abc import Callable, Iterator
@@ -56,6 +57,14 @@ def small_batches(spark: SparkSession) -> None:
         spark.conf.set(key, str(BATCH_ROWS))
 
 
+def trim() -> None:
+    """Gives what a worker no longer uses back to the machine: idle workers stay beside the executor's own memory."""
+    pa.default_memory_pool().release_unused()
+    libc = ctypes.CDLL(None)
+    if hasattr(libc, "malloc_trim"):
+        libc.malloc_trim(0)
+
+
 def byte_chunks(column: pa.Array, rows: int = CHUNK_ROWS) -> Iterator[list[bytes | None]]:
     """The UTF-8 bytes of a string column, some rows at a time."""
     raw = column.cast(pa.large_binary()) if pa.types.is_large_string(column.type) else column.cast(pa.binary())

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from meterpack.llm.common import CHUNK_ROWS, FOLD, byte_chunks, small_batches, staged, window_hashes, word_hashes
+from meterpack.llm.common import CHUNK_ROWS, FOLD, byte_chunks, small_batches, staged, trim, window_hashes, word_hashes
 from meterpack.llm.components import components
 
 SHINGLE = 5
@@ -64,6 +64,7 @@ def _sketch(batches):
             n = pa.array([len(s) for s in sets], pa.int64())
             arrays = [ids.slice(k * CHUNK_ROWS, CHUNK_ROWS), n, pa.array(keys, pa.binary()), listed([s[:K] for s in sets])[1], pa.array(tops, pa.int32())]
             yield pa.RecordBatch.from_arrays(arrays, names=["id", "n", "key", "sketch", "prefix"])
+    trim()
 
 
 def sketches(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
@@ -87,6 +88,7 @@ def _sets(batches):
         ids = batch.column(0)
         for k, chunk in enumerate(byte_chunks(batch.column(1))):
             yield pa.RecordBatch.from_arrays([ids.slice(k * CHUNK_ROWS, CHUNK_ROWS), *listed(shingle_sets(chunk))], names=["id", "n", "shingles"])
+    trim()
 
 
 def groups(reps: DataFrame) -> DataFrame:
@@ -162,6 +164,8 @@ def _compare(table: pa.Table) -> pa.Table:
     for side, i, c, s in zip(*(table.column(n).to_pylist() for n in ("side", "id", "component")), table.column("shingles"), strict=True):
         sides[side].append((i, c, s.values.to_numpy(zero_copy_only=False).view(np.uint64)))
     found = links_between(*sides) if all(sides) else []
+    del sides
+    trim()
     return pa.table({"a": pa.array([a for a, _ in found], pa.int64()), "b": pa.array([b for _, b in found], pa.int64())})
 
 

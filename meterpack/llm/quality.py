@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from meterpack.llm.common import BLANKS, TAIL_BYTES, byte_chunks, mix64, sent, small_batches, staged
+from meterpack.llm.common import BLANKS, TAIL_BYTES, byte_chunks, mix64, sent, small_batches, staged, trim
 
 SYMBOLS = b"#*$%&|<>"
 MIN_WORDS = 50
@@ -63,6 +63,7 @@ def _count_grams(batches):
         for chunk in byte_chunks(batch.column(0)):
             ids, _ = gram_ids([t for t in chunk if t])
             total += np.bincount(ids[ids >= 0], minlength=CLASSES**3)
+    trim()
     seen = np.flatnonzero(total)
     yield pa.RecordBatch.from_arrays([pa.array(seen, pa.int64()), pa.array(total[seen], pa.int64())], names=["gram", "n"])
 
@@ -181,6 +182,7 @@ def _judge(model):
         columns = np.array(rows, np.int64).reshape(len(rows), 5)
         arrays = [pa.array(columns[:, i]) for i in range(5)]
         arrays += [pa.array([fails_base(r[0], r[4]) for r in rows], pa.bool_()), pa.array(np.concatenate(levels).astype(np.int32) if levels else [], pa.int32())]
+        trim()
         return pa.StructArray.from_arrays(arrays, names=[*names, "base_failed", "level"])
 
     return judge
@@ -202,13 +204,23 @@ def bands(levels: DataFrame) -> DataFrame:
     return cuts.select("lang", (F.col("mid") - F.col("spread") * LOW).alias("low"), (F.col("mid") + F.col("spread") * HIGH).alias("high"))
 
 
+#: Languages whose bands are broadcast; with more, texts are joined with them by a shuffle.
+MAX_BROADCAST_LANGS = 10_000
+
+
+def band_table(levels: DataFrame) -> DataFrame:
+    """bands(), computed once, under the name __mp_lang; broadcast where its counted size is within the bound."""
+    out = staged(bands(levels).withColumnRenamed("lang", "__mp_lang"), "bands")
+    return F.broadcast(out) if out.count() <= MAX_BROADCAST_LANGS else out
+
+
 def keep_flag() -> "F.Column":
     return ~F.col("base_failed") & (F.col("level") >= F.col("low")) & (F.col("level") <= F.col("high"))
 
 
 def with_bands(scored: DataFrame) -> DataFrame:
     """scored (lang, base_failed, level, ...) with the band of its language; languages of passing documents only."""
-    per_lang = bands(scored.where(~F.col("base_failed")).select("lang", "level")).withColumnRenamed("lang", "__mp_lang")
+    per_lang = band_table(scored.where(~F.col("base_failed")).select("lang", "level"))
     return scored.join(per_lang, F.col("lang").eqNullSafe(F.col("__mp_lang")), "left").drop("__mp_lang")
 
 
@@ -224,6 +236,6 @@ def keep_quality(docs: DataFrame) -> DataFrame:
     own, model = docs.columns, fit_grams(docs)
     scored = score_quality(docs.select(F.struct("*").alias("__mp_row"), "text", "lang"), model).select("__mp_row", "lang", "quality.base_failed", "quality.level")
     levels = score_quality(docs.select("text", "lang"), model).select("lang", "quality.base_failed", "quality.level")
-    per_lang = bands(levels.where(~F.col("base_failed")).select("lang", "level")).withColumnRenamed("lang", "__mp_lang")
+    per_lang = band_table(levels.where(~F.col("base_failed")).select("lang", "level"))
     judged = scored.join(per_lang, F.col("lang").eqNullSafe(F.col("__mp_lang")), "left")
     return judged.where(keep_flag()).select(*(F.col("__mp_row")[c].alias(c) for c in own))
