@@ -84,7 +84,13 @@ def listed(sets: list[np.ndarray]) -> tuple[pa.Array, pa.Array]:
 
 
 def _sets(batches):
+    """Of neighbouring rows with one id the first."""
+    last = None
     for batch in batches:
+        ids = batch.column(0).to_numpy()
+        first = np.append(ids[:1] != last, ids[1:] != ids[:-1])
+        last = ids[-1] if len(ids) else last
+        batch = batch.filter(pa.array(first))
         ids = batch.column(0)
         for k, chunk in enumerate(byte_chunks(batch.column(1))):
             yield pa.RecordBatch.from_arrays([ids.slice(k * CHUNK_ROWS, CHUNK_ROWS), *listed(shingle_sets(chunk))], names=["id", "n", "shingles"])
@@ -185,8 +191,9 @@ def find_links(reps: DataFrame, texts: DataFrame) -> DataFrame:
     """(id, component) of all sets that are linked with another. texts: (id, text), one row at least for each rep."""
     small_batches(reps.sparkSession)
     grouped = staged(groups(reps).join(reps.select("id", "n"), "id"), "groups")
-    wanted = grouped.select("id").distinct()
-    sets = staged(texts.join(wanted, "id", "left_semi").mapInArrow(_sets, "id bigint, n bigint, shingles array<bigint>").dropDuplicates(["id"]), "sets")
+    # ids grow with the corpus: texts are dealt by id once, alike at every size, and come sorted, so that repeats are neighbours
+    wanted = grouped.select("id").distinct().hint("merge")
+    sets = staged(texts.join(wanted, "id", "left_semi").mapInArrow(_sets, "id bigint, n bigint, shingles array<bigint>"), "sets")
     members = _dealt(grouped.where("hub <> id"), "r")
     zero = F.lit(0)
     rights = members.select("hub", zero.alias("l"), "r", F.lit(1).alias("side"), "id", F.col("id").alias("component"))
@@ -222,10 +229,12 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text")
 
 def keep_first(docs: DataFrame) -> DataFrame:
     """docs without all but the first document of each group of near-duplicates; of rows that repeat an id and its text
-    one stays."""
+    one stays. Texts are shuffled once, by id, where no id is repeated."""
     judged = staged(near_duplicates(docs).select("doc_id", "kept"), "kept")
     gone = judged.where(~F.col("kept")).select("doc_id").distinct()
-    twice = judged.where("kept").groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("doc_id")
-    left = docs.join(gone, "doc_id", "left_anti")
+    left = docs.join(gone.hint("merge"), "doc_id", "left_anti").select(*docs.columns)
+    twice = staged(judged.where("kept").groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("doc_id"), "twice")
+    if twice.isEmpty():
+        return left
     again = left.join(twice, "doc_id", "left_semi").dropDuplicates(["doc_id", "text"])
-    return left.join(twice, "doc_id", "left_anti").unionByName(again).select(*docs.columns)
+    return left.join(twice, "doc_id", "left_anti").unionByName(again.select(*docs.columns)).select(*docs.columns)
