@@ -1,9 +1,14 @@
 """Stupid-backoff scores, computed relationally: bigram count tables partitioned by hash, joined to the exploded bigrams
 of every document, summed a document.
 
-Words outside a closed vocabulary (the most frequent ones, at most VOCABULARY) are one unknown word, so that a bigram is an
-exact pair of small numbers and only the tables of single words are broadcast. Documents fall into two folds by the md5 of
-their text, and each is scored with the counts of the other fold: no document, nor its exact copy, vouches for itself.
+Every word counts as itself, by its 64-bit hash, however rare: the tables of words and of bigrams grow with the input, and
+both are joined by hash partition, never broadcast or collected. A bigram's key is made of its words' hashes, so that one
+word and the key give the other. Documents fall into two folds by the md5 of their text, and each is scored with the counts
+of the other fold: no document, nor its exact copy, vouches for itself. Of a bigram only the costs that some document pays
+are computed: where one fold alone has it, the other fold's counts of its second word decide, and else those of its first
+word, so that each bigram looks up one word.
+
+Two bigrams of equal hash would be counted as one: below 1e10 different ones, three such pairs are expected at most.
 
 Contract for odd input: a null or empty text has no words and costs nothing; rows of equal text cost the same; an empty
 table gives no rows; only the two columns named are read. The source must give equal rows in equal order when read twice
@@ -17,152 +22,157 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from meterpack.llm.common import CHUNK_ROWS, byte_chunks, sent, small_batches, staged, word_hashes
+from meterpack.llm.common import CHUNK_ROWS, byte_chunks, small_batches, staged, word_hashes
 from meterpack.llm.decontaminate import words_of
 
+#: The cap on known words in the SQL twin (oracles.OP7). The operator has none.
 VOCABULARY = 16_383
-SHIFT = 16
-#: The word before the first; 0 is the unknown word.
-START = 1 << 15
+#: The word before the first: the hash of no word (that of the empty one).
+START = 0
 BACKOFF = 0.4
 #: Costs are whole micro-nats, so that sums do not depend on their order.
 MICRO = 1_000_000
 
 
-def tally(parts: list[np.ndarray], kind) -> tuple[np.ndarray, np.ndarray]:
-    """(values, counts) over all parts, sorted in place."""
-    x = np.concatenate(parts) if parts else np.empty(0, kind)
-    parts.clear()
-    x.sort()
-    heads = np.flatnonzero(np.concatenate([[True], x[1:] != x[:-1]])) if len(x) else np.empty(0, np.int64)
-    return x[heads], np.diff(np.append(heads, len(x)))
-
-
 #: Values that a task gathers before it counts and sends them on.
 GATHER = 2_000_000
 
 
-def tallied(parts, kind):
-    """(values, counts) of the arrays in parts, for GATHER values or a few more at a time."""
+def tallied(parts, flags: int):
+    """Of parts (keys, code, *extra columns), for GATHER keys or a few more at a time: the distinct keys in rising order, the
+    number of codes with each of the lowest `flags` bits, and the extra columns at one of the key's places."""
     held, n = [], 0
+
+    def flush():
+        columns = [np.concatenate(c) for c in zip(*held, strict=True)]
+        held.clear()
+        order = np.argsort(columns[0])
+        keys, code = columns[0][order], columns[1][order]
+        heads = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]]))
+        sums = [np.add.reduceat(code >> f & 1, heads, dtype=np.int64) for f in range(flags)]
+        return keys[heads], *sums, *(c[order[heads]] for c in columns[2:])
+
     for part in parts:
+        if not len(part[0]):
+            continue
         held.append(part)
-        n += len(part)
+        n += len(part[0])
         if n >= GATHER:
-            yield tally(held, kind)
+            yield flush()
             n = 0
     if held:
-        yield tally(held, kind)
+        yield flush()
+
+
+def fold_of(text: Column) -> Column:
+    return F.pmod(F.conv(F.substring(F.md5(F.coalesce(text, F.lit(""))), 1, 1), 16, 10).cast("int"), F.lit(2))
+
+
+def _gram(v: np.ndarray, w: np.ndarray) -> np.ndarray:
+    """The key of a bigram: hashes are mixed, so that turning one of them by a bit makes the order count."""
+    return (v << np.uint64(1) | v >> np.uint64(63)) ^ w
+
+
+def _second(gram: str, v: str) -> Column:
+    """The second word of a bigram by its key and its first word."""
+    return F.col(gram).bitwiseXOR(F.shiftleft(v, 1).bitwiseOR(F.shiftrightunsigned(v, 63)))
+
+
+def _pairs(chunk: list[bytes | None]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """All bigrams of some texts: the text's number, first and second word. The first word of each text
+    follows START."""
+    split = [words_of(t) for t in chunk]
+    sizes = np.fromiter(map(len, split), np.int64, len(split))
+    w = word_hashes([x for ws in split for x in ws])
+    v = np.empty_like(w)
+    v[1:] = w[:-1]
+    v[(np.cumsum(sizes) - sizes)[sizes > 0]] = START
+    return np.repeat(np.arange(len(split)), sizes), v, w
+
+
+def _chunks(batches):
+    """(folds, chunk) of batches (text, fold)."""
+    for batch in batches:
+        folds = batch.column(1).to_numpy(zero_copy_only=False).astype(np.uint8)
+        for k, chunk in enumerate(byte_chunks(batch.column(0))):
+            yield folds[CHUNK_ROWS * k : CHUNK_ROWS * (k + 1)], chunk
+
+
+def _signed(x: np.ndarray) -> pa.Array:
+    return pa.array(x.view(np.int64))
 
 
 def _count_words(batches):
-    hashes = (word_hashes([w for t in chunk for w in words_of(t)]) for batch in batches for chunk in byte_chunks(batch.column(0)))
-    for words, n in tallied(hashes, np.uint64):
-        yield pa.RecordBatch.from_arrays([pa.array(words.view(np.int64)), pa.array(n.astype(np.int64))], names=["word", "n"])
+    def parts():
+        for folds, chunk in _chunks(batches):
+            doc, v, w = _pairs(chunk)
+            fold = folds[doc]
+            # bits 0 and 1: a first word in fold 0, 1; bits 2 and 3: a second one
+            yield np.concatenate([v, w]), np.concatenate([np.uint8(1) << fold, np.uint8(4) << fold])
 
+    for word, *sums in tallied(parts(), 4):
+        yield pa.RecordBatch.from_arrays([_signed(word), *map(pa.array, sums)], names=["word", "v0", "v1", "w0", "w1"])
 
-def vocabulary(docs: DataFrame, text: str = "text", size: int = VOCABULARY) -> np.ndarray:
-    """Hashes of the words found at least c times, in rising order; c is the least count that at most `size` words have.
-    The driver gets a histogram of counts and then at most `size` words."""
-    small_batches(docs.sparkSession)
-    counts = staged(docs.select(text).mapInArrow(_count_words, "word bigint, n bigint").groupBy("word").agg(F.sum("n").alias("n")), "words")
-    by_count = counts.groupBy("n").agg(F.count(F.lit(1)).alias("words"))
-    most = by_count.orderBy(F.desc("n")).limit(size).collect()  # counts in use are fewer than words in use
-    room, cut = size, None
-    for r in most:
-        room -= r.words
-        if room < 0:
-            break
-        cut = r.n
-    if cut is None:
-        return np.empty(0, np.uint64)
-    return np.sort(np.array([r.word for r in counts.where(F.col("n") >= cut).select("word").collect()], np.int64).view(np.uint64))
 
+def _count_grams(batches):
+    def parts():
+        for folds, chunk in _chunks(batches):
+            doc, v, w = _pairs(chunk)
+            yield _gram(v, w), np.uint8(1) << folds[doc], v
 
-def fold_of(text: Column) -> Column:
-    return F.pmod(F.conv(F.substring(F.md5(F.coalesce(text, F.lit(""))), 1, 1), 16, 10).cast("int"), F.lit(2))
+    for gram, n0, n1, v in tallied(parts(), 2):
+        yield pa.RecordBatch.from_arrays([_signed(gram), _signed(v), pa.array(n0), pa.array(n1)], names=["gram", "v", "n0", "n1"])
 
 
-def _grams(words: list[bytes], known: np.ndarray) -> np.ndarray:
-    h = word_hashes(words)
-    if not len(known):
-        return np.zeros(len(h), np.int64)
-    at = np.searchsorted(known, h)
-    at[at == len(known)] = 0
-    return np.where(known[at] == h, at + 1, 0).astype(np.int64)
+def count_words(docs: DataFrame, text: str = "text") -> DataFrame:
+    """(word, v0, v1, w0, w1): how often each word comes first in a bigram of either fold, and how often second."""
+    counts = docs.select(text, fold_of(F.col(text)).alias("fold")).mapInArrow(_count_words, "word bigint, v0 bigint, v1 bigint, w0 bigint, w1 bigint")
+    return counts.groupBy("word").agg(*(F.sum(c).alias(c) for c in ("v0", "v1", "w0", "w1")))
 
 
-def _pairs(chunk: list[bytes | None], known: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """All bigrams of some texts, each with its text's number; the first word of each text follows START."""
-    split = [words_of(t) for t in chunk]
-    sizes = np.fromiter(map(len, split), np.int64, len(split))
-    ids = _grams([w for ws in split for w in ws], known)
-    before = np.empty_like(ids)
-    before[1:] = ids[:-1]
-    before[(np.cumsum(sizes) - sizes)[sizes > 0]] = START
-    return np.repeat(np.arange(len(split)), sizes), before << SHIFT | ids
-
-
-def _count_grams(known):
-    def keys(batches):
-        for batch in batches:
-            folds = batch.column(1).to_numpy(zero_copy_only=False)
-            for k, chunk in enumerate(byte_chunks(batch.column(0))):
-                doc, gram = _pairs(chunk, known())
-                yield gram << 1 | folds[CHUNK_ROWS * k : CHUNK_ROWS * (k + 1)][doc]
-
-    def count(batches):
-        for gram, n in tallied(keys(batches), np.int64):
-            second = (gram & 1) == 1
-            yield pa.RecordBatch.from_arrays([pa.array(gram >> 1), pa.array(np.where(second, 0, n)), pa.array(np.where(second, n, 0))], names=["gram", "n0", "n1"])
-
-    return count
-
-
-def count_grams(docs: DataFrame, known, text: str = "text") -> DataFrame:
-    """(gram, n0, n1): how often each bigram comes in either fold, hashed by gram."""
-    rows = docs.select(text, fold_of(F.col(text)).alias("fold"))
-    return rows.mapInArrow(_count_grams(known), "gram bigint, n0 bigint, n1 bigint").groupBy("gram").agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1"))
-
-
-def gram_costs(counts: DataFrame) -> DataFrame:
-    """(gram, cost0, cost1): micro-nats of a bigram for a document of fold 0 (by the counts of fold 1), and of fold 1."""
-    v, w = F.shiftright("gram", SHIFT), F.col("gram").bitwiseAND((1 << SHIFT) - 1)
-    rows = counts.select("gram", "n0", "n1", v.alias("v"), w.alias("w"))
-    # one row a word of the vocabulary
-    heads = rows.groupBy("v").agg(F.sum("n0").alias("v0"), F.sum("n1").alias("v1"))
-    words = rows.groupBy("w").agg(F.sum("n0").alias("w0"), F.sum("n1").alias("w1"))
+def count_grams(docs: DataFrame, text: str = "text") -> DataFrame:
+    """(gram, v, n0, n1): how often each bigram comes in either fold, hashed by gram; v is its first word."""
+    counts = docs.select(text, fold_of(F.col(text)).alias("fold")).mapInArrow(_count_grams, "gram bigint, v bigint, n0 bigint, n1 bigint")
+    return counts.groupBy("gram").agg(F.min("v").alias("v"), F.sum("n0").alias("n0"), F.sum("n1").alias("n1"))
+
+
+def gram_costs(grams: DataFrame, words: DataFrame) -> DataFrame:
+    """(gram, cost0, cost1): micro-nats of a bigram for a document of fold 0 (by the counts of fold 1), and of fold 1; the
+    cost for a fold that does not have the bigram means nothing."""
+    both = (F.col("n0") > 0) & (F.col("n1") > 0)
+    keyed = grams.select("gram", F.when(both, F.col("v")).otherwise(_second("gram", "v")).alias("word"), "n0", "n1")
     total = words.agg(F.sum("w0").alias("t0"), F.sum("w1").alias("t1"))
-    known = rows.join(F.broadcast(heads), "v").join(F.broadcast(words), "w").crossJoin(F.broadcast(total))  # one row
+    known = keyed.join(words, "word").crossJoin(F.broadcast(total))  # one row
 
     def cost(n: str, head: str, word: str, all_: str) -> Column:
-        seen = F.col(n).cast("double") / F.col(head)
+        # a head is 0 only where the bigram is not seen
+        seen = F.col(n).cast("double") / F.greatest(F.col(head), F.lit(1))
         alone = F.greatest(F.col(word).cast("double"), F.lit(0.5)) / F.greatest(F.col(all_), F.lit(1))
-        return F.round(-F.ln(F.when(F.col(n) > 0, seen).otherwise(F.lit(BACKOFF) * alone)) * MICRO).cast("bigint")
+        return F.round(-F.ln(F.when(both, seen).otherwise(F.lit(BACKOFF) * alone)) * MICRO).cast("bigint")
 
     return known.select("gram", cost("n1", "v1", "w1", "t1").alias("cost0"), cost("n0", "v0", "w0", "t0").alias("cost1"))
 
 
-def _explode(known):
-    def explode(batches):
-        for batch in batches:
-            rows = batch.column(0).to_numpy(zero_copy_only=False)
-            for k, chunk in enumerate(byte_chunks(batch.column(1))):
-                doc, gram = _pairs(chunk, known())
-                # a document's number above, a gram in 32 bits
-                keys, n = np.unique(doc << 32 | gram, return_counts=True)
-                yield pa.RecordBatch.from_arrays([pa.array(rows[CHUNK_ROWS * k : CHUNK_ROWS * (k + 1)][keys >> 32]), pa.array(keys & ((1 << 32) - 1)), pa.array(n.astype(np.int32))], names=["row", "gram", "n"])
-
-    return explode
+def _explode(batches):
+    for batch in batches:
+        rows = batch.column(0).to_numpy(zero_copy_only=False)
+        for k, chunk in enumerate(byte_chunks(batch.column(1))):
+            doc, v, w = _pairs(chunk)
+            gram = _gram(v, w)
+            order = np.lexsort((gram, doc))
+            gram, doc = gram[order], doc[order]
+            heads = np.flatnonzero((gram[1:] != gram[:-1]) | (doc[1:] != doc[:-1])) + 1 if len(gram) else np.empty(0, np.int64)
+            heads = np.concatenate([[0], heads]) if len(gram) else heads
+            n = np.diff(np.append(heads, len(gram)))
+            yield pa.RecordBatch.from_arrays([pa.array(rows[CHUNK_ROWS * k : CHUNK_ROWS * (k + 1)][doc[heads]]), _signed(gram[heads]), pa.array(n.astype(np.int32))], names=["row", "gram", "n"])
 
 
-def score_documents(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", size: int = VOCABULARY) -> DataFrame:
+def score_documents(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """One row a document: doc_id, fold, n_tokens, cost (micro-nats), nats_per_token."""
     small_batches(docs.sparkSession)
-    known = sent(docs.sparkSession.sparkContext, vocabulary(docs, text, size))
-    costs = gram_costs(staged(count_grams(docs, known, text), "grams"))
+    costs = gram_costs(count_grams(docs, text), staged(count_words(docs, text), "words"))
     rows = docs.select((F.monotonically_increasing_id() * 2 + fold_of(F.col(text))).alias("row"), F.col(doc_id).alias("doc_id"), F.col(text).alias("text"))
-    grams = rows.select("row", "text").mapInArrow(_explode(known), "row bigint, gram bigint, n int")
+    grams = rows.select("row", "text").mapInArrow(_explode, "row bigint, gram bigint, n int")
     cost = F.when(F.col("row") % 2 == 0, F.col("cost0")).otherwise(F.col("cost1"))
     sums = grams.join(costs, "gram").groupBy("row").agg(F.sum(F.col("n") * cost).alias("cost"), F.sum("n").alias("n_tokens"))
     zero = F.lit(0).cast("bigint")

@@ -218,3 +218,21 @@ def test_lm_folds_and_costs(spark):
         assert rows[i].n_tokens == len((t or "").split())
     assert rows[3].cost == 0 and rows[3].nats_per_token is None
     assert collections.Counter(r.n_tokens for r in rows.values())[0] == 1
+
+
+def test_lm_counts_every_word(spark, tmp_path):
+    """More different words than the twin's cap: the twin's text with the cap lifted says the costs."""
+    import duckdb
+
+    from meterpack.llm.oracles import OP7
+
+    rare = [" ".join(f"w{i}x{j}" for j in range(60)) for i in range(300)]
+    texts = [*rare, *(f"{t} again" for t in rare), "a b a b c", None, ""]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")
+    ours = {r.doc_id: (r.fold, r.n_tokens, r.cost, r.nats_per_token) for r in lm_score.score_documents(docs).collect()}
+    con = duckdb.connect()
+    docs.write.parquet(f"{tmp_path}/documents")
+    con.sql(f"CREATE VIEW documents AS SELECT * FROM '{tmp_path}/documents/*.parquet'")
+    whole = con.sql(OP7.replace(f"words <= {lm_score.VOCABULARY}", "true")).fetchall()
+    assert ours == {r[0]: tuple(r[1:]) for r in whole}
+    assert len(ours) == len(texts)
