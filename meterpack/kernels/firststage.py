@@ -1,20 +1,29 @@
-"""First-stage coders: a block of readings becomes a compressed stream of 16-bit words, and back."""
+"""First-stage coders: a block of readings becomes a compressed stream of 16-bit words, and back.
+
+A coder takes readings of 0..65535. Its wide form takes any 64-bit integer and nulls: what does not fit goes aside with its
+place, in words before the stream, and comes back on decoding."""
 
 from __future__ import annotations
 
 import numpy as np
 
 from meterpack.kernels.arith import gaussian_decode, gaussian_encode
-from meterpack.kernels.bits import from_words, get_varints, put_varints, to_words, unzigzag, zigzag
+from meterpack.kernels.bits import from_words, get_sorted, get_varints, put_sorted, put_varints, to_words, unzigzag, zigzag
 from meterpack.kernels.huffman import huffman_decode, huffman_encode
 
-CODERS = ("identity", "gaussian_ac", "delta_gaussian_ac", "delta_huffman", "delta_varint")
+PLAIN = ("identity", "gaussian_ac", "delta_gaussian_ac", "delta_huffman", "delta_varint")
+WIDE = "wide_"
+#: Packed rows name a coder by its place here.
+CODERS = (*PLAIN, *(WIDE + c for c in PLAIN))
+LARGEST = 65535
 #: Bits of the two model parameters, and of a first value.
 PARAM_BITS, FIRST_BITS = 32, 16
 
 
 def encode_block(readings: np.ndarray, coder: str) -> tuple[int, int, int, int, np.ndarray]:
     """(n_bits, mu, sigma, first, words); mu and sigma in 1/16. n_bits has parameters in, padding out."""
+    if coder.startswith(WIDE):
+        return _encode_wide(readings, coder.removeprefix(WIDE))
     x = np.asarray(readings, np.int64)
     if coder == "identity":
         return 16 * len(x), 0, 0, 0, x.astype(np.int32)
@@ -33,7 +42,45 @@ def encode_block(readings: np.ndarray, coder: str) -> tuple[int, int, int, int,
     return 8 * len(data) + FIRST_BITS, 0, 0, first, to_words(data)
 
 
+def unfit(readings: np.ndarray) -> np.ndarray:
+    """Where readings are null (masked) or beyond 16 bits."""
+    x = np.ma.getdata(readings)
+    return np.ma.getmaskarray(readings) | (x < 0) | (x > LARGEST)
+
+
+def coder_for(readings: np.ndarray, coder: str) -> str:
+    """The coder, or its wide form where some reading does not fit."""
+    return coder if coder.startswith(WIDE) or not unfit(readings).any() else WIDE + coder
+
+
+def _encode_wide(readings: np.ndarray, coder: str) -> tuple[int, int, int, int, np.ndarray]:
+    x, null, aside = np.ma.getdata(readings), np.ma.getmaskarray(readings), unfit(readings)
+    places = np.flatnonzero(aside)
+    # 0 is a null; Python's integers, since a 64-bit value may take 65 bits
+    codes = (0 if null[p] else 1 + (2 * v if v >= 0 else -2 * v - 1) for p in places for v in (int(x[p]),))
+    side = to_words(put_sorted(places) + put_varints(codes))
+    n_bits, mu, sigma, first, words = encode_block(np.where(aside, 0, x), coder)
+    head = [len(side) >> 16, len(side) & LARGEST]
+    return n_bits + 16 * (len(head) + len(side)), mu, sigma, first, np.concatenate([head, side, words]).astype(np.int32)
+
+
+def _decode_wide(words: np.ndarray, coder: str, n_readings: int, n_bits: int, mu: int, sigma: int, first: int) -> np.ndarray:
+    n = int(words[0]) << 16 | int(words[1])
+    side = from_words(words[2 : 2 + n], 2 * n)
+    places, at = get_sorted(side)
+    codes, _ = get_varints(side, len(places), at)
+    x = np.array(decode_block(words[2 + n :], coder, n_readings, n_bits - 16 * (2 + n), mu, sigma, first), np.int64)
+    null = np.zeros(len(x), bool)
+    for p, c in zip(places, codes, strict=True):
+        null[p] = c == 0
+        x[p] = 0 if c == 0 else -(c // 2) if (c - 1) & 1 else (c - 1) // 2
+    return np.ma.MaskedArray(x, null) if null.any() else x
+
+
 def decode_block(words: np.ndarray, coder: str, n_readings: int, n_bits: int, mu: int, sigma: int, first: int) -> np.ndarray:
+    """The readings; masked where they are null."""
+    if coder.startswith(WIDE):
+        return _decode_wide(words, coder.removeprefix(WIDE), n_readings, n_bits, mu, sigma, first)
     if coder == "identity":
         return np.asarray(words, np.int64)
     if not n_readings:

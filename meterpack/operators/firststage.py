@@ -6,7 +6,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from meterpack.kernels.firststage import CODERS, decode_block, encode_block
+from meterpack.kernels.firststage import CODERS, coder_for, decode_block, encode_block
 from meterpack.schemas import READINGS, STREAMS
 
 
@@ -27,16 +27,28 @@ def rows_of(column: pa.Array) -> list[np.ndarray]:
     return [values[a:z] for a, z in zip(ends, ends[1:], strict=False)]
 
 
+def readings_of(column: pa.Array) -> list[np.ndarray]:
+    """rows_of, masked where a cell holds null."""
+    values = column.values
+    if not values.null_count:
+        return rows_of(column)
+    x, ends = np.ma.MaskedArray(values.fill_null(0).to_numpy(), values.is_null().to_numpy(zero_copy_only=False)), column.offsets.to_numpy()
+    return [x[a:z] for a, z in zip(ends, ends[1:], strict=False)]
+
+
 def first_stage(blocks: DataFrame, coder: str = "gaussian_ac") -> DataFrame:
-    """Compressed streams (STREAMS) of blocks (stream_id, block_no, n_readings, readings)."""
+    """Compressed streams (STREAMS) of blocks (stream_id, block_no, n_readings, readings). A block with readings
+    that do not fit the coder takes its wide form, so that none is lost or moved."""
     if coder not in CODERS:
         raise ValueError(f"no first-stage coder {coder!r}; there are {', '.join(CODERS)}")
 
     def run(batches):
         for b in batches:
-            done = [encode_block(x, coder) for x in rows_of(b.column(3))]
+            readings = readings_of(b.column(3))
+            coders = [coder_for(x, coder) for x in readings]
+            done = [encode_block(x, c) for x, c in zip(readings, coders, strict=True)]
             n_bits, mu, sigma, first, words = zip(*done, strict=True) if done else ((),) * 5
-            columns = [b.column(0), b.column(1), pa.array([coder] * len(done), pa.string()), b.column(2), pa.array(n_bits, pa.int64()), pa.array(mu, pa.int32()), pa.array(sigma, pa.int32()), pa.array(first, pa.int64()), pa.array(words, pa.list_(pa.int32()))]
+            columns = [b.column(0), b.column(1), pa.array(coders, pa.string()), b.column(2), pa.array(n_bits, pa.int64()), pa.array(mu, pa.int32()), pa.array(sigma, pa.int32()), pa.array(first, pa.int64()), pa.array(words, pa.list_(pa.int32()))]
             yield pa.RecordBatch.from_arrays(columns, names=["stream_id", "block_no", "coder", "n_readings", "n_bits", "mu", "sigma", "first", "words"])
 
     return spread(blocks.select("stream_id", "block_no", "n_readings", "readings"), "stream_id", "block_no").mapInArrow(run, STREAMS)

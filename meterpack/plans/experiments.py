@@ -16,14 +16,13 @@ from meterpack.operators.baselines import collection, single
 from meterpack.operators.firststage import first_stage, rows_of, spread
 from meterpack.plans.recompress import PACKED, arrow_schema, batch_by_rank, compression_ratio, group_labels, pack_batch, recompress
 from meterpack.kernels.group import pad
-from meterpack.sources.carriers import BLOCK, BLOCK_OF, blocks, carrier, fit
+from meterpack.sources.carriers import BLOCK, BLOCK_OF, blocks, carrier
 
 KS = (2, 4, 6, 8, 10, 12)
 
 
 def streams_of(spark: SparkSession, sf_dir: str, name: str, coder: str = "identity") -> DataFrame:
-    ok, _ = fit(carrier(spark, sf_dir, name))
-    return first_stage(blocks(ok, BLOCK_OF.get(name, BLOCK)), coder)
+    return first_stage(blocks(carrier(spark, sf_dir, name), BLOCK_OF.get(name, BLOCK)), coder)
 
 
 def single_cr(spark: SparkSession, sf_dir: str, carriers=("meter_grid", "meter_value", "supplier_qty"), first=("gaussian_ac", "identity")) -> DataFrame:

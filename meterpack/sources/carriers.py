@@ -31,9 +31,9 @@ def two_words(rows: DataFrame) -> DataFrame:
     return rows.select("stream_id", F.col("pos"), words.alias("half", "word")).select("stream_id", (F.col("pos") * 2 + F.col("half")).alias("pos"), F.col("word").alias("sym"))
 
 
-def filled(sums: DataFrame, n: int) -> DataFrame:
-    """(stream_id, slot, sym) sums on a grid of n slots, zero where there is none."""
-    grid = sums.select("stream_id").distinct().select("stream_id", F.explode(F.sequence(F.lit(0), F.lit(n - 1))).alias("slot"))
+def filled(sums: DataFrame, n: int, first: int = 0) -> DataFrame:
+    """(stream_id, slot, sym) sums on a grid of n slots from the first, zero where there is none."""
+    grid = sums.select("stream_id").distinct().select("stream_id", F.explode(F.sequence(F.lit(first), F.lit(first + n - 1))).alias("slot"))
     return grid.join(sums, ["stream_id", "slot"], "left").select("stream_id", F.col("slot").alias("pos"), F.coalesce("sym", F.lit(0).cast("bigint")).alias("sym"))
 
 
@@ -46,8 +46,12 @@ def slot_of(ts: str) -> Column:
 
 
 def meter_grid(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Sums by slot from ORIGIN on: SLOTS of them, and as many more before and after, in whole blocks of SLOTS, as the
+    readings span. A reading without a time has no slot."""
     events = table(spark, sf_dir, "events").select(F.col("user_id").alias("stream_id"), slot_of("ts").alias("slot"), cents("value").alias("c"))
-    return filled(events.where(F.col("slot").between(0, SLOTS - 1)).groupBy("stream_id", "slot").agg(F.sum("c").alias("sym")), SLOTS)
+    span = events.agg(F.min("slot").alias("first"), F.max("slot").alias("last")).first()
+    low, high = min(0, (span["first"] or 0) // SLOTS), max(0, (span["last"] or 0) // SLOTS)
+    return filled(events.groupBy("stream_id", "slot").agg(F.sum("c").alias("sym")), (high - low + 1) * SLOTS, low * SLOTS)
 
 
 LINE_ORDER = ["l_shipdate", "l_orderkey", "l_linenumber", "l_partkey", "l_extendedprice"]
