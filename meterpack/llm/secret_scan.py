@@ -19,7 +19,9 @@ ASSIGN = rf"""(?i:({WORDS}))["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)"""
 ACCESS = r"AKIA[A-Z0-9]{12,}+"
 HEX = r"(?<![0-9a-f])[0-9a-f]{32,}+"
 GENERIC = r"(?<![A-Za-z0-9+/_-])[A-Za-z0-9+/_-]{24,}+={0,2}"
-PEM = r"-----BEGIN [A-Z ]{0,40}PRIVATE KEY-----"
+PEM_HEAD = r"-----BEGIN [A-Z ]{0,40}PRIVATE KEY-----"
+#: A key goes on to its END line or, where that is missing, over the runs of base64 that follow; lines may be ended by escapes.
+PEM = PEM_HEAD + r"([^-]*+(?:-(?!----)[^-]*+){0,64}+-----END [A-Z ]{0,40}PRIVATE KEY-----|(?:(?:\s|\\[nr])*+[A-Za-z0-9+/=]{16,}+){0,400}+)"
 MIN_ASSIGNED = 8
 #: Values that are copied from manuals (fixed values).
 SAMPLE = r"(?i)example|sample|changeme|placeholder|dummy|your[_-]|x{6,}|0{8,}|12345678"
@@ -53,20 +55,24 @@ def _placed(found: Column, kind: int) -> Column:
 
 
 def candidates(docs: DataFrame, text: str = "text") -> DataFrame:
-    """docs with `base` and `more`: the spans of the base patterns, and wider ones that overlap none of these. Map-only."""
+    """docs with `base` and `more`: the spans of the base patterns, and wider ones: runs that overlap none of these, and
+    private keys, whatever lies within. Map-only."""
     body = F.coalesce(F.col(text), F.lit(""))
     out = docs.withColumn("__mp_text", body)
     t = F.col("__mp_text")
-    found = {0: (ASSIGN, 2, f"(?i:{WORDS})"), 1: (ACCESS, 0, None), 2: (HEX, 0, None), 3: (GENERIC, 0, None), 4: (PEM, 0, "-----BEGIN ")}
+    found = {0: (ASSIGN, 2, f"(?i:{WORDS})"), 1: (ACCESS, 0, None), 2: (HEX, 0, None), 3: (GENERIC, 0, None), 4: (PEM, 1, "-----BEGIN ")}
     out = out.withColumns({f"__mp_found_{k}": _positions(t, p, g, k, sign) for k, (p, g, sign) in found.items()})
     out = out.withColumns({f"__mp_spans_{k}": _placed(F.col(f"__mp_found_{k}"), k) for k in found})
     spans = {k: F.col(f"__mp_spans_{k}") for k in found}
     base = F.concat(F.filter(spans[0], lambda x: F.length(x["value"]) >= MIN_ASSIGNED), spans[1], spans[2])
     out = out.withColumn("base", F.array_sort(base))
     mixed = lambda v: v.rlike("[a-z]") & v.rlike("[A-Z]") & v.rlike("[0-9]")
-    more = F.concat(F.filter(spans[3], lambda x: mixed(x["value"])), spans[4])
-    clear = F.filter(more, lambda x: ~F.exists(F.col("base"), lambda b: (b["start"] < x["end"]) & (x["start"] < b["end"])))
-    return out.withColumn("more", clear).drop("__mp_text", *(f"__mp_found_{k}" for k in found), *(f"__mp_spans_{k}" for k in found))
+    apart = lambda x, these: ~F.exists(these, lambda b: (b["start"] < x["end"]) & (x["start"] < b["end"]))
+    runs = F.filter(spans[3], lambda x: mixed(x["value"]) & apart(x, F.col("base")) & apart(x, spans[4]))
+    # a key is its body, however its lines are cut; a bare header is itself
+    key = lambda v: F.regexp_replace(v, r"\s|\\[nr]|-----END [A-Z ]{0,40}PRIVATE KEY-----", "")
+    keys = F.transform(spans[4], lambda x: F.struct(x["start"].alias("start"), x["end"].alias("end"), x["kind"].alias("kind"), F.when(key(x["value"]) == "", "PRIVATE KEY").otherwise(key(x["value"])).alias("value")))
+    return out.withColumn("more", F.concat(runs, keys)).drop("__mp_text", *(f"__mp_found_{k}" for k in found), *(f"__mp_spans_{k}" for k in found))
 
 
 def ownership(found: DataFrame) -> DataFrame:

@@ -236,3 +236,22 @@ def test_lm_counts_every_word(spark, tmp_path):
     whole = con.sql(OP7.replace(f"words <= {lm_score.VOCABULARY}", "true")).fetchall()
     assert ours == {r[0]: tuple(r[1:]) for r in whole}
     assert len(ours) == len(texts)
+
+
+def test_private_keys_are_told_apart_by_body(spark):
+    """Four owners, a key each, and one key that all have: the header is the same everywhere."""
+    head, end = "-----BEGIN RSA PRIVATE KEY-----", "-----END RSA PRIVATE KEY-----"
+    lines = lambda seed, cut: "\n".join(re.findall(f".{{1,{cut}}}", hashlib.sha512(seed.encode()).hexdigest().translate(str.maketrans("abcdef", "GhKm/+")) * 3))
+    texts = [f"é {head}\n{lines(str(i), 64)}\n{end} x" for i in range(4)]
+    texts += [f"{head}\nDEK-Info: AES-128-CBC,7\n\n{lines('enc', 64)}\n{end}", f"{head}\n{lines('cut off', 64)}", f'secret = "{head}\\n{lines("json", 999)}\\n{end}"']
+    own = len(texts)
+    texts += [f"{head}\n{lines('all', cut)}\n{end}" for cut in (64, 64, 32, 76)]
+    docs = spark.createDataFrame([(i, t, f"s{i}") for i, t in enumerate(texts)], "doc_id bigint, text string, source string")
+    rows = {r.doc_id: r for r in secret_scan.scan_secrets(docs).collect()}
+    for i, t in enumerate(texts):
+        found = [x for x in rows[i].found if x.kind == 4]
+        start = t.index(head)
+        stop = t.index(end) + len(end) if end in t else len(t)
+        assert [(x.start, x.end, x.standing) for x in found] == [(start, stop, "live" if i < own else "example")]
+        assert (f"pem:{start}:{stop}" in rows[i].spans) == (i < own)
+    assert len({x.secret for r in rows.values() for x in r.found if x.kind == 4}) == own + 1
