@@ -33,7 +33,7 @@ WIDE = {
     "phone": re.compile(r"(?<![0-9+])(?:\([0-9]{3}\) ?|[0-9]{3}[ .-])[0-9]{3}[ .-][0-9]{4}(?![0-9])"),
 }
 #: A text without any of these holds no wide form of the kind.
-SIGNS = {"email": ("at]", "(at)", " dot "), "ip": (":",), "card": (".", "/"), "phone": ("-", ".", " ")}
+SIGNS = {"email": ("[dot]", "(dot)", " dot "), "ip": (":",), "card": (".", "/"), "phone": ("-", ".", " ")}
 
 #: Gazetteers (fixed values): endings of mail domains, first digits of card issuers, calling codes.
 MAIL_ENDINGS = frozenset("com org net edu gov io de fr es uk it nl eu info".split())

@@ -255,3 +255,16 @@ def test_private_keys_are_told_apart_by_body(spark):
         assert [(x.start, x.end, x.standing) for x in found] == [(start, stop, "live" if i < own else "example")]
         assert (f"pem:{start}:{stop}" in rows[i].spans) == (i < own)
     assert len({x.secret for r in rows.values() for x in r.found if x.kind == 4}) == own + 1
+
+
+@pytest.mark.parametrize("kind", pii.KINDS)
+def test_signs_miss_no_wide_form(kind):
+    ways = {
+        "email": [f"joe{a}example{b}com" for a in ("[at]", "(at)", " at ", " [at] ", " (at) ") for b in ("[dot]", "(dot)", " dot ", " [dot] ", " (dot) ")],
+        "ip": ["1:2:3:4:5:6:7:8"],
+        "card": ["4111.1111.1111.1111", "4111/1111/1111/1111"],
+        "phone": ["(244)555-4688", "244 555 4688", "244.555.4688", "244-555-4688"],
+    }[kind]
+    for t in ways:
+        assert pii.WIDE[kind].search(t)
+        assert [(k, s, e) for k, s, e in pii.wide_spans(t, []) if pii.KINDS[k] == kind] == [(pii.KINDS.index(kind), 0, len(t))]
