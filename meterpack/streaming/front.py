@@ -11,6 +11,7 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 from meterpack.kernels.codec import Config
 from meterpack.operators.firststage import first_stage
 from meterpack.plans.recompress import batch_by_rank, recompress
+from meterpack.schemas import STREAMS
 
 EVENTS = "event_id bigint, ts timestamp_ntz, user_id bigint, event_type string, value double, props string"
 
@@ -27,45 +28,75 @@ def readings(events: DataFrame, late: str = "1 hour") -> DataFrame:
     return rows.withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])
 
 
+#: The meter of end-of-input marks: they move the watermark and are no readings.
+MARK = -(1 << 63)
+
+
+def marks(spark: SparkSession, path: str) -> DataFrame:
+    """A stream of end-of-input marks under path, in the columns of read_events; close_input() writes one."""
+    if not spark._jvm.org.apache.hadoop.fs.Path(path).getFileSystem(spark._jsc.hadoopConfiguration()).exists(spark._jvm.org.apache.hadoop.fs.Path(path)):
+        spark.createDataFrame([], EVENTS).write.parquet(path)
+    return spark.readStream.schema(EVENTS).parquet(path).withColumn("ts", F.col("ts").cast("timestamp"))
+
+
+def close_input(spark: SparkSession, path: str, at: str = "2262-01-01") -> None:
+    """Says that no reading before `at` will come any more: the next run of a query that reads marks(path) flushes all blocks."""
+    mark = spark.range(1).select(F.lit(MARK).alias("event_id"), F.lit(at).cast("timestamp_ntz").alias("ts"), F.lit(MARK).alias("user_id"), F.lit("mark").alias("event_type"), F.lit(0.0).alias("value"), F.lit("{}").alias("props"))
+    mark.coalesce(1).write.mode("append").parquet(path)
+
+
 def assemble(rows: DataFrame, block_len: int, wait_ms: int = 3_600_000) -> DataFrame:
-    """Blocks (stream_id, block_no, n_readings, readings) of a stream of readings: full ones as soon as they are full, a
-    short one when a meter has been silent for wait_ms. A meter's state is less than one block.
+    """Blocks (stream_id, block_no, n_readings, readings) of a stream of readings in order of time and event_id, as the batch
+    form cuts them: a full one once the watermark has passed its last reading, a short one once the watermark is wait_ms
+    behind the newest reading of its meter. A meter's state is its readings that the watermark has not passed, and less
+    than one block more.
 
-    Readings of one micro-batch are put in time order; a reading that comes in a later micro-batch than a newer one
-    follows it."""
+    A reading that comes late, but before the watermark, takes its own place. One behind the watermark never gets here.
+    After a short block a meter goes on with the next block number, so that later places start at a block's border."""
 
     def step(key, frames, state: GroupState):
         import pandas as pd
 
-        number, ts, ids, syms = state.get if state.exists else (0, [], [], [])
-        ts, ids, syms = list(ts), list(ids), list(syms)
-        if state.hasTimedOut:
-            state.remove()
-            if syms:
-                yield pd.DataFrame({"stream_id": [key[0]], "block_no": [number], "n_readings": [len(syms)], "readings": [syms]})
-            return
+        number, held = 0, []
+        if state.exists:
+            number, *columns = state.get
+            held = list(zip(*map(list, columns), strict=True))
         for frame in frames:
-            ts += [t.value for t in frame["ts"]]
-            ids += frame["event_id"].tolist()
-            syms += frame["sym"].tolist()
-        order = sorted(range(len(ts)), key=lambda i: (ts[i], ids[i]))
-        ts, ids, syms = ([x[i] for i in order] for x in (ts, ids, syms))
-        while len(syms) >= block_len:
-            yield pd.DataFrame({"stream_id": [key[0]], "block_no": [number], "n_readings": [block_len], "readings": [syms[:block_len]]})
-            number, ts, ids, syms = number + 1, ts[block_len:], ids[block_len:], syms[block_len:]
-        state.update((number, ts, ids, syms))
-        state.setTimeoutDuration(wait_ms)
+            held += zip((t.value // 1_000 for t in frame["ts"]), frame["event_id"].tolist(), frame["sym"].tolist(), strict=True)
+        if key[0] == MARK:
+            return
+        held.sort()
+        passed = state.getCurrentWatermarkMs() * 1_000
+        out = []
+        while len(held) >= block_len and held[block_len - 1][0] < passed:
+            out.append(held[:block_len])
+            held = held[block_len:]
+        if held and held[-1][0] + wait_ms * 1_000 < passed:
+            out.append(held)
+            held = []
+        state.update((number + len(out), *([h[i] for h in held] for i in range(3))))
+        if held:
+            due = held[block_len - 1][0] if len(held) >= block_len else held[-1][0] + wait_ms * 1_000
+            state.setTimeoutTimestamp(max(due, passed) // 1_000 + 1)
+        if out:
+            yield pd.DataFrame({"stream_id": [key[0]] * len(out), "block_no": range(number, number + len(out)), "n_readings": list(map(len, out)), "readings": [[h[2] for h in block] for block in out]})
 
     return rows.groupBy("stream_id").applyInPandasWithState(
-        step, "stream_id bigint, block_no int, n_readings int, readings array<bigint>", "number int, ts array<bigint>, ids array<bigint>, syms array<bigint>", "append", GroupStateTimeout.ProcessingTimeTimeout
+        step, "stream_id bigint, block_no int, n_readings int, readings array<bigint>", "number int, ts array<bigint>, ids array<bigint>, syms array<bigint>", "append", GroupStateTimeout.EventTimeTimeout
     )
 
 
 def pack_sink(path: str, coder: str = "gaussian_ac", cfg: Config = Config(grouping="random", k=1)) -> Callable[[DataFrame, int], None]:
-    """For foreachBatch: packs each micro-batch's blocks into path/epoch=N. A replayed epoch overwrites itself."""
+    """For foreachBatch: packs each micro-batch's blocks into path/epoch=N. A replayed epoch overwrites itself.
+
+    The compressed streams are written first, beside path: packing reads them more than once, and the state's operators
+    must not run again each time."""
 
     def write(blocks: DataFrame, epoch: int) -> None:
-        recompress(batch_by_rank(first_stage(blocks, coder)), cfg).write.mode("overwrite").parquet(f"{path}/epoch={epoch}")
+        held = f"{path}-streams/epoch={epoch}"
+        first_stage(blocks, coder).write.mode("overwrite").parquet(held)
+        streams = blocks.sparkSession.read.schema(STREAMS).parquet(held)
+        recompress(batch_by_rank(streams), cfg).write.mode("overwrite").parquet(f"{path}/epoch={epoch}")
 
     return write
 
