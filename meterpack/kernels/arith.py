@@ -37,13 +37,14 @@ class Encoder:
         self.low, self.range = low, min(rng, MASK)
 
     def end(self) -> bytes:
-        """The fewest bytes whose continuation by zeros lies in the last interval."""
+        """The fewest bytes of which every continuation lies in the last interval, so that they are no fewer than the
+        interval's width asks for."""
         for n in range(9):
             unit = 1 << (64 - 8 * n)
             value = -(-self.low // unit) * unit
-            if value < self.low + self.range and value <= MASK:
-                return bytes(self.out) + value.to_bytes(8, "big")[:n]
-        return bytes(self.out) + self.low.to_bytes(8, "big")
+            if value + unit <= self.low + self.range:
+                break
+        return bytes(self.out) + value.to_bytes(9, "big")[1 : n + 1]
 
 
 class Decoder:
