@@ -2,17 +2,28 @@
 
 from __future__ import annotations
 
+import tempfile
 import uuid
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 
+def shared_dir(spark: SparkSession) -> str:
+    """The folder that driver and executors share: spark.checkpoint.dir. Where it is unset, one of our own if all run on this
+    machine; on a cluster that would lose files, so there it is an error."""
+    top = spark.conf.get("spark.checkpoint.dir", None)
+    if top:
+        return top
+    if not spark.sparkContext.master.startswith("local"):
+        raise ValueError("spark.checkpoint.dir is unset: name a folder that driver and executors share")
+    return f"file://{tempfile.gettempdir()}/checkpoints"
+
+
 def kept(df: DataFrame, name: str) -> DataFrame:
-    """Written once to the folder that all machines share (spark.checkpoint.dir; one of our own where it is unset) and read back."""
+    """Written once to the shared folder and read back."""
     spark = df.sparkSession
-    top = spark.conf.get("spark.checkpoint.dir", None) or "file:///tmp/checkpoints"
-    path = f"{top}/{name}-{uuid.uuid4().hex}"
+    path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 

@@ -57,18 +57,16 @@ def dynamic_choice(run_rows: DataFrame, thresholds: tuple[int, ...], *group: str
     return best.select(*group, "off_bits", F.when(pays, F.col("best.bits")).otherwise(F.col("off_bits")).alias("bits"), F.when(pays, F.col("best.t")).otherwise(0).cast("int").alias("t"))
 
 
-def mtf_ranks(rows: DataFrame, *group: str, order: str = "gpos") -> DataFrame:
-    """rank of every position: distinct symbols since its last occurrence, or, at its first, the distinct symbols seen so
-    far and those of the alphabet below it not seen yet. A theta join bounded by the group: for groups of some hundreds."""
-    w = Window.partitionBy(*group).orderBy(order)
-    prev = rows.withColumn("prev", F.lag(order).over(Window.partitionBy(*group, "sym").orderBy(order)))
-    r, o = prev.alias("r"), prev.select(*group, F.col(order).alias("o_pos"), F.col("sym").alias("o_sym"), F.col("prev").alias("o_prev")).alias("o")
-    since = F.coalesce(F.col("prev"), F.lit(-1))
-    # a symbol counts once: where its own previous occurrence does not lie in the stretch
-    inside = (F.col("o_pos") > since) & (F.col("o_pos") < F.col(order)) & (F.coalesce(F.col("o_prev"), F.lit(-1)) <= since)
-    below = F.col("prev").isNull() & F.col("o_prev").isNull() & (F.col("o_sym") < F.col("sym")) & (F.col("o_pos") > F.col(order))
-    joined = r.join(o, list(group)).where(inside | below | ((F.col("o_pos") == F.col(order))))
-    return joined.groupBy(*group, order, "sym").agg((F.count(F.lit(1)) - 1).alias("rank"))
+def mtf_ranks(cells: DataFrame, x: str = "x") -> DataFrame:
+    """cells with `ranks`: each symbol's place in a list that begins as the sorted alphabet and moves every symbol read to its
+    front. A fold over the array, for cells of a bounded block."""
+    start = F.struct(F.array_sort(F.array_distinct(x)).alias("line"), F.array().cast("array<bigint>").alias("ranks"))
+
+    def step(acc: Column, sym: Column) -> Column:
+        line = F.concat(F.array(sym), F.array_remove(acc["line"], sym))
+        return F.struct(line.alias("line"), F.array_append(acc["ranks"], F.array_position(acc["line"], sym) - 1).alias("ranks"))
+
+    return cells.withColumn("ranks", F.aggregate(x, start, step, lambda acc: acc["ranks"]))
 
 
 def cumulative(rows: DataFrame, *group: str) -> DataFrame:

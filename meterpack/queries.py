@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Callable
 
@@ -22,6 +21,7 @@ from meterpack.kernels.rle import THRESHOLDS, ideal_bits, rle_classes, rle_class
 from meterpack.operators import cluster, measures, transform
 from meterpack.operators.baselines import single
 from meterpack.operators.firststage import first_stage_inverse, rows_of
+from meterpack.operators.ranks import dense_ranks, shared_dir
 from meterpack.plans import experiments
 from meterpack.plans.recompress import batch_by_rank, compression_ratio, md5_draw, recompress, recover_readings, recover_streams
 from meterpack.sources import carriers as C
@@ -235,42 +235,46 @@ for _name, _kernel in ROUND_TRIPS.items():
 
     query(_trip, sql=S3, name=f"{_name}_roundtrip")
 
-HEAD = 64
-HEADS = f"SELECT * FROM ({G1}) WHERE gpos < {HEAD}"
+ROTATIONS = f"""WITH cells AS (SELECT stream_id, list(sym ORDER BY pos) AS x FROM ({S3}) GROUP BY 1),
+r AS (SELECT stream_id, i, list_concat(x[i:], x[:i - 1]) AS rot FROM cells, unnest(range(1, len(x) + 1)) t(i))
+SELECT stream_id, CAST(row_number() OVER (PARTITION BY stream_id ORDER BY rot, i) - 1 AS INTEGER) AS row, rot[-1] AS last"""
 
 
-@query(sql=f"""WITH cells AS (SELECT cluster_id, list(sym ORDER BY gpos) AS x FROM ({HEADS}) GROUP BY 1),
-r AS (SELECT cluster_id, i, list_concat(x[i:], x[:i - 1]) AS rot FROM cells, unnest(range(1, len(x) + 1)) t(i))
-SELECT cluster_id, CAST(row_number() OVER (PARTITION BY cluster_id ORDER BY rot, i) - 1 AS INTEGER) AS row, rot[-1] AS last, i = 1 AS is_primary FROM r""")
+@query(sql=f"{ROTATIONS}, i = 1 AS is_primary FROM r")
 def bwt_last_column(s, d):
-    """By the kernel; its relational twin is transform.rotations."""
+    """Every stream, by the kernel."""
     functions.register(s)
-    cells = _cells(_groups(s, d).where(F.col("gpos") < HEAD), "cluster_id", "gpos").select("cluster_id", F.call_function("mp_bwt", "x").alias("b"))
-    return cells.select("cluster_id", F.col("b.primary").alias("p"), F.posexplode("b.last").alias("row", "last")).select("cluster_id", "row", "last", (F.col("row") == F.col("p")).alias("is_primary"))
+    cells = _cells(C.supplier_qty(s, d), "stream_id", "pos").select("stream_id", F.call_function("mp_bwt", "x").alias("b"))
+    return cells.select("stream_id", F.col("b.primary").alias("p"), F.posexplode("b.last").alias("row", "last")).select("stream_id", "row", "last", (F.col("row") == F.col("p")).alias("is_primary"))
 
 
-@query(sql=f"""WITH cells AS (SELECT cluster_id, list(sym ORDER BY gpos) AS x FROM ({HEADS}) GROUP BY 1),
-r AS (SELECT cluster_id, i, list_concat(x[i:], x[:i - 1]) AS rot FROM cells, unnest(range(1, len(x) + 1)) t(i))
-SELECT cluster_id, CAST(row_number() OVER (PARTITION BY cluster_id ORDER BY rot, i) - 1 AS INTEGER) AS row, rot[-1] AS last FROM r""")
+@query(sql=f"{ROTATIONS} FROM r")
 def bwt_relational(s, d):
-    cells = _cells(_groups(s, d).where(F.col("gpos") < HEAD), "cluster_id", "gpos")
-    return transform.rotations(cells).select("cluster_id", F.posexplode("last").alias("row", "last"))
+    """Every stream, by its sorted rotations in expressions."""
+    return transform.rotations(_cells(C.supplier_qty(s, d), "stream_id", "pos")).select("stream_id", F.posexplode("last").alias("row", "last"))
 
 
-@query(sql=f"""WITH x AS (SELECT sym, CAST(pos AS BIGINT) AS gpos FROM ({S3}) WHERE stream_id = 1), c AS (SELECT list(sym ORDER BY gpos) AS x FROM x),
-r AS (SELECT i, list_concat(x[i:], x[:i - 1]) AS rot FROM c, unnest(range(1, len(x) + 1)) t(i)) SELECT row_number() OVER (ORDER BY rot, i) - 1 AS row, rot[-1] AS last FROM r""")
+def _doubling_sql(rounds: int = 20) -> str:
+    """Ranks of all rotations of the pooled symbols by 1, 2, 4 ... symbols: whole for up to 2**rounds of them."""
+    ctes = [f"p AS MATERIALIZED (SELECT CAST(row_number() OVER (ORDER BY stream_id, pos) - 1 AS BIGINT) AS gpos, sym FROM ({S3}))", "n AS (SELECT count(*) AS n FROM p)", "r0 AS MATERIALIZED (SELECT gpos, dense_rank() OVER (ORDER BY sym) AS r FROM p)"]
+    for j in range(rounds):
+        ctes.append(f"r{j + 1} AS MATERIALIZED (SELECT a.gpos, dense_rank() OVER (ORDER BY a.r, b.r) AS r FROM r{j} a JOIN (SELECT (gpos + n - {1 << j} % n) % n AS gpos, r FROM r{j}, n) b ON b.gpos = a.gpos)")
+    return f"WITH {', '.join(ctes)} SELECT row_number() OVER (ORDER BY r, a.gpos) - 1 AS row, p.sym AS last FROM r{rounds} a JOIN (SELECT (gpos + 1) % n AS gpos, sym FROM p, n) p ON p.gpos = a.gpos"
+
+
+@query(sql=_doubling_sql())
 def bwt_distributed(s, d):
-    """The largest form: one stream ranked by the whole cluster."""
-    rows = C.supplier_qty(s, d).where("stream_id = 1").select(F.col("pos").cast("bigint").alias("gpos"), "sym")
+    """All streams end to end as one sequence, ranked by the whole cluster."""
+    rows = dense_ranks(C.supplier_qty(s, d), "stream_id", "pos").select(F.col("rank").alias("gpos"), "sym")
     return transform.bwt_distributed(rows)[0]
 
 
-@query(sql=f"""WITH h AS (SELECT cluster_id, gpos, sym, lag(gpos) OVER (PARTITION BY cluster_id, sym ORDER BY gpos) AS prev FROM ({HEADS}))
-SELECT r.cluster_id, r.gpos, r.sym, CASE WHEN prev IS NOT NULL
-  THEN (SELECT count(DISTINCT o.sym) FROM h o WHERE o.cluster_id = r.cluster_id AND o.gpos > r.prev AND o.gpos < r.gpos)
-  ELSE (SELECT count(DISTINCT o.sym) FROM h o WHERE o.cluster_id = r.cluster_id AND (o.gpos < r.gpos OR (o.sym < r.sym AND o.gpos > r.gpos))) END AS rank FROM h r""")
+@query(sql=f"""WITH x AS ({S3}), a AS (SELECT stream_id, sym AS a, -row_number() OVER (PARTITION BY stream_id ORDER BY sym) AS start FROM (SELECT DISTINCT stream_id, sym FROM x)),
+g AS (SELECT x.stream_id, x.pos, x.sym, a.a, coalesce(max(CASE WHEN x.sym = a.a THEN x.pos END) OVER (PARTITION BY x.stream_id, a.a ORDER BY x.pos ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), a.start) AS at FROM x JOIN a ON a.stream_id = x.stream_id)
+SELECT o.stream_id, o.pos, o.sym, count(*) FILTER (WHERE g.at > o.at) AS rank FROM g JOIN g o ON o.stream_id = g.stream_id AND o.pos = g.pos AND o.a = o.sym GROUP BY ALL""")
 def mtf_ranks(s, d):
-    return integers(transform.mtf_ranks(_groups(s, d).where(F.col("gpos") < HEAD), "cluster_id"), "gpos").select("cluster_id", "gpos", "sym", "rank")
+    """Every stream, by expressions alone; the oracle counts the symbols that came later than the own one."""
+    return transform.mtf_ranks(_cells(C.supplier_qty(s, d), "stream_id", "pos")).select("stream_id", F.posexplode(F.arrays_zip("x", "ranks")).alias("pos", "z")).select("stream_id", "pos", F.col("z.x").alias("sym"), F.col("z.ranks").alias("rank"))
 
 
 @query(sql=f"""WITH x AS (SELECT stream_id, pos, sym, lag(sym) OVER (PARTITION BY stream_id ORDER BY pos) AS before, min(sym) OVER (PARTITION BY stream_id) AS least FROM ({S3}))
@@ -646,14 +650,30 @@ def op_asof_reading(s, d):
     return found.where("o_orderkey is not null and event_id is not null").select("o_orderkey", "stream_id", "event_id")
 
 
-SPANS = "(SELECT user_id AS stream_id, min(ts) AS lo, max(ts) AS hi FROM events WHERE user_id <= 20 GROUP BY 1)"
+BUSY = """(SELECT user_id AS stream_id, min(ts) AS lo, max(ts) AS hi FROM (SELECT user_id, ts, sum(head) OVER (PARTITION BY user_id ORDER BY ts) AS n FROM
+(SELECT user_id, ts, CASE WHEN ts <= lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 2 HOUR THEN 0 ELSE 1 END AS head FROM events)) GROUP BY user_id, n HAVING min(ts) < max(ts))"""
+
+
+def _busy(s, d) -> DataFrame:
+    """(stream_id, lo, hi) of the stretches in which a meter is never silent for more than two hours."""
+    w = Window.partitionBy("stream_id").orderBy("ts")
+    events = C.table(s, d, "events").select(F.col("user_id").alias("stream_id"), "ts")
+    marked = events.withColumn("head", F.when(F.col("ts") <= F.lag("ts").over(w) + F.expr("interval 2 hours"), 0).otherwise(1))
+    numbered = marked.withColumn("n", F.sum("head").over(w))
+    return numbered.groupBy("stream_id", "n").agg(F.min("ts").alias("lo"), F.max("ts").alias("hi")).where("lo < hi").drop("n")
 
 
-@query(sql=f"SELECT a.stream_id AS a, b.stream_id AS b FROM {SPANS} a JOIN {SPANS} b ON a.stream_id < b.stream_id AND a.lo < b.hi AND b.lo < a.hi")
+@query(sql=f"SELECT a.stream_id AS a, b.stream_id AS b, CAST(floor(epoch(greatest(a.lo, b.lo))) AS BIGINT) AS since, CAST(floor(epoch(least(a.hi, b.hi)) - epoch(greatest(a.lo, b.lo))) AS BIGINT) AS seconds FROM {BUSY} a JOIN {BUSY} b ON a.stream_id < b.stream_id AND a.lo < b.hi AND b.lo < a.hi")
 def op_theta_overlap(s, d):
-    spans = C.table(s, d, "events").where("user_id <= 20").groupBy(F.col("user_id").alias("stream_id")).agg(F.min("ts").alias("lo"), F.max("ts").alias("hi"))
-    a, b = spans.alias("a"), spans.alias("b")
-    return a.join(b, F.expr("a.stream_id < b.stream_id AND a.lo < b.hi AND b.lo < a.hi")).select(F.col("a.stream_id").alias("a"), F.col("b.stream_id").alias("b"))
+    """Busy stretches of two meters that overlap. Stretches are dealt to the hours they touch, so that the overlap join is an
+    equi-join by hour; a pair counts in the first hour that both touch."""
+    since = lambda ts: F.timestamp_diff("SECOND", F.lit("1970-01-01").cast("timestamp_ntz"), F.col(ts))
+    hour = lambda ts: F.floor(since(ts) / 3600)
+    by_hour = _busy(s, d).withColumn("hour", F.explode(F.sequence(hour("lo"), hour("hi"))))
+    a, b = (by_hour.select("hour", *(F.col(c).alias(f"{c}_{x}") for c in ("stream_id", "lo", "hi"))) for x in "ab")
+    met = a.join(b, "hour").where("stream_id_a < stream_id_b AND lo_a < hi_b AND lo_b < hi_a").withColumns({"lo": F.greatest("lo_a", "lo_b"), "hi": F.least("hi_a", "hi_b")})
+    seconds = F.floor(F.timestamp_diff("MICROSECOND", F.col("lo"), F.col("hi")) / 1_000_000)
+    return met.where(F.col("hour") == hour("lo")).select(F.col("stream_id_a").alias("a"), F.col("stream_id_b").alias("b"), since("lo").alias("since"), seconds.alias("seconds"))
 
 
 @query(sql=f"SELECT stream_id, pos, sym, {DRAW.format(k=K)} AS cluster_id FROM ({S1})")
@@ -839,8 +859,7 @@ def op_sql_functions(s, d):
 
 
 def _folder(s) -> str:
-    top = s.conf.get("spark.checkpoint.dir", None) or f"file://{tempfile.gettempdir()}/checkpoints"
-    return f"{top}/run-{uuid.uuid4().hex}"
+    return f"{shared_dir(s)}/run-{uuid.uuid4().hex}"
 
 
 @query(sql=f"SELECT * FROM ({S5}) WHERE stream_id IN (1, 2, 5)")
@@ -864,16 +883,17 @@ def op_datasource_read(s, d):
 @query(sql=f"SELECT stream_id, pos, sym FROM ({S1})")
 def op_stream_replay(s, d):
     """The events as a stream: deduplicated behind a watermark, assembled to blocks of 16, packed in each micro-batch,
-    recovered. Short last blocks wait for a timer in production; here they are read from the batch side."""
+    recovered. A second run, after an end-of-input mark, flushes the short last blocks."""
     from meterpack.streaming import front
 
     path = _folder(s)
-    blocks = front.assemble(front.readings(front.read_events(s, d)), 16)
-    q = blocks.writeStream.foreachBatch(front.pack_sink(f"{path}/packed", "identity")).option("checkpointLocation", f"{path}/state").outputMode("append").trigger(availableNow=True).start()
-    q.awaitTermination()
-    full = recover_readings(s.read.parquet(f"{path}/packed").drop("epoch"), 16)
-    rest = integers(C.meter_value(s, d), "pos").withColumn("n", F.count(F.lit(1)).over(Window.partitionBy("stream_id"))).where("pos >= n - n % 16").drop("n")
-    return full.union(rest)
+    for last in (False, True):
+        if last:
+            front.close_input(s, f"{path}/marks")
+        events = front.read_events(s, d).union(front.marks(s, f"{path}/marks"))
+        blocks = front.assemble(front.readings(events), 16)
+        blocks.writeStream.foreachBatch(front.pack_sink(f"{path}/packed", "identity")).option("checkpointLocation", f"{path}/state").outputMode("append").trigger(availableNow=True).start().awaitTermination()
+    return recover_readings(s.read.parquet(f"{path}/packed").drop("epoch"), 16)
 
 
 @query(sql=f"""WITH r AS (SELECT event_id, {CENTS} AS sym FROM events), i AS (SELECT event_id, CASE event_id % 50 WHEN 0 THEN NULL WHEN 1 THEN -1 WHEN 2 THEN 65536 ELSE sym END AS sym FROM r)
