@@ -143,16 +143,64 @@ def test_token_ledger(spark, tmp_path):
     assert {tuple(r) for r in ledger.totals().collect()} == want and not ledger.commit("2", token_counts.changes(docs, "w", n))
 
 
-def test_apportionment_is_by_highest_quotients():
-    for weights, seats in (([53, 24, 23], 7), ([1, 1, 1], 2), ([100, 1], 10), ([0, 5], 3)):
-        naive = [0] * len(weights)
-        for _ in range(seats):
-            i = max(range(len(weights)), key=lambda i: (weights[i] / (2 * naive[i] + 1), -i))
-            naive[i] += 1
-        assert mixing.apportion(list(map(float, weights)), seats, [seats] * len(weights)) == naive
-    assert mixing.apportion([9.0, 1.0], 10, [3, 100]) == [3, 7]
-    assert mixing.targets([10, 10, 0]) == [10 * 2 / 3, 20 * 2 / 3, 0.0]
-    assert mixing.targets([100, 1]) == [98.0, 3.0]
+def naive_seats(weights, seats, caps):
+    out = [0] * len(weights)
+    for _ in range(min(seats, sum(c for w, c in zip(weights, caps, strict=True) if w > 0))):
+        open_ = [i for i in range(len(weights)) if weights[i] > 0 and out[i] < caps[i]]
+        out[max(open_, key=lambda i: (weights[i] / (2 * out[i] + 1), -i))] += 1
+    return out
+
+
+PARTIES = [([53, 24, 23], 7, None), ([1, 1, 1], 2, None), ([100, 1], 10, None), ([0, 5], 3, None), ([9, 1], 10, [3, 100]), ([100] + [0.6] * 200, 220, None), ([1000] + [9 / 16] * 2000, 1200, None), ([7] * 50, 123, [2] * 25 + [9] * 25), ([3, 1], 99, [4, 5]), ([5, 5, 1e-9], 4, [1, 1, 1])]
+
+
+@pytest.mark.parametrize(("weights", "seats", "caps"), PARTIES)
+def test_apportionment_is_by_highest_quotients(weights, seats, caps):
+    caps = caps or [seats] * len(weights)
+    assert mixing.apportion(list(map(float, weights)), seats, caps) == naive_seats(weights, seats, caps)
+
+
+@pytest.mark.parametrize(("weights", "seats", "caps"), [PARTIES[i] for i in (4, 5, 7, 8)] + [([i % 7 + 0.25 * (i % 3) for i in range(60)], 30_000, None)])
+def test_apportionment_of_a_table(spark, weights, seats, caps):
+    """The same seats by passes over a table; the last case has more seats than are dealt one by one."""
+    caps = caps or [seats] * len(weights)
+    table = spark.createDataFrame([(i, float(w), c) for i, (w, c) in enumerate(zip(weights, caps, strict=True))], "party bigint, weight double, cap bigint")
+    found = {r.party: r.seats for r in mixing.apportion_table(table, seats).collect()}
+    assert [found[i] for i in range(len(weights))] == naive_seats(weights, seats, caps)
+
+
+def test_mix_meets_its_targets(spark, monkeypatch):
+    """Targets by hand, sums near them, three times a document at most, the same rows again, many shards or one."""
+    words = {"a": 4000, "b": 9000, "c": 100, None: 2000, "empty": 0}
+    rows = []
+    for source, n in words.items():
+        at, size = 0, 1
+        while at < n:
+            rows.append((len(rows), " ".join(["w"] * min(size, n - at)), source))
+            at, size = at + size, size % 37 + 1
+    rows += [(len(rows), None, "empty"), (len(rows) + 1, "", "empty")]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string, source string")
+    # weights 1 2 3 1 2 by name, null last; c stops at 300, null at 6000, the rest shares 14,800 - empty has none
+    left, weights = 15_100, {"a": 1, "b": 2, "c": 3, "empty": 1, None: 2}
+    want = {"c": 300.0, "empty": 0.0}
+    share = (left - 300) / (1 + 2 + 2)
+    want |= {s: share * weights[s] for s in ("a", "b", None)}
+    for shard_words in (1 << 21, 500):
+        monkeypatch.setattr(mixing, "SHARD_WORDS", shard_words)
+        found = {r.doc_id: r for r in mixing.mix(docs).collect()}
+        assert found == {r.doc_id: r for r in mixing.mix(docs.repartition(3)).collect()}
+        sums, source_of = collections.Counter(), {r[0]: r[2] for r in rows}
+        for i, r in found.items():
+            assert 0 <= r.taken <= 3 * r.size and r.source_size == words[source_of[i]]
+            assert r.target == pytest.approx(want[source_of[i]])
+            sums[source_of[i]] += r.taken
+        for s, n in want.items():
+            assert abs(sums[s] - n) <= 16 * (1 + words[s] // 500)
+        taken = mixing.take_mix(docs).groupBy("source").agg(F.sum(mixing.words_in(F.col("text"))).alias("n")).collect()
+        for r in taken:
+            assert abs(r.n - want[r.source]) <= 37 * 2 * (1 + words[r.source] // 500)
+    none = spark.createDataFrame([(1, "a b", None)], "doc_id bigint, text string, source string")
+    assert [tuple(r) for r in mixing.mix(none).collect()] == [(1, 2, 2, 2.0, 0)]
 
 
 def test_near_duplicates_against_all_pairs(spark):
