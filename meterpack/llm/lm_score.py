@@ -1,180 +1,325 @@
-"""Stupid-backoff scores, computed relationally: bigram count tables partitioned by hash, joined to the exploded bigrams
-of every document, summed a document.
+"""Stupid-backoff scores: n-gram count tables partitioned by hash, joined to the exploded n-grams, summed a document.
 
-Every word counts as itself, by its 64-bit hash, however rare: the tables of words and of bigrams grow with the input, and
-both are joined by hash partition, never broadcast or collected. A bigram's key is made of its words' hashes, so that one
-word and the key give the other. Documents fall into two folds by the md5 of their text, and each is scored with the counts
-of the other fold: no document, nor its exact copy, vouches for itself. Of a bigram only the costs that some document pays
-are computed: where one fold alone has it, the other fold's counts of its second word decide, and else those of its first
-word, so that each bigram looks up one word.
+Words, bigrams and trigrams of all texts are counted, however rare: every table grows with the input. Documents fall into two
+folds by the md5 of their text, and each is scored with the counts of the other fold, so that no document, nor its exact
+copy, vouches for itself. Costs are whole micro-nats, made of rounded logarithms of counts, so that sums do not depend on
+their order.
 
-Two bigrams of equal hash would be counted as one: below 1e10 different ones, three such pairs are expected at most.
+A document pays, for every word, what it would pay if the other fold had nothing; each n-gram that the other fold does have
+corrects that by a difference. So only n-grams of both folds need a row in the table of differences, and a sum over a
+document's n-grams is all there is to do. N-grams travel packed, one row for each bucket of hashes and some million words
+(GATHER): columns of 64-bit hashes, summed or looked up a bucket at a time. N-grams above 2**-HOT_BITS of all words, which
+are 3 * 2**HOT_BITS at most by arithmetic, go to all workers instead, so that no bucket holds a long list of documents for
+one of them. Each order is counted, and all are scored, in ROUNDS rounds by hash: shuffle files of a round go when it is
+written, which bounds the disk.
+
+Two n-grams of equal 64-bit hash would be counted as one: below 1e10 different ones, three such pairs are expected at most.
+Documents are told apart by a 64-bit hash of id and text: equal rows share it and their score.
 
 Contract for odd input: a null or empty text has no words and costs nothing; rows of equal text cost the same; an empty
-table gives no rows; only the two columns named are read. The source must give equal rows in equal order when read twice
-(files do): rows are told apart by place.
+table gives no rows; only the two columns named are read.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from meterpack.llm.common import CHUNK_ROWS, byte_chunks, small_batches, staged, word_hashes
+from meterpack.llm.common import byte_chunks, sent, small_batches, staged, trim, word_hashes
 from meterpack.llm.decontaminate import words_of
 
-#: The cap on known words in the SQL twin (oracles.OP7). The operator has none.
-VOCABULARY = 16_383
-#: The word before the first: the hash of no word (that of the empty one).
-START = 0
+ORDERS = 3
+#: Pseudo words: the one before the first, which is counted once a text, and one whose counts are the words of a fold.
+START, ALL = 0x1E3779B97F4A7C15, 0x5555555555555555
 BACKOFF = 0.4
-#: Costs are whole micro-nats, so that sums do not depend on their order.
 MICRO = 1_000_000
-
-
-#: Values that a task gathers before it counts and sends them on.
-GATHER = 2_000_000
-
-
-def tallied(parts, flags: int):
-    """Of parts (keys, code, *extra columns), for GATHER keys or a few more at a time: the distinct keys in rising order, the
-    number of codes with each of the lowest `flags` bits, and the extra columns at one of the key's places."""
-    held, n = [], 0
-
-    def flush():
-        columns = [np.concatenate(c) for c in zip(*held, strict=True)]
-        held.clear()
-        order = np.argsort(columns[0])
-        keys, code = columns[0][order], columns[1][order]
-        heads = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]]))
-        sums = [np.add.reduceat(code >> f & 1, heads, dtype=np.int64) for f in range(flags)]
-        return keys[heads], *sums, *(c[order[heads]] for c in columns[2:])
-
-    for part in parts:
-        if not len(part[0]):
-            continue
-        held.append(part)
-        n += len(part[0])
-        if n >= GATHER:
-            yield flush()
-            n = 0
-    if held:
-        yield flush()
+#: Words that a task gathers before it packs them.
+GATHER = 1_000_000
+#: Words of a bucket, more or less, and bytes taken for one.
+BUCKET_WORDS, WORD_BYTES = 2_000_000, 6
+ROUNDS = 2
+HOT_BITS = 20
+#: An n-gram seen so rarely is not hot, however small the table.
+LEAST_HOT = 16
 
 
 def fold_of(text: Column) -> Column:
     return F.pmod(F.conv(F.substring(F.md5(F.coalesce(text, F.lit(""))), 1, 1), 16, 10).cast("int"), F.lit(2))
 
 
-def _gram(v: np.ndarray, w: np.ndarray) -> np.ndarray:
-    """The key of a bigram: hashes are mixed, so that turning one of them by a bit makes the order count."""
-    return (v << np.uint64(1) | v >> np.uint64(63)) ^ w
-
+def _turned(x: np.ndarray, by: int) -> np.ndarray:
+    return x << np.uint64(by) | x >> np.uint64(64 - by)
 
-def _second(gram: str, v: str) -> Column:
-    """The second word of a bigram by its key and its first word."""
-    return F.col(gram).bitwiseXOR(F.shiftleft(v, 1).bitwiseOR(F.shiftrightunsigned(v, 63)))
 
-
-def _pairs(chunk: list[bytes | None]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """All bigrams of some texts: the text's number, first and second word. The first word of each text
-    follows START."""
-    split = [words_of(t) for t in chunk]
-    sizes = np.fromiter(map(len, split), np.int64, len(split))
-    w = word_hashes([x for ws in split for x in ws])
-    v = np.empty_like(w)
-    v[1:] = w[:-1]
-    v[(np.cumsum(sizes) - sizes)[sizes > 0]] = START
-    return np.repeat(np.arange(len(split)), sizes), v, w
+#: Word hashes are mixed bits, so that turning the first part before it meets the second makes the order count, and one part
+#: and the key give the other.
+TURN_WORD, TURN_BIGRAM = 1, 21
 
 
-def _chunks(batches):
-    """(folds, chunk) of batches (text, fold)."""
-    for batch in batches:
-        folds = batch.column(1).to_numpy(zero_copy_only=False).astype(np.uint8)
-        for k, chunk in enumerate(byte_chunks(batch.column(0))):
-            yield folds[CHUNK_ROWS * k : CHUNK_ROWS * (k + 1)], chunk
+def bigram(v: np.ndarray, w: np.ndarray) -> np.ndarray:
+    return _turned(v, TURN_WORD) ^ w
 
 
-def _signed(x: np.ndarray) -> pa.Array:
-    return pa.array(x.view(np.int64))
+def trigram(uv: np.ndarray, vw: np.ndarray) -> np.ndarray:
+    return _turned(uv, TURN_BIGRAM) ^ vw
 
 
-def _count_words(batches):
-    def parts():
-        for folds, chunk in _chunks(batches):
-            doc, v, w = _pairs(chunk)
-            fold = folds[doc]
-            # bits 0 and 1: a first word in fold 0, 1; bits 2 and 3: a second one
-            yield np.concatenate([v, w]), np.concatenate([np.uint8(1) << fold, np.uint8(4) << fold])
+def _rest(gram: str, part: str, by: int) -> Column:
+    """The other part of an n-gram."""
+    return F.col(gram).bitwiseXOR(F.shiftleft(part, by).bitwiseOR(F.shiftrightunsigned(part, 64 - by)))
 
-    for word, *sums in tallied(parts(), 4):
-        yield pa.RecordBatch.from_arrays([_signed(word), *map(pa.array, sums)], names=["word", "v0", "v1", "w0", "w1"])
 
+def bucket_of(g: np.ndarray, buckets: int) -> np.ndarray:
+    return ((g >> np.uint64(33)) % np.uint64(buckets)).astype(np.int32)
 
-def _count_grams(batches):
-    def parts():
-        for folds, chunk in _chunks(batches):
-            doc, v, w = _pairs(chunk)
-            yield _gram(v, w), np.uint8(1) << folds[doc], v
 
-    for gram, n0, n1, v in tallied(parts(), 2):
-        yield pa.RecordBatch.from_arrays([_signed(gram), _signed(v), pa.array(n0), pa.array(n1)], names=["gram", "v", "n0", "n1"])
-
-
-def count_words(docs: DataFrame, text: str = "text") -> DataFrame:
-    """(word, v0, v1, w0, w1): how often each word comes first in a bigram of either fold, and how often second."""
-    counts = docs.select(text, fold_of(F.col(text)).alias("fold")).mapInArrow(_count_words, "word bigint, v0 bigint, v1 bigint, w0 bigint, w1 bigint")
-    return counts.groupBy("word").agg(*(F.sum(c).alias(c) for c in ("v0", "v1", "w0", "w1")))
-
-
-def count_grams(docs: DataFrame, text: str = "text") -> DataFrame:
-    """(gram, v, n0, n1): how often each bigram comes in either fold, hashed by gram; v is its first word."""
-    counts = docs.select(text, fold_of(F.col(text)).alias("fold")).mapInArrow(_count_grams, "gram bigint, v bigint, n0 bigint, n1 bigint")
-    return counts.groupBy("gram").agg(F.min("v").alias("v"), F.sum("n0").alias("n0"), F.sum("n1").alias("n1"))
-
-
-def gram_costs(grams: DataFrame, words: DataFrame) -> DataFrame:
-    """(gram, cost0, cost1): micro-nats of a bigram for a document of fold 0 (by the counts of fold 1), and of fold 1; the
-    cost for a fold that does not have the bigram means nothing."""
-    both = (F.col("n0") > 0) & (F.col("n1") > 0)
-    keyed = grams.select("gram", F.when(both, F.col("v")).otherwise(_second("gram", "v")).alias("word"), "n0", "n1")
-    total = words.agg(F.sum("w0").alias("t0"), F.sum("w1").alias("t1"))
-    known = keyed.join(words, "word").crossJoin(F.broadcast(total))  # one row
+def _gathered(batches) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+    """(keys, folds, sizes, words) of documents with GATHER words or a few more; batches: (text, fold, key)."""
+    held, n = [], 0
 
-    def cost(n: str, head: str, word: str, all_: str) -> Column:
-        # a head is 0 only where the bigram is not seen
-        seen = F.col(n).cast("double") / F.greatest(F.col(head), F.lit(1))
-        alone = F.greatest(F.col(word).cast("double"), F.lit(0.5)) / F.greatest(F.col(all_), F.lit(1))
-        return F.round(-F.ln(F.when(both, seen).otherwise(F.lit(BACKOFF) * alone)) * MICRO).cast("bigint")
+    def flush():
+        return tuple(np.concatenate([h[i] for h in held]) for i in range(4))
 
-    return known.select("gram", cost("n1", "v1", "w1", "t1").alias("cost0"), cost("n0", "v0", "w0", "t0").alias("cost1"))
+    for batch in batches:
+        folds, keys, at = batch.column(1).to_numpy(zero_copy_only=False).astype(np.uint8), batch.column(2).to_numpy(zero_copy_only=False), 0
+        for chunk in byte_chunks(batch.column(0)):
+            split = [words_of(t) for t in chunk]
+            sizes = np.fromiter(map(len, split), np.int64, len(split))
+            held.append((keys[at : at + len(split)], folds[at : at + len(split)], sizes, word_hashes([x for ws in split for x in ws])))
+            at += len(split)
+            n += int(sizes.sum())
+            if n >= GATHER or sum(len(h[0]) for h in held) >= 60_000:
+                yield flush()
+                held, n = [], 0
+    if held:
+        yield flush()
 
 
-def _explode(batches):
-    for batch in batches:
-        rows = batch.column(0).to_numpy(zero_copy_only=False)
-        for k, chunk in enumerate(byte_chunks(batch.column(1))):
-            doc, v, w = _pairs(chunk)
-            gram = _gram(v, w)
-            order = np.lexsort((gram, doc))
-            gram, doc = gram[order], doc[order]
-            heads = np.flatnonzero((gram[1:] != gram[:-1]) | (doc[1:] != doc[:-1])) + 1 if len(gram) else np.empty(0, np.int64)
-            heads = np.concatenate([[0], heads]) if len(gram) else heads
-            n = np.diff(np.append(heads, len(gram)))
-            yield pa.RecordBatch.from_arrays([pa.array(rows[CHUNK_ROWS * k : CHUNK_ROWS * (k + 1)][doc[heads]]), _signed(gram[heads]), pa.array(n.astype(np.int32))], names=["row", "gram", "n"])
+def _orders(sizes: np.ndarray, w: np.ndarray) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.ndarray]]:
+    """(order, place of its document, key, what tells its parts) of all n-grams: for a bigram its first word, for a trigram its
+    first bigram. The first word of a text follows START and is in no trigram."""
+    doc = np.repeat(np.arange(len(sizes), dtype=np.uint16), sizes)
+    first = np.zeros(len(w), bool)
+    first[(np.cumsum(sizes) - sizes)[sizes > 0]] = True
+    yield 1, doc, w, w
+    v = np.empty_like(w)
+    v[1:], v[first] = w[:-1], START
+    vw = bigram(v, w)
+    yield 2, doc, vw, v
+    later = np.flatnonzero(~first)
+    yield 3, doc[later], trigram(vw[later - 1], vw[later]), vw[later - 1]
+
+
+def _packed(bucket: np.ndarray, columns: list[np.ndarray], extra: list[bytes]) -> pa.RecordBatch | None:
+    """One row a bucket: its number and its slice of each column as bytes. Rows are in the order of their buckets."""
+    if not len(bucket):
+        return None
+    heads = np.flatnonzero(np.concatenate([[True], bucket[1:] != bucket[:-1]]))
+    ends = [*heads[1:].tolist(), len(bucket)]
+    cells = [pa.array([c[a:z].tobytes() for a, z in zip(heads.tolist(), ends, strict=True)], pa.binary()) for c in columns]
+    return pa.RecordBatch.from_arrays([pa.array(bucket[heads]), *cells, *(pa.array([e] * len(heads), pa.binary()) for e in extra)], names=["bucket", *(f"c{i}" for i in range(len(columns) + len(extra)))])
+
+
+def _counter(order: int, round_: int, rounds: int, buckets: int):
+    def run(batches):
+        for _, folds, sizes, w in _gathered(batches):
+            _, doc, g, part = next(x for x in _orders(sizes, w) if x[0] == order)
+            fold = folds[doc]
+            if order == 1:  # words of a fold in all, and texts as START
+                totals = np.bincount(folds, sizes, 2).astype(np.int64)
+                texts = np.bincount(folds[sizes > 0], minlength=2)
+            own = np.flatnonzero(g % np.uint64(rounds) == round_) if rounds > 1 else np.arange(len(g))
+            own = own[np.lexsort((g[own], bucket_of(g[own], buckets)))]
+            g, part, fold = g[own], part[own], fold[own]
+            heads = np.flatnonzero(np.concatenate([[True], g[1:] != g[:-1]])) if len(g) else np.empty(0, np.int64)
+            n1 = np.add.reduceat(fold, heads, dtype=np.uint32) if len(g) else np.empty(0, np.uint32)
+            n0 = (np.diff(np.append(heads, len(g))) - n1).astype(np.uint32)
+            g, part = g[heads], part[heads]
+            if order == 1:
+                more = np.array([ALL, START], np.uint64)
+                for key, n in zip(more, (totals, texts), strict=True):
+                    yield _packed(bucket_of(np.array([key]), buckets), [np.array([key]), np.array([key]), *(np.array([x], np.uint32) for x in n)], [])
+            out = _packed(bucket_of(g, buckets), [g, part, n0, n1], [])
+            if out is not None:
+                yield out
+        trim()
+
+    return run
+
+
+def _column(t: pa.Table, name: str, kind) -> np.ndarray:
+    return np.frombuffer(b"".join(t[name].to_pylist()), kind)
+
+
+def _summed(t: pa.Table) -> pa.Table:
+    """The n-grams of a bucket that both folds have, with their counts."""
+    g, part, n0, n1 = (_column(t, f"c{i}", k) for i, k in enumerate((np.uint64, np.uint64, np.uint32, np.uint32)))
+    order = np.argsort(g)
+    g = g[order]
+    heads = np.flatnonzero(np.concatenate([[True], g[1:] != g[:-1]]))
+    f0, f1 = (np.add.reduceat(n[order], heads, dtype=np.int64) for n in (n0, n1))
+    both = np.flatnonzero((f0 > 0) & (f1 > 0))
+    out = pa.table({"gram": g[heads[both]].view(np.int64), "part": part[order[heads[both]]].view(np.int64), "f0": f0[both], "f1": f1[both]})
+    trim()
+    return out
+
+
+def count_grams(docs: DataFrame, order: int, buckets: int, rounds: int = ROUNDS) -> DataFrame:
+    """(gram, part, f0, f1) of the n-grams of this order that both folds have. docs: (text, fold, key)."""
+    out = None
+    for r in range(rounds):
+        packed = docs.mapInArrow(_counter(order, r, rounds, buckets), "bucket int, c0 binary, c1 binary, c2 binary, c3 binary")
+        found = staged(packed.groupBy("bucket").applyInArrow(_summed, "gram bigint, part bigint, f0 bigint, f1 bigint"), f"grams-{order}")
+        out = found if out is None else out.union(found)
+    return out
+
+
+def _log(n: Column) -> Column:
+    return F.round(F.ln(n.cast("double")) * MICRO).cast("bigint")
+
+
+#: What each step back costs, and a word that the other fold lacks (half a word) in place of log(count).
+STEP, HALF = round(-np.log(BACKOFF) * MICRO), round(np.log(0.5) * MICRO)
+
+
+def differences(words: DataFrame, bigrams: DataFrame, trigrams: DataFrame) -> tuple[DataFrame, list[int]]:
+    """((gram, n, d0, d1), logarithms of the words in each fold): n is how often it comes in all, d0 what it changes for a
+    document of fold 0, which sees the counts of fold 1; d1 the other way round."""
+    totals = words.where(F.col("gram") == ALL).select(_log(F.col("f0")), _log(F.col("f1"))).first() or (0, 0)
+    words = words.where(F.col("gram") != ALL)
+    n = (F.col("f0") + F.col("f1")).alias("n")
+    one = words.where(F.col("gram") != START).select("gram", n, (F.lit(HALF) - _log(F.col("f1"))).alias("d0"), (F.lit(HALF) - _log(F.col("f0"))).alias("d1"))
+    head = words.select(F.col("gram").alias("part"), F.col("f0").alias("v0"), F.col("f1").alias("v1"))
+    last = words.select(F.col("gram").alias("rest"), F.col("f0").alias("w0"), F.col("f1").alias("w1"))
+    known = staged(bigrams.withColumn("rest", _rest("gram", "part", TURN_WORD)).join(head, "part").join(last, "rest"), "bigrams")
+
+    def of_two(f: int) -> Column:
+        return _log(F.col(f"v{f}")) - _log(F.col(f"f{f}")) - F.lit(STEP + totals[f]) + _log(F.col(f"w{f}"))
+
+    two = known.select("gram", n, of_two(1).alias("d0"), of_two(0).alias("d1"))
+    context = bigrams.select(F.col("gram").alias("part"), F.col("f0").alias("u0"), F.col("f1").alias("u1"))
+    inner = known.select(F.col("gram").alias("rest"), "v0", "v1", F.col("f0").alias("i0"), F.col("f1").alias("i1"))
+    joined = trigrams.withColumn("rest", _rest("gram", "part", TURN_BIGRAM)).join(context, "part").join(inner, "rest")
+
+    def of_three(f: int) -> Column:
+        return _log(F.col(f"u{f}")) - _log(F.col(f"f{f}")) - F.lit(STEP) - _log(F.col(f"v{f}")) + _log(F.col(f"i{f}"))
+
+    three = joined.select("gram", n, of_three(1).alias("d0"), of_three(0).alias("d1"))
+    return one.union(two).union(three), list(totals)
+
+
+class Hot:
+    """Differences of frequent n-grams: sorted hashes, and a column for each fold."""
+
+    def __init__(self, rows: list) -> None:
+        order = np.argsort(grams := np.array([r.gram for r in rows], np.int64).view(np.uint64))
+        self.grams = grams[order]
+        self.costs = np.array([(r.d0, r.d1) for r in rows], np.int64).reshape(-1, 2)[order].T
+
+    def find(self, g: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(where each is, whether it is there)."""
+        if not len(self.grams):
+            return np.zeros(len(g), np.int64), np.zeros(len(g), bool)
+        at = np.minimum(np.searchsorted(self.grams, g), len(self.grams) - 1)
+        return at, self.grams[at] == g
+
+
+def _exploder(hot, totals: list[int], round_: int, rounds: int, buckets: int):
+    """Each n-gram of a document once, with its number, to its bucket: (hashes, places of documents, numbers, fold; the keys of
+    the documents). Frequent ones are summed here; these sums travel in round 0, as rows without hashes."""
+    names = "bucket int, c0 binary, c1 binary, c2 binary, c3 binary, c4 binary"
+
+    def run(batches):
+        table = hot()
+        for keys, folds, sizes, w in _gathered(batches):
+            tag = keys.astype("<i8").tobytes()
+            later = np.maximum(sizes - 1, 0)
+            cost = np.where(sizes > 0, (sizes + later) * STEP + sizes * (np.array(totals)[1 - folds.astype(np.int64)] - HALF), 0)
+            parts = []
+            for _, doc, g, _ in _orders(sizes, w):
+                order = np.argsort(g, kind="stable")
+                g, doc = g[order], doc[order]
+                heads = np.flatnonzero(np.concatenate([[True], (g[1:] != g[:-1]) | (doc[1:] != doc[:-1])])) if len(g) else np.empty(0, np.int64)
+                n = np.diff(np.append(heads, len(g)))
+                g, doc = g[heads], doc[heads]
+                at, found = table.find(g)
+                if round_ == 0 and found.any():
+                    d = table.costs[folds[doc[found]], at[found]] * n[found]
+                    cost += np.bincount(doc[found], d, len(sizes)).astype(np.int64)
+                own = ~found & (g % np.uint64(rounds) == round_)
+                parts.append((g[own], doc[own], np.minimum(n[own], 0xFFFFFFFF).astype(np.uint32)))
+            g, doc, n = (np.concatenate([p[i] for p in parts]) for i in range(3))
+            bucket = bucket_of(g, buckets)
+            order = np.argsort(bucket, kind="stable")
+            g, doc, n = g[order], doc[order], n[order]
+            out = _packed(bucket[order], [g, doc, n, folds[doc]], [tag])
+            if out is not None:
+                yield out
+            if round_ == 0:
+                empty, sums = b"", np.stack([cost, sizes]).astype("<i8").tobytes()
+                home = int(bucket_of(keys[:1].view(np.uint64), buckets)[0]) if len(keys) else 0
+                yield pa.RecordBatch.from_arrays([pa.array([home], pa.int32()), *(pa.array([x], pa.binary()) for x in (empty, sums, empty, empty, tag))], names=[c.split()[0] for c in names.split(", ")])
+        trim()
+
+    return run, names
+
+
+def _scored(packed: pa.Table, table: pa.Table) -> pa.Table:
+    """(key, cost, n_tokens, copies) of a bucket, a row for each document and batch."""
+    rows = zip(*(packed[f"c{i}"].to_pylist() for i in range(5)), strict=True)
+    order = np.argsort(grams := table["gram"].to_numpy().view(np.uint64))
+    grams, costs = grams[order], np.stack([table[c].to_numpy()[order] for c in ("d0", "d1")])
+    keys, sums = [], []
+    for g, doc, n, fold, tag in rows:
+        tag = np.frombuffer(tag, "<i8")
+        if not g:
+            keys.append(tag)
+            sums.append(np.concatenate([np.frombuffer(doc, "<i8").reshape(2, -1), np.ones((1, len(tag)), np.int64)]))
+            continue
+        g = np.frombuffer(g, np.uint64)
+        if not len(grams):
+            continue
+        at = np.minimum(np.searchsorted(grams, g), len(grams) - 1)
+        own = np.flatnonzero(grams[at] == g)
+        doc, n, fold = (np.frombuffer(x, k)[own] for x, k in ((doc, np.uint16), (n, np.uint32), (fold, np.uint8)))
+        total = np.bincount(doc, costs[fold, at[own]] * n, len(tag)).astype(np.int64)
+        seen = np.flatnonzero(total)
+        keys.append(tag[seen])
+        sums.append(np.stack([total[seen], np.zeros(len(seen), np.int64), np.zeros(len(seen), np.int64)]))
+    key = np.concatenate(keys) if keys else np.empty(0, np.int64)
+    cost, n, copies = np.concatenate(sums, 1) if sums else np.empty((3, 0), np.int64)
+    out = pa.table({"key": key, "cost": cost, "n_tokens": n, "copies": copies}).group_by("key").aggregate([("cost", "sum"), ("n_tokens", "sum"), ("copies", "sum")])
+    trim()
+    return out.select(["key", "cost_sum", "n_tokens_sum", "copies_sum"]).rename_columns(["key", "cost", "n_tokens", "copies"])
 
 
 def score_documents(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """One row a document: doc_id, fold, n_tokens, cost (micro-nats), nats_per_token."""
-    small_batches(docs.sparkSession)
-    costs = gram_costs(count_grams(docs, text), staged(count_words(docs, text), "words"))
-    rows = docs.select((F.monotonically_increasing_id() * 2 + fold_of(F.col(text))).alias("row"), F.col(doc_id).alias("doc_id"), F.col(text).alias("text"))
-    grams = rows.select("row", "text").mapInArrow(_explode, "row bigint, gram bigint, n int")
-    cost = F.when(F.col("row") % 2 == 0, F.col("cost0")).otherwise(F.col("cost1"))
-    sums = grams.join(costs, "gram").groupBy("row").agg(F.sum(F.col("n") * cost).alias("cost"), F.sum("n").alias("n_tokens"))
-    zero = F.lit(0).cast("bigint")
-    out = rows.select("row", "doc_id").join(sums, "row", "left").select("doc_id", (F.col("row") % 2).cast("int").alias("fold"), F.coalesce("n_tokens", zero).alias("n_tokens"), F.coalesce("cost", zero).alias("cost"))
+    spark = docs.sparkSession
+    small_batches(spark)
+    key = F.xxhash64(F.coalesce(F.col(doc_id).cast("string"), F.lit("null")), F.coalesce(F.col(text), F.lit("")))
+    rows = docs.select(F.col(text).alias("text"), fold_of(F.col(text)).alias("fold"), key.alias("key"), F.col(doc_id).alias("doc_id"))
+    texts = rows.select("text", "fold", "key")
+    size = docs.agg(F.coalesce(F.sum(F.octet_length(text)), F.lit(0))).first()[0]
+    buckets = max(1, round(size / WORD_BYTES / BUCKET_WORDS))
+    tables = [count_grams(texts, order, buckets, 1 if order == 1 else ROUNDS) for order in range(1, ORDERS + 1)]
+    found, totals = differences(*tables)
+    found = staged(found, "differences")
+    hot_from = max(LEAST_HOT, round(size / WORD_BYTES) >> HOT_BITS)
+    hot = sent(spark.sparkContext, Hot(found.where(F.col("n") >= hot_from).select("gram", "d0", "d1").collect()))
+    rare = found.where(F.col("n") < hot_from).select(F.pmod(F.shiftrightunsigned("gram", 33), F.lit(buckets)).cast("int").alias("bucket"), "gram", "d0", "d1")
+    sums = None
+    for r in range(ROUNDS):
+        run, names = _exploder(hot, totals, r, ROUNDS, buckets)
+        own = rare.where(F.pmod(F.col("gram").bitwiseAND(ROUNDS - 1), F.lit(ROUNDS)) == r)
+        scored = texts.mapInArrow(run, names).groupBy("bucket").cogroup(own.groupBy("bucket")).applyInArrow(_scored, "key bigint, cost bigint, n_tokens bigint, copies bigint")
+        part = staged(scored.groupBy("key").agg(*(F.sum(c).alias(c) for c in ("cost", "n_tokens", "copies"))), "sums")
+        sums = part if sums is None else sums.union(part)
+    sums = sums.groupBy("key").agg(*((F.sum(c)).alias(c) for c in ("cost", "n_tokens", "copies")))
+    each = lambda c: F.expr(f"{c} div copies").alias(c)
+    out = rows.select("doc_id", "fold", "key").join(sums, "key").select("doc_id", "fold", each("n_tokens"), each("cost"))
     return out.withColumn("nats_per_token", F.when(F.col("n_tokens") > 0, F.round(F.col("cost") / F.col("n_tokens") / MICRO, 6)))

@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 from meterpack.llm.common import LOWER, UPPER
-from meterpack.llm.lm_score import BACKOFF, MICRO, VOCABULARY
+from meterpack.llm.lm_score import HALF, MICRO, STEP
 
 OP1 = f"""
 WITH u AS (SELECT page_id, CASE WHEN strpos(url, '://') > 0 THEN substr(url, strpos(url, '://') + 3) ELSE '' END AS rest FROM pages),
@@ -35,6 +35,10 @@ def _words(text: str) -> str:
     return f"regexp_extract_all(translate(coalesce({text}, ''), '{UPPER}', '{LOWER}'), '{WORDS}')"
 
 
+def _log(n: str) -> str:
+    return f"CAST(round(ln(CAST({n} AS DOUBLE)) * {MICRO}) AS BIGINT)"
+
+
 OP5 = f"""
 WITH i AS (SELECT item_id, {_words("text")} AS w FROM benchmark),
 k AS (SELECT item_id, least(10, len(w)) AS n, w[p:p + least(10, len(w)) - 1] AS win FROM (SELECT *, unnest(range(1, len(w) - least(10, len(w)) + 2)) AS p FROM i WHERE len(w) > 0)),
@@ -57,18 +61,13 @@ SELECT source, lang, tokenizer, count(*) AS n_docs, CAST(sum(n) AS BIGINT) AS n_
 
 OP7 = f"""
 WITH d AS (SELECT doc_id, CAST('0x' || substr(md5(coalesce(text, '')), 1, 1) AS INTEGER) % 2 AS fold, {_words("text")} AS w FROM documents),
-t AS (SELECT doc_id, fold, generate_subscripts(w, 1) AS p, unnest(w) AS word FROM d),
-c AS (SELECT word, count(*) AS n FROM t GROUP BY 1),
-cuts AS (SELECT n, sum(count(*)) OVER (ORDER BY n DESC) AS words FROM c GROUP BY n),
-known AS (SELECT word FROM c WHERE n >= (SELECT min(n) FROM cuts WHERE words <= {VOCABULARY})),
-g AS (SELECT doc_id, fold, p, CASE WHEN k.word IS NULL THEN '' ELSE t.word END AS w FROM t LEFT JOIN known k ON k.word = t.word),
-b AS (SELECT doc_id, fold, coalesce(lag(w) OVER (PARTITION BY doc_id ORDER BY p), ' ') AS v, w FROM g),
-vw AS (SELECT v, w, count(*) FILTER (WHERE fold = 0) AS n0, count(*) FILTER (WHERE fold = 1) AS n1 FROM b GROUP BY ALL),
-hv AS (SELECT v, sum(n0) AS n0, sum(n1) AS n1 FROM vw GROUP BY 1), uw AS (SELECT w, sum(n0) AS n0, sum(n1) AS n1 FROM vw GROUP BY 1), a AS (SELECT sum(n0) AS n0, sum(n1) AS n1 FROM vw),
-s AS (SELECT vw.v, vw.w, f.fold, CASE f.fold WHEN 0 THEN vw.n1 ELSE vw.n0 END AS n, CASE f.fold WHEN 0 THEN hv.n1 ELSE hv.n0 END AS head, CASE f.fold WHEN 0 THEN uw.n1 ELSE uw.n0 END AS alone, CASE f.fold WHEN 0 THEN a.n1 ELSE a.n0 END AS total
-      FROM vw JOIN hv ON hv.v = vw.v JOIN uw ON uw.w = vw.w, a, (VALUES (0), (1)) f(fold)),
-x AS (SELECT v, w, fold, CAST(round(-ln(CASE WHEN n > 0 THEN CAST(n AS DOUBLE) / CAST(head AS DOUBLE) ELSE {BACKOFF}::DOUBLE * (greatest(CAST(alone AS DOUBLE), 0.5) / CAST(greatest(total, 1) AS DOUBLE)) END) * {MICRO}) AS BIGINT) AS cost FROM s),
-y AS (SELECT b.doc_id, CAST(sum(x.cost) AS BIGINT) AS cost FROM b JOIN x ON x.v = b.v AND x.w = b.w AND x.fold = b.fold GROUP BY 1)
+b AS (SELECT doc_id, fold, p, w[p] AS w, CASE WHEN p > 1 THEN w[p - 1] ELSE ' ' END AS v, CASE WHEN p > 2 THEN w[p - 2] WHEN p = 2 THEN ' ' END AS u FROM (SELECT *, unnest(range(1, len(w) + 1)) AS p FROM d)),
+ones AS (SELECT fold, w, count(*) AS n FROM b GROUP BY ALL UNION ALL SELECT fold, ' ', count(*) FILTER (WHERE len(w) > 0) FROM d GROUP BY 1), alls AS (SELECT fold, count(*) AS n FROM b GROUP BY 1),
+twos AS (SELECT fold, v, w, count(*) AS n FROM b GROUP BY ALL), threes AS (SELECT fold, u, v, w, count(*) AS n FROM b WHERE u IS NOT NULL GROUP BY ALL),
+x AS (SELECT b.doc_id, b.u IS NULL AS first, c.n AS cw, cv.n AS cv, vw.n AS vw, uv.n AS uv, uvw.n AS uvw, coalesce(a.n, 1) AS n FROM b
+  LEFT JOIN alls a ON a.fold = 1 - b.fold LEFT JOIN ones c ON c.fold = 1 - b.fold AND c.w = b.w LEFT JOIN ones cv ON cv.fold = 1 - b.fold AND cv.w = b.v LEFT JOIN twos vw ON vw.fold = 1 - b.fold AND vw.v = b.v AND vw.w = b.w
+  LEFT JOIN twos uv ON uv.fold = 1 - b.fold AND uv.v = b.u AND uv.w = b.v LEFT JOIN threes uvw ON uvw.fold = 1 - b.fold AND uvw.u = b.u AND uvw.v = b.v AND uvw.w = b.w),
+y AS (SELECT doc_id, CAST(sum(CASE WHEN uvw IS NOT NULL THEN {_log("uv")} - {_log("uvw")} WHEN vw IS NOT NULL THEN CASE WHEN first THEN 0 ELSE {STEP} END + {_log("cv")} - {_log("vw")} ELSE CASE WHEN first THEN {STEP} ELSE {2 * STEP} END + {_log("n")} - coalesce({_log("cw")}, {HALF}) END) AS BIGINT) AS cost FROM x GROUP BY 1)
 SELECT d.doc_id, d.fold, len(d.w) AS n_tokens, coalesce(cost, 0) AS cost, CASE WHEN len(d.w) > 0 THEN round(CAST(cost AS DOUBLE) / len(d.w) / {MICRO}, 6) END AS nats_per_token FROM d LEFT JOIN y ON y.doc_id = d.doc_id
 """
 

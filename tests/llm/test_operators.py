@@ -2,6 +2,7 @@
 
 import collections
 import hashlib
+import math
 import re
 import zlib
 
@@ -268,22 +269,44 @@ def test_lm_folds_and_costs(spark):
     assert collections.Counter(r.n_tokens for r in rows.values())[0] == 1
 
 
-def test_lm_counts_every_word(spark, tmp_path):
-    """More different words than the twin's cap: the twin's text with the cap lifted says the costs."""
-    import duckdb
+def backoff_costs(texts):
+    """By the definition: counts of the other fold, trigram to bigram to word."""
+    fold = [int(hashlib.md5((t or "").encode()).hexdigest()[0], 16) % 2 for t in texts]
+    counts = [collections.Counter(), collections.Counter()]
+    for f, t in zip(fold, texts, strict=True):
+        w = (t or "").split()
+        counts[f].update([(x,) for x in w] + list(zip(["^", *w], w)) + list(zip(["^", *w], w, w[1:])))
+        counts[f][()] += len(w)
+        counts[f][("^",)] += bool(w)
+    log = lambda n: round(math.log(n) * 1e6)
+    out = []
+    for f, t in zip(fold, texts, strict=True):
+        w, c, cost = (t or "").split(), counts[1 - f], 0
+        for i, x in enumerate(w):
+            gram, steps = tuple(["^", *w][max(0, i - 1) : i + 2]), 0
+            while len(gram) > 1 and not c[gram]:
+                gram, steps = gram[1:], steps + 1
+            cost += steps * lm_score.STEP
+            cost += log(c[gram[:-1]]) - log(c[gram]) if len(gram) > 1 else log(max(1, c[()])) - (log(c[gram]) if c[gram] else lm_score.HALF)
+        out.append((f, len(w), cost))
+    return out
 
-    from meterpack.llm.oracles import OP7
 
-    rare = [" ".join(f"w{i}x{j}" for j in range(60)) for i in range(300)]
-    texts = [*rare, *(f"{t} again" for t in rare), "a b a b c", None, ""]
-    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")
-    ours = {r.doc_id: (r.fold, r.n_tokens, r.cost, r.nats_per_token) for r in lm_score.score_documents(docs).collect()}
-    con = duckdb.connect()
-    docs.write.parquet(f"{tmp_path}/documents")
-    con.sql(f"CREATE VIEW documents AS SELECT * FROM '{tmp_path}/documents/*.parquet'")
-    whole = con.sql(OP7.replace(f"words <= {lm_score.VOCABULARY}", "true")).fetchall()
-    assert ours == {r[0]: tuple(r[1:]) for r in whole}
-    assert len(ours) == len(texts)
+@pytest.mark.parametrize(("gather", "bucket_words", "least_hot"), [(1_000_000, 2_000_000, 16), (50, 40, 3), (50, 40, 10**9)])
+def test_lm_costs_by_the_definition(spark, monkeypatch, gather, bucket_words, least_hot):
+    """Every word counts, however texts are gathered, dealt to buckets, and whether frequent n-grams go to all workers."""
+    import random
+
+    for name, value in (("GATHER", gather), ("BUCKET_WORDS", bucket_words), ("LEAST_HOT", least_hot)):
+        monkeypatch.setattr(lm_score, name, value)
+    random.seed(3)
+    vocabulary = ["the", "of"] * 40 + [f"w{i}" for i in range(300)]
+    texts = [" ".join(random.choices(vocabulary, k=random.randrange(1, 60))) for _ in range(150)]
+    texts += [f"{texts[3]} again", texts[4], None, "", "lonely", "the of " * 400]
+    docs = spark.createDataFrame([*enumerate(texts), (7, texts[7]), (None, texts[8])], "doc_id int, text string").repartition(3)
+    found = collections.Counter((r.doc_id, r.fold, r.n_tokens, r.cost) for r in lm_score.score_documents(docs).collect())
+    want = backoff_costs([*texts, texts[7], texts[8]])
+    assert found == collections.Counter((i, *w) for i, w in zip([*range(len(texts)), 7, None], want, strict=True))
 
 
 def test_private_keys_are_told_apart_by_body(spark):
