@@ -10,8 +10,8 @@ corrects that by a difference. So only n-grams of both folds need a row in the t
 document's n-grams is all there is to do. N-grams travel packed, one row for each bucket of hashes and some million words
 (GATHER): columns of 64-bit hashes, summed or looked up a bucket at a time. N-grams above 2**-HOT_BITS of all words, which
 are 3 * 2**HOT_BITS at most by arithmetic, go to all workers instead, so that no bucket holds a long list of documents for
-one of them. Each order is counted, and all are scored, in ROUNDS rounds by hash: shuffle files of a round go when it is
-written, which bounds the disk.
+one of them. Trigrams are counted, and all orders are scored, in ROUNDS rounds by hash: shuffle files of a round go when it
+is written, which bounds the disk.
 
 Two n-grams of equal 64-bit hash would be counted as one: below 1e10 different ones, three such pairs are expected at most.
 Documents are told apart by a 64-bit hash of id and text: equal rows share it and their score.
@@ -40,7 +40,7 @@ MICRO = 1_000_000
 #: Words that a task gathers before it packs them.
 GATHER = 1_000_000
 #: Words of a bucket, more or less, and bytes taken for one.
-BUCKET_WORDS, WORD_BYTES = 2_000_000, 6
+BUCKET_WORDS, WORD_BYTES = 1_000_000, 6
 ROUNDS = 2
 HOT_BITS = 20
 #: An n-gram seen so rarely is not hot, however small the table.
@@ -230,28 +230,34 @@ class Hot:
 
 def _exploder(hot, totals: list[int], round_: int, rounds: int, buckets: int):
     """Each n-gram of a document once, with its number, to its bucket: (hashes, places of documents, numbers, fold; the keys of
-    the documents). Frequent ones are summed here; these sums travel in round 0, as rows without hashes."""
+    the documents). Frequent ones are summed here, and these sums travel as rows without hashes; in round 0 they hold what
+    a document pays anyway, and its words."""
     names = "bucket int, c0 binary, c1 binary, c2 binary, c3 binary, c4 binary"
 
     def run(batches):
         table = hot()
         for keys, folds, sizes, w in _gathered(batches):
             tag = keys.astype("<i8").tobytes()
-            later = np.maximum(sizes - 1, 0)
-            cost = np.where(sizes > 0, (sizes + later) * STEP + sizes * (np.array(totals)[1 - folds.astype(np.int64)] - HALF), 0)
+            cost, counts = np.zeros((2, len(sizes)), np.int64)
+            if round_ == 0:
+                counts = sizes
+                cost = np.where(sizes > 0, (2 * sizes - 1) * STEP + sizes * (np.array(totals)[1 - folds.astype(np.int64)] - HALF), 0)
             parts = []
             for _, doc, g, _ in _orders(sizes, w):
+                if rounds > 1:
+                    own = g % np.uint64(rounds) == round_
+                    g, doc = g[own], doc[own]
                 order = np.argsort(g, kind="stable")
                 g, doc = g[order], doc[order]
                 heads = np.flatnonzero(np.concatenate([[True], (g[1:] != g[:-1]) | (doc[1:] != doc[:-1])])) if len(g) else np.empty(0, np.int64)
                 n = np.diff(np.append(heads, len(g)))
                 g, doc = g[heads], doc[heads]
                 at, found = table.find(g)
-                if round_ == 0 and found.any():
+                if found.any():
                     d = table.costs[folds[doc[found]], at[found]] * n[found]
-                    cost += np.bincount(doc[found], d, len(sizes)).astype(np.int64)
-                own = ~found & (g % np.uint64(rounds) == round_)
-                parts.append((g[own], doc[own], np.minimum(n[own], 0xFFFFFFFF).astype(np.uint32)))
+                    cost = cost + np.bincount(doc[found], d, len(sizes)).astype(np.int64)
+                rare = ~found
+                parts.append((g[rare], doc[rare], n[rare].astype(np.uint32)))
             g, doc, n = (np.concatenate([p[i] for p in parts]) for i in range(3))
             bucket = bucket_of(g, buckets)
             order = np.argsort(bucket, kind="stable")
@@ -259,10 +265,10 @@ def _exploder(hot, totals: list[int], round_: int, rounds: int, buckets: int):
             out = _packed(bucket[order], [g, doc, n, folds[doc]], [tag])
             if out is not None:
                 yield out
-            if round_ == 0:
-                empty, sums = b"", np.stack([cost, sizes]).astype("<i8").tobytes()
-                home = int(bucket_of(keys[:1].view(np.uint64), buckets)[0]) if len(keys) else 0
-                yield pa.RecordBatch.from_arrays([pa.array([home], pa.int32()), *(pa.array([x], pa.binary()) for x in (empty, sums, empty, empty, tag))], names=[c.split()[0] for c in names.split(", ")])
+            if len(keys):
+                sums = np.stack([cost, counts]).astype("<i8").tobytes()
+                home = bucket_of(keys[:1].view(np.uint64), buckets)
+                yield pa.RecordBatch.from_arrays([pa.array(home), *(pa.array([x], pa.binary()) for x in (b"", sums, b"", b"", tag))], names=[c.split()[0] for c in names.split(", ")])
         trim()
 
     return run, names
@@ -278,7 +284,7 @@ def _scored(packed: pa.Table, table: pa.Table) -> pa.Table:
         tag = np.frombuffer(tag, "<i8")
         if not g:
             keys.append(tag)
-            sums.append(np.concatenate([np.frombuffer(doc, "<i8").reshape(2, -1), np.ones((1, len(tag)), np.int64)]))
+            sums.append(np.concatenate([np.frombuffer(doc, "<i8").reshape(2, -1), np.ones((1, len(tag)), np.int64)]))   # in each of ROUNDS
             continue
         g = np.frombuffer(g, np.uint64)
         if not len(grams):
@@ -306,7 +312,7 @@ def score_documents(docs: DataFrame, doc_id: str = "doc_id", text: str = "text")
     texts = rows.select("text", "fold", "key")
     size = docs.agg(F.coalesce(F.sum(F.octet_length(text)), F.lit(0))).first()[0]
     buckets = max(1, round(size / WORD_BYTES / BUCKET_WORDS))
-    tables = [count_grams(texts, order, buckets, 1 if order == 1 else ROUNDS) for order in range(1, ORDERS + 1)]
+    tables = [count_grams(texts, order, buckets, ROUNDS if order == ORDERS else 1) for order in range(1, ORDERS + 1)]
     found, totals = differences(*tables)
     found = staged(found, "differences")
     hot_from = max(LEAST_HOT, round(size / WORD_BYTES) >> HOT_BITS)
@@ -320,6 +326,6 @@ def score_documents(docs: DataFrame, doc_id: str = "doc_id", text: str = "text")
         part = staged(scored.groupBy("key").agg(*(F.sum(c).alias(c) for c in ("cost", "n_tokens", "copies"))), "sums")
         sums = part if sums is None else sums.union(part)
     sums = sums.groupBy("key").agg(*((F.sum(c)).alias(c) for c in ("cost", "n_tokens", "copies")))
-    each = lambda c: F.expr(f"{c} div copies").alias(c)
+    each = lambda c: F.expr(f"{c} div (copies div {ROUNDS})").alias(c)
     out = rows.select("doc_id", "fold", "key").join(sums, "key").select("doc_id", "fold", each("n_tokens"), each("cost"))
     return out.withColumn("nats_per_token", F.when(F.col("n_tokens") > 0, F.round(F.col("cost") / F.col("n_tokens") / MICRO, 6)))
