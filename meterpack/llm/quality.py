@@ -1,8 +1,15 @@
 """Quality rules: plain text measures, and bands of perplexity under an n-gram model that Spark counts.
 
-The model is an interpolated modified Kneser-Ney trigram over 61 byte classes (letters one by one, the rest by kind), so
-that its tables have a fixed bound of 64**3 entries however large the corpus is; it travels as arrays of sorted hashes.
-Each language has its own lower and upper band around its median, from the histogram over all its documents.
+The model of each language is an interpolated modified Kneser-Ney model over ORDER code points, each text after ORDER - 1
+pads. All documents count: n-grams are counted in tasks and summed by hash partition, lower orders count the different
+n-grams that they end, discounts come from the counts of counts, and probabilities from joins of the orders. What a language
+has grows with its corpus, and flattens. The model travels as sorted arrays of 64-bit hashes with log probabilities and
+back-off weights where it has MAX_MODEL entries at most; a larger one stays a table, and the n-grams of the documents are
+joined with it, order by order.
+
+A language's band lies around the perplexities of documents that a rater found good (labels), or, where there are too few of
+these, around its median. Characters stand in for words: most words of these texts occur once, so that a word model has only
+novelty to go by, and its tables would have to be shuffled against every text.
 
 Contract for odd input: a null text is empty; an empty text has no words and fails the base rules; a null language is a
 language of its own; with an empty table the result is empty; repeated rows are judged one by one; columns pass through.
@@ -12,119 +19,209 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+import pyarrow.compute
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from meterpack.llm.common import BLANKS, TAIL_BYTES, byte_chunks, mix64, sent, small_batches, staged, trim
+from meterpack.llm.common import BLANKS, TAIL_BYTES, byte_chunks, mix64, sent, small_batches, staged, text_chunks, trim
 
 SYMBOLS = b"#*$%&|<>"
 MIN_WORDS = 50
 MAX_REPEAT_PERCENT = 50
-#: Perplexities are compared as whole steps of 1/STEPS nat a byte.
-STEPS = 200
-#: Band: median - LOW * spread .. median + HIGH * spread, spread = the larger of MIN_SPREAD steps and the 5-95 % range.
-LOW, HIGH, MIN_SPREAD = 2.0, 2.0, 20
-
-PAD, CLASSES = 60, 64
-
-
-def _class_of(b: int) -> int:
-    if 97 <= b <= 122:
-        return b - 97
-    if 48 <= b <= 57:
-        return 26
-    if 65 <= b <= 90:
-        return 27
-    if b == 10:
-        return 28
-    if b <= 32:
-        return 29
-    if b in b".,":
-        return 30 + (b == 44)
-    return 32 + b % 12 if b < 128 else 44 + (b & 15)
-
-
-CLASS_OF = bytes(_class_of(b) for b in range(256))
-
-
-def gram_ids(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-    """Ids of all class trigrams of the texts, each text after two pads, and where each text's ids start."""
-    pads = bytes((PAD, PAD))
-    codes = np.frombuffer(pads + pads.join(t.translate(CLASS_OF) for t in texts) + pads, np.uint8).astype(np.int32)
-    ids = (codes[:-2] << 12) | (codes[1:-1] << 6) | codes[2:]
-    ids[codes[2:] == PAD] = -1
-    starts = np.cumsum([0] + [len(t) + 2 for t in texts])
-    return ids, starts
+ORDER = 5
+#: Stands before the first code point of a text.
+PAD = "\x02"
+#: Perplexities are compared as whole steps of 1/STEPS nat a code point.
+STEPS = 500
+#: Of the good documents of a language: shares cut off below and above, how far the band reaches beyond, in parts of what is
+#: between, and how many there must be. The band never has less than MIN_SPREAD steps to each side of the median.
+LOW_SHARE, HIGH_SHARE, MARGIN, LEAST_GOOD, MIN_SPREAD = 0.002, 0.998, 0.1, 200, 20
+#: With too few of them: this often the range from the fifth to the ninety-fifth percentile of all, around the median.
+WIDE = 2.0
+#: Entries of a model that is sent to all workers: 24 bytes each.
+MAX_MODEL = 4_000_000
+#: Code points that a task counts at a time, and entries it holds before it hands them on.
+GATHER, HOLD = 1 << 21, 1_500_000
+_BASE = np.uint64(0x9E3779B97F4A7C15)
+
+
+def padded(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    """(code points of all texts, each after its pads; sizes without pads)."""
+    raw = "".join(PAD * (ORDER - 1) + t for t in texts).encode("utf-32-le", "surrogatepass")
+    return np.frombuffer(raw, np.uint32), np.fromiter(map(len, texts), np.int64, len(texts))
+
+
+def gram_hashes(points: np.ndarray, n: int) -> np.ndarray:
+    """A 64-bit hash of every n code points in a row."""
+    out = np.zeros(max(0, len(points) - n + 1), np.uint64)
+    for i in range(n):
+        out = (out + points[i : len(points) - n + 1 + i].astype(np.uint64)) * _BASE
+        out ^= out >> np.uint64(29)
+    return mix64(out)
+
+
+def _own(sizes: np.ndarray) -> np.ndarray:
+    """Places among all windows of ORDER code points of those that end in a text's own code point."""
+    starts = np.cumsum(sizes + ORDER - 1) - (sizes + ORDER - 1)
+    return np.repeat(starts - (np.cumsum(sizes) - sizes), sizes) + np.arange(int(sizes.sum()))
+
+
+def _tally(texts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(hashes in rising order, counts, code points) of the n-grams of some texts."""
+    points, sizes = padded(texts)
+    own = _own(sizes)
+    h, first, n = np.unique(gram_hashes(points, ORDER)[own], return_index=True, return_counts=True)
+    return h, n, points[own[first][:, None] + np.arange(ORDER)]
+
+
+def _merged(parts: list[tuple]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    h, n, grams = (np.concatenate([p[i] for p in parts]) for i in range(3))
+    u, first, inverse = np.unique(h, return_index=True, return_inverse=True)
+    return u, np.bincount(inverse, n, len(u)).astype(np.int64), grams[first]
 
 
 def _count_grams(batches):
-    total = np.zeros(CLASSES**3, np.int64)
+    waiting: dict[str | None, list[str]] = {}
+    held: dict[str | None, list[tuple]] = {}
+    sizes: dict[str | None, int] = {}
+
+    def settle(lang):
+        if waiting.get(lang):
+            held.setdefault(lang, []).append(_tally(waiting.pop(lang)))
+            sizes[lang] = 0
+            held[lang] = [_merged(held[lang])]
+
+    def out():
+        for lang, parts in held.items():
+            _, n, grams = parts[0]
+            text = grams.tobytes().decode("utf-32-le", "surrogatepass")
+            names = pa.array([text[i : i + ORDER] for i in range(0, len(text), ORDER)], pa.string())
+            yield pa.RecordBatch.from_arrays([pa.array([lang] * len(n), pa.string()), names, pa.array(n)], names=["lang", "gram", "n"])
+        held.clear()
+
     for batch in batches:
-        for chunk in byte_chunks(batch.column(0)):
-            ids, _ = gram_ids([t for t in chunk if t])
-            total += np.bincount(ids[ids >= 0], minlength=CLASSES**3)
+        at = 0
+        langs = batch.column(1).to_pylist()
+        for chunk in text_chunks(batch.column(0)):
+            for t in chunk:
+                lang, at = langs[at], at + 1
+                if t:
+                    waiting.setdefault(lang, []).append(t)
+                    sizes[lang] = sizes.get(lang, 0) + len(t)
+                    if sizes[lang] >= GATHER:
+                        settle(lang)
+                        if sum(len(p[0][0]) for p in held.values()) >= HOLD:
+                            yield from out()
+    for lang in list(waiting):
+        settle(lang)
+    yield from out()
     trim()
-    seen = np.flatnonzero(total)
-    yield pa.RecordBatch.from_arrays([pa.array(seen, pa.int64()), pa.array(total[seen], pa.int64())], names=["gram", "n"])
 
 
-def count_grams(docs: DataFrame, text: str = "text") -> DataFrame:
-    """(gram, n) over all documents: each task sums its own, at most 64**3 rows a task are shuffled."""
+def count_grams(docs: DataFrame, text: str = "text", lang: str = "lang") -> DataFrame:
+    """(lang, gram, n) over all documents: a task sums its own before they are shuffled."""
     small_batches(docs.sparkSession)
-    return docs.select(text).mapInArrow(_count_grams, "gram bigint, n bigint").groupBy("gram").agg(F.sum("n").alias("n"))
+    counts = docs.select(F.col(text).alias("text"), F.col(lang).alias("lang")).mapInArrow(_count_grams, "lang string, gram string, n bigint")
+    return counts.groupBy("lang", "gram").agg(F.sum("n").alias("n"))
 
 
-def _discounts(counts: np.ndarray) -> np.ndarray:
-    n1, n2, n3, n4 = (float(np.sum(counts == k)) for k in (1, 2, 3, 4))
-    if not (n1 and n2 and n3):
-        return np.array([0.0, 0.5, 0.5, 0.5])
+def discounted(table: DataFrame) -> DataFrame:
+    """table (key, gram, n) with d, the discount of n: three for each language and order, by the counts of counts; half a
+    count where these are too few to tell."""
+    few = table.groupBy("key").agg(*(F.count_if(F.col("n") == k).alias(f"n{k}") for k in (1, 2, 3, 4)))
+    n1, n2, n3, n4 = (F.col(f"n{k}").cast("double") for k in (1, 2, 3, 4))
     y = n1 / (n1 + 2 * n2)
-    d = [1 - 2 * y * n2 / n1, 2 - 3 * y * n3 / n2, 3 - 4 * y * n4 / n3]
-    return np.array([0.0, *(min(max(x, 0.05), k) for k, x in zip((1, 2, 3), d, strict=True))])
-
-
-def kneser_ney(counts: np.ndarray) -> np.ndarray:
-    """log p(c | a, b) for all 64**3 trigrams from their counts: interpolated, with three discounts at every order."""
-    c3 = counts.reshape(CLASSES, CLASSES, CLASSES).astype(np.float64)
-    lower = np.full(CLASSES, 1 / (PAD + 1))
-    for table in ((c3 > 0).sum((0, 1)), (c3 > 0).sum(0), c3):
-        d = _discounts(table)[np.minimum(table, 3).astype(np.int64)]
-        whole = table.sum(-1, keepdims=True)
-        freed = d.sum(-1, keepdims=True)
-        with np.errstate(divide="ignore", invalid="ignore"):
-            lower = np.where(whole > 0, (table - d) / whole + freed / whole * lower, np.broadcast_to(lower, table.shape))
-    return np.log(np.maximum(lower, 1e-12)).ravel()
+    whole = (n1 > 0) & (n2 > 0) & (n3 > 0)
+    near = lambda k, x: F.when(whole, F.least(F.greatest(x, F.lit(0.05)), F.lit(float(k)))).otherwise(0.5)
+    zero = lambda x: F.nullif(x, F.lit(0.0))
+    rates = few.select(F.col("key").alias("d_key"), near(1, 1 - 2 * y * n2 / zero(n1)).alias("d1"), near(2, 2 - 3 * y * n3 / zero(n2)).alias("d2"), near(3, 3 - 4 * y * n4 / zero(n3)).alias("d3"))
+    d = F.when(F.col("n") == 1, F.col("d1")).when(F.col("n") == 2, F.col("d2")).otherwise(F.col("d3"))
+    return table.join(rates, F.col("key") == F.col("d_key")).select("key", "gram", "n", d.alias("d"))
+
+
+def kneser_ney(counts: DataFrame) -> DataFrame:
+    """(key, gram, logp, logb) of every n-gram of every order: the log probability of its last code point after the others, and
+    the log of the weight that it gives lower orders as a context (null where it is none; pads are contexts only, so that their
+    logp is null). counts: (lang, gram, n) of the
+    highest order; key: the language behind a mark, so that none is null. One row of each language has an empty gram: logp is
+    that of a code point never seen, logb the weight of the order below all."""
+    key = F.coalesce(F.concat(F.lit("="), F.col("lang")), F.lit("null"))
+    tables = {ORDER: staged(counts.select(key.alias("key"), "gram", "n"), "grams")}
+    for k in range(ORDER - 1, 0, -1):
+        shorter = tables[k + 1].select("key", F.substring("gram", 2, k).alias("gram"))
+        tables[k] = shorter.groupBy("key", "gram").agg(F.count(F.lit(1)).alias("n"))
+    points = tables[1].groupBy("key").agg((F.count(F.lit(1)) + 1).alias("points"))  # one more for all that never came
+    below = points.select("key", F.lit("").alias("gram"), (1.0 / F.col("points")).alias("p"))
+    out = below.select("key", "gram", F.ln("p").alias("logp"))
+    weights = None
+    for k in range(1, ORDER + 1):
+        own = discounted(tables[k]).withColumn("context", F.substring("gram", 1, k - 1)).withColumn("rest", F.substring("gram", 2, k - 1))
+        sums = own.groupBy("key", "context").agg(F.sum("n").alias("all"), F.sum("d").alias("freed"))
+        sums = staged(sums.select("key", "context", "all", (F.col("freed") / F.col("all")).alias("weight")), f"contexts-{k}")
+        lower = below.select("key", F.col("gram").alias("rest"), F.col("p").alias("lower"))
+        p = (F.col("n") - F.col("d")) / F.col("all") + F.col("weight") * F.col("lower")
+        below = staged(own.join(sums, ["key", "context"]).join(lower, ["key", "rest"]).select("key", "gram", p.alias("p")), f"order-{k}")
+        out = out.union(below.select("key", "gram", F.ln("p").alias("logp")))
+        weight = sums.select("key", F.col("context").alias("gram"), F.ln("weight").alias("logb"))
+        weights = weight if weights is None else weights.union(weight)
+    return staged(out.join(weights, ["key", "gram"], "full").select("key", "gram", "logp", "logb"), "model")
 
 
 class GramModel:
-    """Trigram log probabilities as sorted hash arrays; a miss gets the value for grams never seen."""
-
-    def __init__(self, counts: dict[int, int]) -> None:
-        dense = np.zeros(CLASSES**3, np.int64)
-        for gram, n in counts.items():
-            dense[gram] = n
-        logs = kneser_ney(dense)
-        ids = np.arange(CLASSES**3, dtype=np.uint64)
-        hashes = mix64(ids)
-        order = np.argsort(hashes)
-        self.hashes, self.logs = hashes[order], logs[order].astype(np.float32)
-
-    def look_up(self, grams: np.ndarray) -> np.ndarray:
-        return self.logs[np.searchsorted(self.hashes, mix64(grams.astype(np.uint64)))]
-
-    def table(self) -> np.ndarray:
-        """The same laid out by gram, for workers that meet nearly all of them."""
-        if "_table" not in self.__dict__:
-            self._table = self.look_up(np.arange(CLASSES**3)).astype(np.float64)
-        return self._table
-
-    def __getstate__(self) -> dict:
-        return {"hashes": self.hashes, "logs": self.logs}
-
-
-def fit_grams(docs: DataFrame, text: str = "text") -> GramModel:
-    """The model of all documents; what comes to the driver is bounded by 64**3 rows."""
-    return GramModel({r.gram: r.n for r in count_grams(docs, text).collect()})
+    """Of each language and order sorted hashes with log probabilities and back-off weights."""
+
+    def __init__(self, rows: pa.Table) -> None:
+        self.tables: dict[str, list] = {}
+        keys = rows["key"].combine_chunks().dictionary_encode()
+        for at, key in enumerate(keys.dictionary.to_pylist()):
+            own = rows.filter(pa.compute.equal(keys.indices, at))
+            sizes = pa.compute.utf8_length(own["gram"]).to_numpy()
+            levels = []
+            for k in range(ORDER + 1):
+                here = own.filter(pa.array(sizes == k))
+                points = np.frombuffer("".join(here["gram"].to_pylist()).encode("utf-32-le", "surrogatepass"), np.uint32)
+                h = gram_hashes(points, k)[::k] if k and len(points) else np.zeros(len(here), np.uint64)
+                order = np.argsort(h)
+                levels.append((h[order], *(here[c].combine_chunks().fill_null(null).to_numpy()[order].astype(np.float64) for c, null in (("logp", np.nan), ("logb", 0.0)))))
+            self.tables[key] = levels
+
+    def logs(self, key: str, grams: np.ndarray) -> np.ndarray:
+        """Log probability of each row of ORDER code points: by the longest end that is known, with the weights of all longer
+        contexts that are. A language never seen has no code points: zero."""
+        out = np.zeros(len(grams))
+        if key not in self.tables:
+            return out
+        open_ = np.arange(len(grams))
+        for k in range(ORDER, -1, -1):
+            h, logp, _ = self.tables[key][k]
+            ends = gram_hashes(np.ascontiguousarray(grams[open_, ORDER - k :]).ravel(), k)[::k] if k and len(open_) else np.zeros(len(open_), np.uint64)
+            at = np.minimum(np.searchsorted(h, ends), max(0, len(h) - 1))
+            found = (h[at] == ends) & ~np.isnan(logp[at]) if len(h) else np.zeros(len(open_), bool)
+            out[open_[found]] += logp[at[found]]
+            open_ = open_[~found]
+            if k and len(open_):
+                h, _, logb = self.tables[key][k - 1]
+                heads = gram_hashes(np.ascontiguousarray(grams[open_, ORDER - k : -1]).ravel(), k - 1)[:: k - 1] if k > 1 else np.zeros(len(open_), np.uint64)
+                at = np.minimum(np.searchsorted(h, heads), len(h) - 1)
+                known = h[at] == heads
+                out[open_[known]] += logb[at[known]]
+        return out
+
+    def sums(self, key: str, texts: list[str]) -> np.ndarray:
+        """Log probability of each text; each different n-gram is looked up once."""
+        points, sizes = padded(texts)
+        own = _own(sizes)
+        _, first, inverse = np.unique(gram_hashes(points, ORDER)[own], return_index=True, return_inverse=True)
+        logs = self.logs(key, points[own[first][:, None] + np.arange(ORDER)])[inverse]
+        upto = np.concatenate([[0.0], np.cumsum(logs)])
+        ends = np.cumsum(sizes)
+        return upto[ends] - upto[ends - sizes]
+
+
+def fit_grams(docs: DataFrame, text: str = "text", lang: str = "lang", max_model: int = MAX_MODEL) -> GramModel | DataFrame:
+    """The model of all documents: arrays where its counted rows are within the bound, else its table."""
+    model = kneser_ney(count_grams(docs, text, lang))
+    return GramModel(model.toArrow()) if model.count() <= max_model else model
 
 
 def repeat_words(words: list[bytes]) -> int:
@@ -164,44 +261,108 @@ def fails_base(n_words: int, n_repeat: int) -> bool:
 QUALITY = "struct<n_words:bigint,word_chars:bigint,n_symbols:bigint,n_dup_lines:bigint,n_repeat_words:bigint,base_failed:boolean,level:int>"
 
 
+def _levels(model: GramModel, langs: list[str | None], texts: list[str]) -> np.ndarray:
+    sums, kinds = np.zeros(len(texts)), {}
+    for i, lang in enumerate(langs):
+        kinds.setdefault("null" if lang is None else f"={lang}", []).append(i)
+    for key, places in kinds.items():
+        sums[places] = model.sums(key, [texts[i] for i in places])
+    return np.floor(-sums / np.maximum([len(t) for t in texts], 1) * STEPS + 1e-6).astype(np.int32)
+
+
 def _judge(model):
     names = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words"]
 
     @F.arrow_udf(QUALITY)
-    def judge(text: pa.Array) -> pa.Array:
-        rows, levels = [], []
-        table = model().table()
+    def judge(text: pa.Array, lang: pa.Array) -> pa.Array:
+        rows, levels, at = [], [], 0
+        langs = lang.to_pylist()
         for chunk in byte_chunks(text):
             chunk = [t or b"" for t in chunk]
             rows += map(measures, chunk)
-            ids, starts = gram_ids(chunk)
-            logs = np.where(ids >= 0, table[ids], 0.0)
-            sizes = np.fromiter(map(len, chunk), np.int64, len(chunk))
-            sums = np.add.reduceat(logs, starts[:-1])
-            levels.append(np.floor(-sums / np.maximum(sizes, 1) * STEPS))
+            if model is not None:
+                levels.append(_levels(model(), langs[at : at + len(chunk)], [t.decode(errors="replace") for t in chunk]))
+            at += len(chunk)
         columns = np.array(rows, np.int64).reshape(len(rows), 5)
         arrays = [pa.array(columns[:, i]) for i in range(5)]
-        arrays += [pa.array([fails_base(r[0], r[4]) for r in rows], pa.bool_()), pa.array(np.concatenate(levels).astype(np.int32) if levels else [], pa.int32())]
+        arrays += [pa.array([fails_base(r[0], r[4]) for r in rows], pa.bool_()), pa.array(np.concatenate(levels) if levels else np.zeros(len(rows), np.int32), pa.int32())]
         trim()
         return pa.StructArray.from_arrays(arrays, names=[*names, "base_failed", "level"])
 
     return judge
 
 
-def score_quality(docs: DataFrame, model: GramModel, text: str = "text", name: str = "quality") -> DataFrame:
-    """docs with a struct of measures and the perplexity level. Map-only; other columns stay in the JVM."""
-    small_batches(docs.sparkSession)
-    return docs.withColumn(name, _judge(sent(docs.sparkSession.sparkContext, model))(F.col(text)))
-
-
-def bands(levels: DataFrame) -> DataFrame:
-    """(lang, low, high) from (lang, level) rows: a histogram by language and level, then weighted quantiles of it."""
+def _explode(batches):
+    """(row, key, gram, n, size) of each different n-gram of a document; one row without a gram for an empty text."""
+    for batch in batches:
+        ids, langs, at = batch.column(0), batch.column(2).to_pylist(), 0
+        for chunk in text_chunks(batch.column(1), 16):
+            out = []
+            for t in chunk:
+                row, key = ids[at].as_py(), "null" if langs[at] is None else f"={langs[at]}"
+                at += 1
+                if t:
+                    _, n, grams = _tally([t])
+                    text = grams.tobytes().decode("utf-32-le", "surrogatepass")
+                    out += [(row, key, text[i : i + ORDER], int(c), len(t)) for i, c in zip(range(0, len(text), ORDER), n, strict=True)]
+            if out:
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in zip(*out, strict=True)], names=["row", "key", "gram", "n", "size"])
+
+
+def joined_levels(rows: DataFrame, model: DataFrame) -> DataFrame:
+    """(row, level) of rows (row, text, lang) under a model that is a table: different n-grams meet it by hash partition, first
+    whole, then what is not found by its shorter ends, with the weights of the contexts passed."""
+    grams = staged(rows.select("row", "text", "lang").mapInArrow(_explode, "row string, key string, gram string, n bigint, size bigint"), "exploded")
+    open_ = grams.select("key", "gram").distinct().select("key", "gram", F.col("gram").alias("end"), F.lit(0.0).alias("spent"))
+    settled = []
+    for k in range(ORDER, -1, -1):
+        own = model.where(F.length("gram") == k).select("key", F.col("gram").alias("end"), "logp")
+        met = staged(open_.join(own, ["key", "end"], "left"), f"met-{k}")
+        settled.append(met.where("logp is not null").select("key", "gram", (F.col("logp") + F.col("spent")).alias("log")))
+        if k:
+            context = model.where(F.length("gram") == k - 1).select("key", F.col("gram").alias("context"), "logb")
+            left = met.where("logp is null").withColumn("context", F.substring("end", 1, k - 1)).join(context, ["key", "context"], "left")
+            open_ = left.select("key", "gram", F.substring("end", 2, k - 1).alias("end"), (F.col("spent") + F.coalesce("logb", F.lit(0.0))).alias("spent"))
+    logs = settled[0]
+    for part in settled[1:]:
+        logs = logs.union(part)
+    sums = grams.join(logs, ["key", "gram"], "left").groupBy("row").agg(F.sum(F.col("n") * F.coalesce("log", F.lit(0.0))).alias("log"), F.max("size").alias("size"))
+    level = F.floor(-F.col("log") / F.col("size") * STEPS + 1e-6).cast("int")
+    return sums.select("row", level.alias("level"))
+
+
+def score_quality(docs: DataFrame, model: GramModel | DataFrame, text: str = "text", name: str = "quality", lang: str = "lang") -> DataFrame:
+    """docs with a struct of measures and the perplexity level. Map-only where the model is arrays; where it is a table, levels
+    are joined by language and the md5 of the text."""
+    spark = docs.sparkSession
+    small_batches(spark)
+    if isinstance(model, GramModel):
+        return docs.withColumn(name, _judge(sent(spark.sparkContext, model))(F.col(text), F.col(lang)))
+    row = F.concat_ws(":", F.md5(F.coalesce(F.col(text), F.lit(""))), F.length(text), F.coalesce(F.concat(F.lit("="), F.col(lang)), F.lit("null")))
+    levels = joined_levels(docs.select(row.alias("row"), F.col(text).alias("text"), F.col(lang).alias("lang")).dropDuplicates(["row"]), model).withColumnsRenamed({"row": "__mp_of", "level": "__mp_level"})
+    measured = docs.withColumn(name, _judge(None)(F.col(text), F.col(lang))).withColumn("__mp_row", row)
+    out = measured.join(levels, F.col("__mp_row") == F.col("__mp_of"), "left")
+    return out.withColumn(name, F.col(name).withField("level", F.coalesce("__mp_level", F.lit(0)))).drop("__mp_row", "__mp_of", "__mp_level")
+
+
+def _quantiles(levels: DataFrame, cuts: dict[str, float]) -> DataFrame:
+    """(lang, n, the cuts) from (lang, level) rows: a histogram by language and level, then weighted quantiles of it."""
     by_level = levels.groupBy("lang", "level").agg(F.count(F.lit(1)).alias("n"))
     upto = Window.partitionBy("lang").orderBy("level").rowsBetween(Window.unboundedPreceding, 0)
     ranked = by_level.select("lang", "level", F.sum("n").over(upto).alias("upto"), F.sum("n").over(Window.partitionBy("lang")).alias("all"))
     at = lambda share: F.min(F.when(F.col("upto") >= F.col("all") * share, F.col("level")))
-    cuts = ranked.groupBy("lang").agg(at(0.5).alias("mid"), F.greatest(at(0.95) - at(0.05), F.lit(MIN_SPREAD)).alias("spread"))
-    return cuts.select("lang", (F.col("mid") - F.col("spread") * LOW).alias("low"), (F.col("mid") + F.col("spread") * HIGH).alias("high"))
+    return ranked.groupBy("lang").agg(F.max("all").alias("n"), *(at(share).alias(c) for c, share in cuts.items()))
+
+
+def bands(levels: DataFrame) -> DataFrame:
+    """(lang, low, high) from (lang, level, good) rows; good is true for documents that a rater found good, else false or null."""
+    every = _quantiles(levels, {"mid": 0.5, "p5": 0.05, "p95": 0.95}).select(F.col("lang").alias("of"), "mid", (F.greatest(F.col("p95") - F.col("p5"), F.lit(MIN_SPREAD)) * WIDE).alias("reach"))
+    good = _quantiles(levels.where("good"), {"least": LOW_SHARE, "good_mid": 0.5, "most": HIGH_SHARE})
+    both = every.join(good, F.col("of").eqNullSafe(F.col("lang")), "left")
+    enough, margin = F.coalesce(F.col("n") >= LEAST_GOOD, F.lit(False)), (F.col("most") - F.col("least")) * MARGIN
+    low = F.when(enough, F.least(F.col("least") - margin, F.col("good_mid") - MIN_SPREAD)).otherwise(F.col("mid") - F.col("reach"))
+    high = F.when(enough, F.greatest(F.col("most") + margin, F.col("good_mid") + MIN_SPREAD)).otherwise(F.col("mid") + F.col("reach"))
+    return both.select(F.col("of").alias("lang"), low.cast("double").alias("low"), high.cast("double").alias("high"))
 
 
 #: Languages whose bands are broadcast; with more, texts are joined with them by a shuffle.
@@ -210,32 +371,36 @@ MAX_BROADCAST_LANGS = 10_000
 
 def band_table(levels: DataFrame) -> DataFrame:
     """bands(), computed once, under the name __mp_lang; broadcast where its counted size is within the bound."""
-    out = staged(bands(levels).withColumnRenamed("lang", "__mp_lang"), "bands")
+    out = staged(bands(levels).withColumnsRenamed({"lang": "__mp_lang", "low": "__mp_low", "high": "__mp_high"}), "bands")
     return F.broadcast(out) if out.count() <= MAX_BROADCAST_LANGS else out
 
 
-def keep_flag() -> "F.Column":
-    return ~F.col("base_failed") & (F.col("level") >= F.col("low")) & (F.col("level") <= F.col("high"))
+def within(base_failed: Column, level: Column) -> Column:
+    return F.coalesce(~base_failed & (level >= F.col("__mp_low")) & (level <= F.col("__mp_high")), F.lit(False))
 
 
-def with_bands(scored: DataFrame) -> DataFrame:
-    """scored (lang, base_failed, level, ...) with the band of its language; languages of passing documents only."""
-    per_lang = band_table(scored.where(~F.col("base_failed")).select("lang", "level"))
-    return scored.join(per_lang, F.col("lang").eqNullSafe(F.col("__mp_lang")), "left").drop("__mp_lang")
+def rated_good(docs: DataFrame, labels: DataFrame | None, doc_id: str) -> DataFrame:
+    """(id, good): ids that labels (doc_id, quality) call good; the bands need no more of the labels."""
+    ids = labels.where("quality = 1").select(F.col("doc_id").alias("__mp_id")) if labels is not None else docs.select(F.col(doc_id).alias("__mp_id")).limit(0)
+    return ids.where("__mp_id is not null").distinct().withColumn("__mp_good", F.lit(True))
 
 
-def quality_report(docs: DataFrame, doc_id: str = "doc_id") -> DataFrame:
+def quality_report(docs: DataFrame, labels: DataFrame | None = None, doc_id: str = "doc_id", max_model: int = MAX_MODEL) -> DataFrame:
     """One row a document: the base measures, base_failed, kept, and the level with its band."""
-    scored = score_quality(docs.select(F.col(doc_id).alias("doc_id"), "text", "lang"), fit_grams(docs)).select("doc_id", "lang", "quality.*")
-    judged = with_bands(staged(scored, "quality"))
-    return judged.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", F.coalesce(keep_flag(), F.lit(False)).alias("kept"), "level", "low", "high")
+    scored = score_quality(docs.select(F.col(doc_id).alias("doc_id"), "text", "lang"), fit_grams(docs, max_model=max_model)).select("doc_id", "lang", "quality.*")
+    scored = staged(scored, "quality")
+    good = rated_good(docs, labels, doc_id)
+    levels = scored.where(~F.col("base_failed")).join(good, F.col("doc_id") == F.col("__mp_id"), "left").select("lang", "level", F.col("__mp_good").alias("good"))
+    judged = scored.join(band_table(levels), F.col("lang").eqNullSafe(F.col("__mp_lang")), "left")
+    return judged.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", within(F.col("base_failed"), F.col("level")).alias("kept"), "level", F.col("__mp_low").alias("low"), F.col("__mp_high").alias("high"))
 
 
-def keep_quality(docs: DataFrame) -> DataFrame:
+def keep_quality(docs: DataFrame, labels: DataFrame | None = None, max_model: int = MAX_MODEL) -> DataFrame:
     """The documents that pass, with their own columns. Texts are scored twice rather than written in between."""
-    own, model = docs.columns, fit_grams(docs)
-    scored = score_quality(docs.select(F.struct("*").alias("__mp_row"), "text", "lang"), model).select("__mp_row", "lang", "quality.base_failed", "quality.level")
-    levels = score_quality(docs.select("text", "lang"), model).select("lang", "quality.base_failed", "quality.level")
-    per_lang = band_table(levels.where(~F.col("base_failed")).select("lang", "level"))
+    own, model = docs.columns, fit_grams(docs, max_model=max_model)
+    levels = score_quality(docs.select("doc_id", "text", "lang"), model, name="__mp_quality").where("not __mp_quality.base_failed")
+    levels = levels.join(rated_good(docs, labels, "doc_id"), F.col("doc_id") == F.col("__mp_id"), "left").select("lang", F.col("__mp_quality.level").alias("level"), F.col("__mp_good").alias("good"))
+    per_lang = band_table(levels)
+    scored = score_quality(docs.select(F.struct("*").alias("__mp_row"), "text", "lang"), model, name="__mp_quality")
     judged = scored.join(per_lang, F.col("lang").eqNullSafe(F.col("__mp_lang")), "left")
-    return judged.where(keep_flag()).select(*(F.col("__mp_row")[c].alias(c) for c in own))
+    return judged.where(within(F.col("__mp_quality.base_failed"), F.col("__mp_quality.level"))).select(*(F.col("__mp_row")[c].alias(c) for c in own))

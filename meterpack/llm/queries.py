@@ -29,7 +29,7 @@ def op3_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return quality.quality_report(sf_table(spark, sf_dir, "documents"))
+    return quality.quality_report(sf_table(spark, sf_dir, "documents"), sf_table(spark, sf_dir, "labels"))
 
 
 def op5_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:

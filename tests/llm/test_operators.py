@@ -6,6 +6,7 @@ import math
 import re
 import zlib
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -108,13 +109,82 @@ def test_quality_measures():
     assert quality.repeat_words(b"a a a a".split()) == 4
 
 
-def test_kneser_ney_sums_to_one():
-    import numpy as np
+def plain_kneser_ney(texts, order):
+    """log p(c | context) of any n-gram by the definition, in dictionaries."""
+    counts = [collections.Counter() for _ in range(order + 1)]
+    for t in texts:
+        t = quality.PAD * (order - 1) + t
+        counts[order].update(t[i : i + order] for i in range(len(t) - order + 1))
+    for k in range(order - 1, 0, -1):
+        counts[k].update(g[1:] for g in counts[k + 1])
+    rates, sums, freed = [], [], []
+    for k in range(1, order + 1):
+        n1, n2, n3, n4 = (sum(v == j for v in counts[k].values()) for j in (1, 2, 3, 4))
+        y = n1 / max(1, n1 + 2 * n2)
+        d = [1 - 2 * y * n2 / n1, 2 - 3 * y * n3 / n2, 3 - 4 * y * n4 / n3] if n1 and n2 and n3 else None
+        rates.append([min(max(x, 0.05), j) for j, x in zip((1, 2, 3), d, strict=True)] if d else [0.5] * 3)
+        sums.append(collections.Counter())
+        freed.append(collections.Counter())
+        for g, n in counts[k].items():
+            sums[-1][g[:-1]] += n
+            freed[-1][g[:-1]] += rates[-1][min(n, 3) - 1]
+
+    def p(gram):
+        k = len(gram)
+        if not k:
+            return 1 / (len(counts[1]) + 1)
+        below = p(gram[1:])
+        context, n = gram[:-1], counts[k][gram]
+        if not sums[k - 1][context]:
+            return below
+        d = rates[k - 1][min(n, 3) - 1] if n else 0
+        return (n - d) / sums[k - 1][context] + freed[k - 1][context] / sums[k - 1][context] * below
+
+    return lambda t: sum(math.log(p((quality.PAD * (order - 1) + t)[i : i + order])) for i in range(len(t)))
+
+
+def test_kneser_ney_by_the_definition(spark):
+    """Probabilities of texts seen and unseen, as sorted arrays and as a joined table; all next characters sum to one."""
+    import random
+
+    random.seed(5)
+    words = ["the", "cat", "sat", "mat", "on", "dog", "naïve", "été", "日本"]
+    texts = {lang: [" ".join(random.choices(words[i:], k=random.randrange(3, 30))) for _ in range(25)] for i, lang in enumerate(("en", "fr", None))}
+    rows = [(i, t, lang) for lang, ts in texts.items() for i, t in enumerate([*ts, None, ""])]
+    docs = spark.createDataFrame(rows, "doc_id int, text string, lang string").repartition(3)
+    table = quality.kneser_ney(quality.count_grams(docs))
+    model = quality.GramModel(table.toArrow())
+    unseen = ["the dog sat", "xyzzy", "cat 日本 été!", "a", "mat" * 30]
+    probes = []
+    for lang, ts in texts.items():
+        plain, key = plain_kneser_ney(ts, quality.ORDER), "null" if lang is None else f"={lang}"
+        every = [*ts, *unseen]
+        assert model.sums(key, every) == pytest.approx([plain(t) for t in every], abs=1e-8)
+        seen = sorted(set("".join(ts)) | {"\u4e00"})
+        grams = np.array([[ord(c) for c in "cat " + x] for x in seen], np.uint32)
+        assert np.exp(model.logs(key, grams)).sum() == pytest.approx(1, abs=1e-8)
+        probes += [(f"{key}{i}", t, lang) for i, t in enumerate(every)]
+    levels = {r.row: r.level for r in quality.joined_levels(spark.createDataFrame(probes, "row string, text string, lang string"), table).collect()}
+    assert levels == {row: int(quality._levels(model, [lang], [t])[0]) for row, t, lang in probes}
+    assert model.sums("=xx", ["abc"])[0] == 0
+
+
+def test_bands_reject_junk(spark):
+    """Clean texts stay, junk of three kinds goes, whether bands come from labels or from all; both forms of the model agree."""
+    import random
 
-    ids, _ = quality.gram_ids([b"the cat sat on the mat. the dog!", b"a cat", b"12 dogs"] * 7)
-    logs = quality.kneser_ney(np.bincount(ids[ids >= 0], minlength=quality.CLASSES**3)).reshape((quality.CLASSES,) * 3)
-    for a, b in ((quality.PAD, quality.PAD), (19, 7), (3, 59)):
-        assert np.exp(logs[a, b, : quality.PAD + 1]).sum() == pytest.approx(1, abs=1e-6)
+    random.seed(9)
+    words = ["".join(random.choices("abcdefghijklmnopqrstuvwxyz", weights=[(7 * i) % 23 + 1 for i in range(26)], k=random.randrange(2, 9))) for _ in range(200)]
+    clean = [" ".join(random.choices(words, k=random.randrange(60, 200))) for _ in range(400)]
+    junk = [" ".join(f"{w}&&&" for w in random.choices(words, k=90)) for _ in range(4)] + [" ".join(random.choices(words, k=90)).upper() for _ in range(4)] + [" | ".join("".join(random.choices("0123456789#", k=9)) for _ in range(60)) for _ in range(4)]
+    docs = spark.createDataFrame([(i, t, "en", i, "q", 0) for i, t in enumerate(clean + junk)], "doc_id int, text string, lang string, level int, quality string, __mp_x int")
+    labels = spark.createDataFrame([(i, 1) for i in range(0, 400)] + [(400, 0), (None, 1), (3, 1)], "doc_id int, quality int")
+    for given in (labels, None):
+        kept = {r.doc_id for r in quality.quality_report(docs, given).where("kept").collect()}
+        assert kept <= set(range(400)) and len(kept) >= 398
+        stage = quality.keep_quality(docs, given)
+        assert stage.columns == docs.columns and {r.doc_id for r in stage.collect()} == kept
+    assert {r.doc_id for r in quality.quality_report(docs, labels, max_model=0).where("kept").collect()} == {r.doc_id for r in quality.quality_report(docs, labels).where("kept").collect()}
 
 
 def test_leaks_are_cut(spark):
