@@ -8,7 +8,8 @@ back-off weights where it has MAX_MODEL entries at most; a larger one stays a ta
 joined with it, order by order.
 
 A language's band lies around the perplexities of documents that a rater found good (labels), or, where there are too few of
-these, around its median. Characters stand in for words: most words of these texts occur once, so that a word model has only
+these, of all. Since short texts scatter more, what counts is the distance from the median, shrunk by sqrt(n / (n + SHORT))
+for n code points. Characters stand in for words: most words of these texts occur once, so that a word model has only
 novelty to go by, and its tables would have to be shuffled against every text.
 
 Contract for odd input: a null text is empty; an empty text has no words and fails the base rules; a null language is a
@@ -35,7 +36,9 @@ PAD = "\x02"
 STEPS = 500
 #: Of the good documents of a language: shares cut off below and above, how far the band reaches beyond, in parts of what is
 #: between, and how many there must be. The band never has less than MIN_SPREAD steps to each side of the median.
-LOW_SHARE, HIGH_SHARE, MARGIN, LEAST_GOOD, MIN_SPREAD = 0.002, 0.998, 0.1, 200, 20
+LOW_SHARE, HIGH_SHARE, MARGIN, LEAST_GOOD, MIN_SPREAD = 0.001, 0.999, 0.05, 200, 10
+#: Code points at which the distance from the median counts for 0.7 of what it is in a very long text.
+SHORT = 3000
 #: With too few of them: this often the range from the fifth to the ninety-fifth percentile of all, around the median.
 WIDE = 2.0
 #: Entries of a model that is sent to all workers: 24 bytes each.
@@ -258,7 +261,7 @@ def fails_base(n_words: int, n_repeat: int) -> bool:
     return n_words < MIN_WORDS or 100 * n_repeat > MAX_REPEAT_PERCENT * n_words
 
 
-QUALITY = "struct<n_words:bigint,word_chars:bigint,n_symbols:bigint,n_dup_lines:bigint,n_repeat_words:bigint,base_failed:boolean,level:int>"
+QUALITY = "struct<n_words:bigint,word_chars:bigint,n_symbols:bigint,n_dup_lines:bigint,n_repeat_words:bigint,base_failed:boolean,level:int,n_chars:bigint>"
 
 
 def _levels(model: GramModel, langs: list[str | None], texts: list[str]) -> np.ndarray:
@@ -287,7 +290,8 @@ def _judge(model):
         arrays = [pa.array(columns[:, i]) for i in range(5)]
         arrays += [pa.array([fails_base(r[0], r[4]) for r in rows], pa.bool_()), pa.array(np.concatenate(levels) if levels else np.zeros(len(rows), np.int32), pa.int32())]
         trim()
-        return pa.StructArray.from_arrays(arrays, names=[*names, "base_failed", "level"])
+        arrays.append(pa.compute.cast(pa.compute.fill_null(pa.compute.utf8_length(text), 0), pa.int64()))
+        return pa.StructArray.from_arrays(arrays, names=[*names, "base_failed", "level", "n_chars"])
 
     return judge
 
@@ -354,15 +358,23 @@ def _quantiles(levels: DataFrame, cuts: dict[str, float]) -> DataFrame:
     return ranked.groupBy("lang").agg(F.max("all").alias("n"), *(at(share).alias(c) for c, share in cuts.items()))
 
 
+def distance(level: Column, mid: Column, n_chars: Column) -> Column:
+    """Steps from the median, fewer for short texts."""
+    return F.floor((level - mid) * F.sqrt(n_chars / (n_chars + SHORT)) + 0.5).cast("int")
+
+
 def bands(levels: DataFrame) -> DataFrame:
-    """(lang, low, high) from (lang, level, good) rows; good is true for documents that a rater found good, else false or null."""
-    every = _quantiles(levels, {"mid": 0.5, "p5": 0.05, "p95": 0.95}).select(F.col("lang").alias("of"), "mid", (F.greatest(F.col("p95") - F.col("p5"), F.lit(MIN_SPREAD)) * WIDE).alias("reach"))
-    good = _quantiles(levels.where("good"), {"least": LOW_SHARE, "good_mid": 0.5, "most": HIGH_SHARE})
-    both = every.join(good, F.col("of").eqNullSafe(F.col("lang")), "left")
-    enough, margin = F.coalesce(F.col("n") >= LEAST_GOOD, F.lit(False)), (F.col("most") - F.col("least")) * MARGIN
-    low = F.when(enough, F.least(F.col("least") - margin, F.col("good_mid") - MIN_SPREAD)).otherwise(F.col("mid") - F.col("reach"))
-    high = F.when(enough, F.greatest(F.col("most") + margin, F.col("good_mid") + MIN_SPREAD)).otherwise(F.col("mid") + F.col("reach"))
-    return both.select(F.col("of").alias("lang"), low.cast("double").alias("low"), high.cast("double").alias("high"))
+    """(lang, mid, low, high) from (lang, level, n_chars, good) rows; good is true for documents that a rater found good, else
+    false or null. Documents pass whose distance from mid lies between low and high."""
+    mids = staged(_quantiles(levels, {"mid": 0.5}).withColumnRenamed("lang", "of"), "mids")
+    near = levels.join(F.broadcast(mids) if mids.count() <= MAX_BROADCAST_LANGS else mids, F.col("lang").eqNullSafe(F.col("of"))).select("lang", distance(F.col("level"), F.col("mid"), F.col("n_chars")).alias("level"), "good")
+    every = _quantiles(near, {"p5": 0.05, "p95": 0.95}).select(F.col("lang").alias("in"), (F.greatest(F.col("p95") - F.col("p5"), F.lit(MIN_SPREAD)) * WIDE).alias("reach"))
+    good = _quantiles(near.where("good"), {"least": LOW_SHARE, "most": HIGH_SHARE}).withColumnRenamed("n", "n_good")
+    both = mids.join(every, F.col("of").eqNullSafe(F.col("in"))).join(good, F.col("of").eqNullSafe(F.col("lang")), "left")
+    enough, margin = F.coalesce(F.col("n_good") >= LEAST_GOOD, F.lit(False)), (F.col("most") - F.col("least")) * MARGIN
+    low = F.when(enough, F.least(F.col("least") - margin, F.lit(-MIN_SPREAD))).otherwise(-F.col("reach"))
+    high = F.when(enough, F.greatest(F.col("most") + margin, F.lit(MIN_SPREAD))).otherwise(F.col("reach"))
+    return both.select(F.col("of").alias("lang"), F.col("mid").cast("double").alias("mid"), low.cast("double").alias("low"), high.cast("double").alias("high"))
 
 
 #: Languages whose bands are broadcast; with more, texts are joined with them by a shuffle.
@@ -371,12 +383,14 @@ MAX_BROADCAST_LANGS = 10_000
 
 def band_table(levels: DataFrame) -> DataFrame:
     """bands(), computed once, under the name __mp_lang; broadcast where its counted size is within the bound."""
-    out = staged(bands(levels).withColumnsRenamed({"lang": "__mp_lang", "low": "__mp_low", "high": "__mp_high"}), "bands")
+    out = staged(bands(levels).withColumnsRenamed({c: f"__mp_{c}" for c in ("lang", "mid", "low", "high")}), "bands")
     return F.broadcast(out) if out.count() <= MAX_BROADCAST_LANGS else out
 
 
-def within(base_failed: Column, level: Column) -> Column:
-    return F.coalesce(~base_failed & (level >= F.col("__mp_low")) & (level <= F.col("__mp_high")), F.lit(False))
+def within(q: str) -> Column:
+    """Whether a document with these fields passes, beside its language's band."""
+    at = distance(F.col(f"{q}level"), F.col("__mp_mid"), F.col(f"{q}n_chars"))
+    return F.coalesce(~F.col(f"{q}base_failed") & (at >= F.col("__mp_low")) & (at <= F.col("__mp_high")), F.lit(False))
 
 
 def rated_good(docs: DataFrame, labels: DataFrame | None, doc_id: str) -> DataFrame:
@@ -390,17 +404,17 @@ def quality_report(docs: DataFrame, labels: DataFrame | None = None, doc_id: str
     scored = score_quality(docs.select(F.col(doc_id).alias("doc_id"), "text", "lang"), fit_grams(docs, max_model=max_model)).select("doc_id", "lang", "quality.*")
     scored = staged(scored, "quality")
     good = rated_good(docs, labels, doc_id)
-    levels = scored.where(~F.col("base_failed")).join(good, F.col("doc_id") == F.col("__mp_id"), "left").select("lang", "level", F.col("__mp_good").alias("good"))
+    levels = scored.where(~F.col("base_failed")).join(good, F.col("doc_id") == F.col("__mp_id"), "left").select("lang", "level", "n_chars", F.col("__mp_good").alias("good"))
     judged = scored.join(band_table(levels), F.col("lang").eqNullSafe(F.col("__mp_lang")), "left")
-    return judged.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", within(F.col("base_failed"), F.col("level")).alias("kept"), "level", F.col("__mp_low").alias("low"), F.col("__mp_high").alias("high"))
+    return judged.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", within("").alias("kept"), "level", "n_chars", *(F.col(f"__mp_{c}").alias(c) for c in ("mid", "low", "high")))
 
 
 def keep_quality(docs: DataFrame, labels: DataFrame | None = None, max_model: int = MAX_MODEL) -> DataFrame:
     """The documents that pass, with their own columns. Texts are scored twice rather than written in between."""
     own, model = docs.columns, fit_grams(docs, max_model=max_model)
     levels = score_quality(docs.select("doc_id", "text", "lang"), model, name="__mp_quality").where("not __mp_quality.base_failed")
-    levels = levels.join(rated_good(docs, labels, "doc_id"), F.col("doc_id") == F.col("__mp_id"), "left").select("lang", F.col("__mp_quality.level").alias("level"), F.col("__mp_good").alias("good"))
+    levels = levels.join(rated_good(docs, labels, "doc_id"), F.col("doc_id") == F.col("__mp_id"), "left").select("lang", "__mp_quality.level", "__mp_quality.n_chars", F.col("__mp_good").alias("good"))
     per_lang = band_table(levels)
     scored = score_quality(docs.select(F.struct("*").alias("__mp_row"), "text", "lang"), model, name="__mp_quality")
     judged = scored.join(per_lang, F.col("lang").eqNullSafe(F.col("__mp_lang")), "left")
-    return judged.where(within(F.col("__mp_quality.base_failed"), F.col("__mp_quality.level"))).select(*(F.col("__mp_row")[c].alias(c) for c in own))
+    return judged.where(within("__mp_quality.")).select(*(F.col("__mp_row")[c].alias(c) for c in own))

@@ -169,22 +169,37 @@ def test_kneser_ney_by_the_definition(spark):
     assert model.sums("=xx", ["abc"])[0] == 0
 
 
-def test_bands_reject_junk(spark):
-    """Clean texts stay, junk of three kinds goes, whether bands come from labels or from all; both forms of the model agree."""
+def plain_bands(rows, good):
+    """(mid, low, high) of (level, n_chars) by id, by sorting."""
+    cut = lambda xs, share: sorted(xs)[max(0, math.ceil(len(xs) * share - 1e-9) - 1)]
+    mid = cut([level for level, _ in rows.values()], 0.5)
+    far = {i: math.floor((level - mid) * math.sqrt(n / (n + quality.SHORT)) + 0.5) for i, (level, n) in rows.items()}
+    own = [far[i] for i in far if i in good]
+    if len(own) < quality.LEAST_GOOD:
+        reach = max(cut(far.values(), 0.95) - cut(far.values(), 0.05), quality.MIN_SPREAD) * quality.WIDE
+        return far, -reach, reach
+    least, most = cut(own, quality.LOW_SHARE), cut(own, quality.HIGH_SHARE)
+    return far, min(least - quality.MARGIN * (most - least), -quality.MIN_SPREAD), max(most + quality.MARGIN * (most - least), quality.MIN_SPREAD)
+
+
+def test_kept_by_plain_bands(spark):
+    """Bands from labels and from all documents, against sorted lists; arrays and a joined table decide alike; columns whose
+    names clash stay."""
     import random
 
     random.seed(9)
     words = ["".join(random.choices("abcdefghijklmnopqrstuvwxyz", weights=[(7 * i) % 23 + 1 for i in range(26)], k=random.randrange(2, 9))) for _ in range(200)]
-    clean = [" ".join(random.choices(words, k=random.randrange(60, 200))) for _ in range(400)]
-    junk = [" ".join(f"{w}&&&" for w in random.choices(words, k=90)) for _ in range(4)] + [" ".join(random.choices(words, k=90)).upper() for _ in range(4)] + [" | ".join("".join(random.choices("0123456789#", k=9)) for _ in range(60)) for _ in range(4)]
-    docs = spark.createDataFrame([(i, t, "en", i, "q", 0) for i, t in enumerate(clean + junk)], "doc_id int, text string, lang string, level int, quality string, __mp_x int")
-    labels = spark.createDataFrame([(i, 1) for i in range(0, 400)] + [(400, 0), (None, 1), (3, 1)], "doc_id int, quality int")
-    for given in (labels, None):
-        kept = {r.doc_id for r in quality.quality_report(docs, given).where("kept").collect()}
-        assert kept <= set(range(400)) and len(kept) >= 398
-        stage = quality.keep_quality(docs, given)
-        assert stage.columns == docs.columns and {r.doc_id for r in stage.collect()} == kept
-    assert {r.doc_id for r in quality.quality_report(docs, labels, max_model=0).where("kept").collect()} == {r.doc_id for r in quality.quality_report(docs, labels).where("kept").collect()}
+    texts = [" ".join(random.choices(words, k=random.randrange(60, 200))) for _ in range(300)] + [" | ".join(random.choices(words, k=300)) for _ in range(4)]
+    docs = spark.createDataFrame([(i, t, "en", i, "q", 0) for i, t in enumerate(texts)], "doc_id int, text string, lang string, level int, quality string, __mp_x int")
+    labels = spark.createDataFrame([(i, 1) for i in range(250)] + [(300, 0), (None, 1), (3, 1)], "doc_id int, quality int")
+    for given, good, most in ((labels, set(range(250)), quality.MAX_MODEL), (None, set(), quality.MAX_MODEL), (labels, set(range(250)), 0)):
+        report = {r.doc_id: r for r in quality.quality_report(docs, given, max_model=most).collect()}
+        far, low, high = plain_bands({i: (r.level, r.n_chars) for i, r in report.items() if not r.base_failed}, good)
+        kept = {i for i, r in report.items() if r.kept}
+        assert kept == {i for i in far if low <= far[i] <= high}
+        assert len(kept & set(range(300))) >= 298 and (given is None or not kept & set(range(300, 304)))
+    stage = quality.keep_quality(docs, labels)
+    assert stage.columns == docs.columns and {r.doc_id for r in stage.collect()} == kept
 
 
 def test_leaks_are_cut(spark):
