@@ -305,14 +305,15 @@ def test_near_duplicates_against_all_pairs(spark):
             texts.append(" ".join(copy))
     docs = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")
     sets = [{tuple(w[i : i + 5]) for i in range(len(w) - 4)} if len(w) >= 5 else {tuple(w)} for w in map(str.split, texts)]
-    root = list(range(len(texts)))
-    for i in range(len(texts)):
-        for j in range(i):
-            if 100 * len(sets[i] & sets[j]) >= 85 * len(sets[i] | sets[j]):
-                a, b = root[i], root[j]
-                root = [min(a, b) if r in (a, b) else r for r in root]
-    found = {r.doc_id: (r.n_shingles, r.component_id) for r in near_dedup.near_duplicates(docs).collect()}
-    assert found == {i: (len(s), root[i]) for i, s in enumerate(sets)}
+    for percent in (85, 80):
+        root = list(range(len(texts)))
+        for i in range(len(texts)):
+            for j in range(i):
+                if 100 * len(sets[i] & sets[j]) >= percent * len(sets[i] | sets[j]):
+                    a, b = root[i], root[j]
+                    root = [min(a, b) if r in (a, b) else r for r in root]
+        found = {r.doc_id: (r.n_shingles, r.component_id) for r in near_dedup.near_duplicates(docs, percent=percent).collect()}
+        assert found == {i: (len(s), root[i]) for i, s in enumerate(sets)}
 
 
 def test_first_of_each_group_stays(spark):
