@@ -11,14 +11,16 @@ from meterpack.llm import decontaminate, mixing, near_dedup, quality, sharding
 from meterpack.llm.common import sf_table, staged
 
 SHARDS = 24
+#: Texts of at least this similarity, in percent, are one group.
+NEAR = 80
 
 
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return quality.keep_quality(docs)
+    return quality.keep_quality(docs, sf_table(spark, sf_dir, "labels"))
 
 
 def near_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return near_dedup.keep_first(docs)
+    return near_dedup.keep_first(docs, NEAR)
 
 
 def decontamination_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
