@@ -5,8 +5,9 @@ from __future__ import annotations
 
 import math
 from bisect import bisect_right
-from collections.abc import Iterable
+from collections.abc import Callable, Iterable
 from fractions import Fraction
+from statistics import NormalDist
 
 import numpy as np
 
@@ -180,15 +181,18 @@ def adaptive_decode(payload: bytes, side: bytes, at: int = 0) -> tuple[np.ndarra
 QUANTUM, REACH, COUNTS, RAW = 16, 8, 1 << 20, 34
 
 
-def gaussian_table(mu16: int, sigma16: int) -> tuple[int, list[int]]:
-    """(first symbol, cumulated counts) of the symbols within REACH deviations and, last, of the escape."""
+#: The inverse of the normal distribution, for a first guess.
+GUESS = NormalDist().inv_cdf
+
+
+def gaussian_counts(mu16: int, sigma16: int) -> tuple[int, int, Callable[[int], int]]:
+    """(first symbol, symbols within REACH deviations, cumulated counts of the first i of them). One more count, behind them,
+    is the escape. Each symbol has a count of its own besides its share, so that none has nothing; no table is made."""
     mu, sigma = mu16 / QUANTUM, max(1, sigma16) / QUANTUM
-    first, last = math.floor(mu - REACH * sigma), math.ceil(mu + REACH * sigma)
-    edges = np.arange(first, last + 2) - 0.5
-    scaled = (edges - mu) / (sigma * math.sqrt(2))
-    share = np.diff([math.erf(v) for v in scaled.tolist()]) / 2
-    freqs = np.floor(share * COUNTS).astype(np.int64) + 1
-    return first, np.cumsum([0, *freqs.tolist(), 1]).tolist()
+    first = math.floor(mu - REACH * sigma)
+    n = math.ceil(mu + REACH * sigma) - first + 1
+    start, scale, half, erf = first - 0.5 - mu, 1 / (sigma * math.sqrt(2)), COUNTS // 2, math.erf
+    return first, n, lambda i: int((1 + erf((start + i) * scale)) * half) + i
 
 
 def gaussian_encode(x: np.ndarray) -> tuple[bytes, int, int]:
@@ -197,28 +201,58 @@ def gaussian_encode(x: np.ndarray) -> tuple[bytes, int, int]:
     if not len(x):
         return b"", 0, 1
     mu16, sigma16 = int(round(float(x.mean()) * QUANTUM)), max(1, int(round(float(x.std()) * QUANTUM)))
-    first, cums = gaussian_table(mu16, sigma16)
-    total, escape, enc = cums[-1], len(cums) - 2, Encoder()
+    first, n, cum = gaussian_counts(mu16, sigma16)
+    escape, enc, known = cum(n), Encoder(), {}
     for s in x.tolist():
         i = s - first
-        if 0 <= i < escape:
-            enc.put(cums[i], cums[i + 1] - cums[i], total)
+        if 0 <= i < n:
+            if i not in known:
+                known[i] = (below := cum(i)), cum(i + 1) - below
+            enc.put(*known[i], escape + 1)
         else:
-            enc.put(cums[escape], 1, total)
+            enc.put(escape, 1, escape + 1)
             enc.put((s + (1 << (RAW - 1))) >> 17, 1, 1 << (RAW - 17))
             enc.put(s & 0x1FFFF, 1, 1 << 17)
     return enc.end(), mu16, sigma16
 
 
+def _place(at: int, n: int, cum: Callable[[int], int], guess: int) -> int:
+    """The last of n symbols whose cumulated counts do not exceed `at`: a gallop from a guess, then halving."""
+    low = high = max(0, min(n - 1, guess))
+    step = 1
+    if cum(low) <= at:
+        while (high := low + step) < n and cum(high) <= at:
+            low, step = high, 2 * step
+        high = min(high, n)
+    else:
+        while (low := max(0, high - step)) and cum(low) > at:
+            high, step = low, 2 * step
+    while high - low > 1:
+        middle = (low + high) // 2
+        if cum(middle) <= at:
+            low = middle
+        else:
+            high = middle
+    return low
+
+
 def gaussian_decode(payload: bytes, mu16: int, sigma16: int, n: int) -> np.ndarray:
-    first, cums = gaussian_table(mu16, sigma16) if n else (0, [])
     out, dec = [], Decoder(payload)
+    if n:
+        first, size, cum = gaussian_counts(mu16, sigma16)
+        escape = cum(size)
+        sigma, centre = max(1, sigma16) / QUANTUM, mu16 / QUANTUM - first
+        i, below, above = 0, 0, 0
     for _ in range(n):
-        i = bisect_right(cums, dec.where(cums[-1])) - 1
-        dec.take(cums[i], cums[i + 1] - cums[i])
-        if i < len(cums) - 2:
+        at = dec.where(escape + 1)
+        if at < escape:
+            if not below <= at < above:  # not the symbol before
+                i = _place(at, size, cum, int(centre + sigma * GUESS((at + 0.5) / escape)))
+                below, above = cum(i), cum(i + 1)
+            dec.take(below, above - below)
             out.append(first + i)
             continue
+        dec.take(escape, 1)
         high = dec.where(1 << (RAW - 17))
         dec.take(high, 1)
         low = dec.where(1 << 17)

@@ -468,7 +468,8 @@ def silhouette_by_k(s, d):
 
 @query
 def table_silhouette(s, d):
-    return experiments.silhouette_by_k(s, d)
+    """Every carrier, as compressed streams."""
+    return experiments.over(experiments.silhouette_by_k, s, d)
 
 
 @query
@@ -483,7 +484,8 @@ def baseline_collection_cr(s, d):
 
 @query
 def table_cr_records(s, d):
-    return experiments.grid(s, d)
+    """Every carrier, as compressed streams."""
+    return experiments.over(experiments.grid, s, d)
 
 
 @query
@@ -491,9 +493,31 @@ def table_cr_means(s, d):
     return experiments.grid_means(experiments.grid(s, d))
 
 
+@query
+def table_cr_means_by_case(s, d):
+    """The means of every carrier and first stage."""
+    return experiments.over(lambda *a: experiments.grid_means(experiments.grid(*a)), s, d, experiments.CASES[1:])
+
+
+@query
+def table_cr_pivot(s, d):
+    """The records as printed: one row each, a column for each configuration."""
+    rows = experiments.grid(s, d).withColumn("config", F.concat_ws("_", "rle", "grouping"))
+    return rows.groupBy("record", "k").pivot("config", [f"{r}_{g}" for r in ("static", "dynamic") for g in ("random", "kmeans")]).agg(F.first("cr_total"))
+
+
 @query
 def entropy_by_stage(s, d):
-    return experiments.entropy_by_stage(s, d)
+    """Every carrier, as compressed streams."""
+    return experiments.over(experiments.entropy_by_stage, s, d)
+
+
+#: A batch's words are what the streams hold, whatever the step; these are counted by the source alone.
+@query(sql=f"WITH x AS ({S3}), b AS (SELECT stream_id, (dense_rank() OVER (ORDER BY stream_id) - 1) // 56 AS batch_id, sym FROM x), c AS (SELECT batch_id, sym, count(*) AS c FROM b GROUP BY ALL) SELECT CAST(batch_id AS BIGINT) AS batch_id, CAST(sum(c) AS BIGINT) AS n, round(abs(log2(sum(c)) - sum(c * log2(c)) / sum(c)), 4) AS h FROM c GROUP BY 1")
+def entropy_raw_batches(s, d):
+    """The first stage of the chain, measured in the batch tasks with all streams of a batch as one group."""
+    rows = experiments.entropy_by_stage(s, d, "supplier_qty", "identity", Config(k=1)).where("stage = 'raw' and grouping = 'random'")
+    return rows.select("batch_id", "n", F.round("h", 4).alias("h"))
 
 
 @query
@@ -501,6 +525,11 @@ def entropy_means_by_stage(s, d):
     return experiments.entropy_means(experiments.entropy_by_stage(s, d))
 
 
+@query
+def throughput_by_step(s, d):
+    return experiments.throughput_by_step(experiments.throughput(s, d))
+
+
 @query
 def stage_ablation(s, d):
     return experiments.ablation(s, d)
@@ -550,6 +579,26 @@ def recover_readings_supplier_price(s, d):
     return recover_readings(_packed(s, d, "supplier_price", "delta_huffman", Config(grouping="none", bwt="high", delta_scope="stream")), C.BLOCK)
 
 
+@query(sql=S6)
+def recover_readings_customer_orders(s, d):
+    return recover_readings(_packed(s, d, "customer_orders", "identity", Config(k=4, rle="token")), C.BLOCK)
+
+
+@query(sql=S7)
+def recover_readings_vector_int(s, d):
+    return recover_readings(_packed(s, d, "vector_int", "gaussian_ac", Config(k=8, seed_scope="region")), C.BLOCK)
+
+
+@query(sql="WITH h AS MATERIALIZED (SELECT item_id, hex(encode(text)) AS h FROM benchmark) SELECT item_id AS stream_id, CAST(i - 1 AS INTEGER) AS pos, CAST('0x' || h[2 * i - 1:2 * i] AS BIGINT) AS sym FROM h, unnest(range(1, length(h) // 2 + 1)) t(i)")
+def recover_readings_text_bytes(s, d):
+    return recover_readings(recompress(batch_by_rank(experiments.first_stage(C.blocks(C.text_bytes(s, d, "benchmark", "item_id")), "delta_huffman")), Config(k=2, grouping="random")), C.BLOCK)
+
+
+@query(sql=S9)
+def recover_readings_dim_codes(s, d):
+    return recover_readings(_packed(s, d, "dim_codes", "identity", Config(grouping="each", bwt="low")), C.BLOCK)
+
+
 @query(sql=S3)
 def recover_streams_supplier_qty(s, d):
     """Streams first, readings of these second."""

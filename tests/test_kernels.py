@@ -92,6 +92,7 @@ def test_invariants(block):
     assert rle_static(x)[1].sum() == len(x)
     payload = 8 * len(ac_encode(x)[0])
     assert payload <= ideal_bits(x) + 34 + len(x) / 2048
+    assert payload >= ideal_bits(x) - 1
     if len(alphabet) > 1:
         bits = huffman_encode(x)[2]
         assert ideal_bits(x) - 1e-6 <= bits < ideal_bits(x) + len(x)
