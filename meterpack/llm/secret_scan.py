@@ -83,9 +83,29 @@ def ownership(found: DataFrame) -> DataFrame:
     return by_owner.groupBy("secret").agg(F.count(F.lit(1)).alias("owners"), F.sum("repositories").alias("repositories"), F.sum("copies").alias("copies"))
 
 
-def standing(value: Column, owners: Column) -> Column:
-    """example, live or shared."""
-    return F.when((owners >= WIDE_OWNERS) | value.rlike(SAMPLE), "example").when(owners == 1, "live").otherwise("shared")
+#: Bits a character that a random value has at least, and classes of characters (lower, upper, digits, others).
+LEAST_BITS, LEAST_CLASSES = 2.5, 2
+#: Kinds whose pattern does not tell that the value is random.
+LOOSE = (0, 3)
+
+
+def bits_a_character(value: Column) -> Column:
+    """Zero-order entropy of the characters of a value."""
+    n = F.length(value).cast("double")
+    share = lambda c: (n - F.length(F.replace(value, c, F.lit("")))) / n
+    return F.aggregate(F.array_distinct(F.split(value, "")), F.lit(0.0), lambda acc, c: acc + F.when(F.length(c) > 0, -share(c) * F.log2(share(c))).otherwise(0.0))
+
+
+def looks_random(value: Column) -> Column:
+    classes = sum((value.rlike(p).cast("int") for p in ("[a-z]", "[A-Z]", "[0-9]", "[^A-Za-z0-9]")), F.lit(0))
+    return (bits_a_character(value) >= LEAST_BITS) & (classes >= LEAST_CLASSES)
+
+
+def standing(value: Column, owners: Column, kind: Column) -> Column:
+    """example (many owners, or a value from a manual), live (one owner, and random by its kind's form or by its characters),
+    plain (one owner, not random) or shared."""
+    random = ~kind.isin(*LOOSE) | looks_random(value)
+    return F.when((owners >= WIDE_OWNERS) | value.rlike(SAMPLE), "example").when((owners == 1) & random, "live").when(owners == 1, "plain").otherwise("shared")
 
 
 def _string(spans: Column) -> Column:
@@ -95,18 +115,19 @@ def _string(spans: Column) -> Column:
 
 
 def scan_secrets(docs: DataFrame, owner: str = "source", repository: Column | None = None, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """One row a document: n_assign, n_access, n_hex, base_sha256, spans, n_live, n_example, n_shared and the candidates
+    """One row a document: n_assign, n_access, n_hex, base_sha256, spans, n_live, n_example, n_shared, n_plain and the candidates
     with their standing. A wider candidate is a span only where it is live."""
     repository = F.col(owner) if repository is None else repository
     rows = docs.select(F.monotonically_increasing_id().alias("row"), F.col(doc_id).alias("doc_id"), F.col(owner).alias("owner"), repository.alias("repository"), F.col(text).alias("text"))
     rows = staged(candidates(rows).drop("text"), "secrets")
     every = F.concat("base", "more")
     each = rows.where((F.size("base") > 0) | (F.size("more") > 0)).select("row", "owner", "repository", F.explode(every).alias("span")).withColumn("secret", F.sha2("span.value", 256))
-    known = each.join(ownership(each.select("secret", "owner", "repository")), "secret")
-    judged = known.select("row", F.struct("span.start", "span.end", "span.kind", "secret", "owners", "repositories", standing(F.col("span.value"), F.col("owners")).alias("standing")).alias("found"))
+    # written, so that the join meets a plain table and adaptive execution can split a secret that all documents hold
+    known = each.join(staged(ownership(each.select("secret", "owner", "repository")), "owners"), "secret")
+    judged = known.select("row", F.struct("span.start", "span.end", "span.kind", "secret", "owners", "repositories", standing(F.col("span.value"), F.col("owners"), F.col("span.kind")).alias("standing")).alias("found"))
     per_row = judged.groupBy("row").agg(F.array_sort(F.collect_list("found")).alias("found"))
     out = rows.join(per_row, "row", "left").withColumn("found", F.coalesce("found", F.array().cast(per_row.schema["found"].dataType)))
     of_kind = lambda k: F.size(F.filter("base", lambda x: x["kind"] == k)).cast("long")
     of_standing = lambda s: F.size(F.filter("found", lambda x: x["standing"] == s)).cast("long")
     spans = F.filter("found", lambda x: (x["kind"] <= 2) | (x["standing"] == "live"))
-    return out.select("doc_id", of_kind(0).alias("n_assign"), of_kind(1).alias("n_access"), of_kind(2).alias("n_hex"), F.sha2(_string(F.col("base")), 256).alias("base_sha256"), _string(spans).alias("spans"), *(of_standing(s).alias(f"n_{s}") for s in ("live", "example", "shared")), "found")
+    return out.select("doc_id", of_kind(0).alias("n_assign"), of_kind(1).alias("n_access"), of_kind(2).alias("n_hex"), F.sha2(_string(F.col("base")), 256).alias("base_sha256"), _string(spans).alias("spans"), *(of_standing(s).alias(f"n_{s}") for s in ("live", "example", "shared", "plain")), "found")

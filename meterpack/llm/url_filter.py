@@ -53,11 +53,14 @@ class HostPathTrie:
                 break
             at, i = node["paths"], 1
             while at is not None:
-                for (rooted, tail), (verdict, rule) in at["tails"].items():
-                    if not rooted or (i < len(segments) and segments[i].startswith(tail)):
-                        key = (len(rule), len(rule.partition("/")[0]))
-                        if key > best_key:
-                            best, best_key = (verdict, rule), key
+                here = segments[i] if i < len(segments) else None
+                # every beginning of the segment is looked up, so that a node may hold any number of tails
+                for key in [(False, ""), *((True, here[:n]) for n in range(len(here) + 1))] if here is not None else [(False, "")]:
+                    if key in at["tails"]:
+                        verdict, rule = at["tails"][key]
+                        size = (len(rule), len(rule.partition("/")[0]))
+                        if size > best_key:
+                            best, best_key = (verdict, rule), size
                 at = at["seg"].get(segments[i]) if i + 1 < len(segments) else None
                 i += 1
         return best
