@@ -10,8 +10,8 @@ corrects that by a difference. So only n-grams of both folds need a row in the t
 document's n-grams is all there is to do. N-grams travel packed, one row for each bucket of hashes and some million words
 (GATHER): columns of 64-bit hashes, summed or looked up a bucket at a time. N-grams above 2**-HOT_BITS of all words, which
 are 3 * 2**HOT_BITS at most by arithmetic, go to all workers instead, so that no bucket holds a long list of documents for
-one of them. Trigrams are counted, and all orders are scored, in ROUNDS rounds by hash: shuffle files of a round go when it
-is written, which bounds the disk.
+one of them. Texts are read once, and kept as hashes until the end. Counting and scoring go in rounds by hash: shuffle files of
+a round go when it is written, which bounds the disk.
 
 Two n-grams of equal 64-bit hash would be counted as one: below 1e10 different ones, three such pairs are expected at most.
 Documents are told apart by a 64-bit hash of id and text: equal rows share it and their score.
@@ -23,13 +23,14 @@ table gives no rows; only the two columns named are read.
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from meterpack.llm.common import byte_chunks, sent, small_batches, staged, trim, word_hashes
+from meterpack.llm.common import byte_chunks, discard, sent, small_batches, staged, trim, word_hashes
 from meterpack.llm.decontaminate import words_of
 
 ORDERS = 3
@@ -37,11 +38,12 @@ ORDERS = 3
 START, ALL = 0x1E3779B97F4A7C15, 0x5555555555555555
 BACKOFF = 0.4
 MICRO = 1_000_000
-#: Words that a task gathers before it packs them.
-GATHER = 1_000_000
+#: Words that a task gathers in a row before it packs them.
+GATHER = 500_000
 #: Words of a bucket, more or less, and bytes taken for one.
 BUCKET_WORDS, WORD_BYTES = 1_000_000, 6
-ROUNDS = 2
+#: Rounds in which words, bigrams and trigrams are counted, and in which all are scored.
+COUNT_ROUNDS, ROUNDS = (1, 2, 3), 3
 HOT_BITS = 20
 #: An n-gram seen so rarely is not hot, however small the table.
 LEAST_HOT = 16
@@ -73,16 +75,31 @@ def _rest(gram: str, part: str, by: int) -> Column:
     return F.col(gram).bitwiseXOR(F.shiftleft(part, by).bitwiseOR(F.shiftrightunsigned(part, 64 - by)))
 
 
+def round_of(g: np.ndarray, rounds: int) -> np.ndarray:
+    return (g & np.uint64(0x7FFFFFFF)) % np.uint64(rounds)
+
+
+def _round_of(gram: str) -> Column:
+    return F.pmod(F.col(gram).bitwiseAND(0x7FFFFFFF), F.lit(ROUNDS))
+
+
 def bucket_of(g: np.ndarray, buckets: int) -> np.ndarray:
     return ((g >> np.uint64(33)) % np.uint64(buckets)).astype(np.int32)
 
 
-def _gathered(batches) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
-    """(keys, folds, sizes, words) of documents with GATHER words or a few more; batches: (text, fold, key)."""
+WORDS = "keys binary, folds binary, sizes binary, vocabulary binary, places binary"
+
+
+def _gather(batches):
+    """Rows of documents (keys, folds, words of each) with GATHER words or a few more: their different words as hashes, and the
+    place there of every word. batches: (text, fold, key)."""
     held, n = [], 0
 
     def flush():
-        return tuple(np.concatenate([h[i] for h in held]) for i in range(4))
+        keys, folds, sizes, w = (np.concatenate([h[i] for h in held]) for i in range(4))
+        vocabulary, places = np.unique(w, return_inverse=True)
+        cells = (keys.astype("<i8"), folds, sizes.astype("<u4"), vocabulary, places.astype("<u4"))
+        return pa.RecordBatch.from_arrays([pa.array([c.tobytes()], pa.binary()) for c in cells], names=[c.split()[0] for c in WORDS.split(", ")])
 
     for batch in batches:
         folds, keys, at = batch.column(1).to_numpy(zero_copy_only=False).astype(np.uint8), batch.column(2).to_numpy(zero_copy_only=False), 0
@@ -97,6 +114,15 @@ def _gathered(batches) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.
                 held, n = [], 0
     if held:
         yield flush()
+    trim()
+
+
+def _gathered(batches) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+    """(keys, folds, sizes, words) of each row of WORDS."""
+    for batch in batches:
+        for row in range(len(batch)):
+            keys, folds, sizes, vocabulary, places = (np.frombuffer(batch.column(i)[row].as_buffer(), k) for i, k in enumerate(("<i8", np.uint8, "<u4", np.uint64, "<u4")))
+            yield keys, folds, sizes.astype(np.int64), vocabulary[places]
 
 
 def _orders(sizes: np.ndarray, w: np.ndarray) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.ndarray]]:
@@ -132,7 +158,7 @@ def _counter(order: int, round_: int, rounds: int, buckets: int):
             if order == 1:  # words of a fold in all, and texts as START
                 totals = np.bincount(folds, sizes, 2).astype(np.int64)
                 texts = np.bincount(folds[sizes > 0], minlength=2)
-            own = np.flatnonzero(g % np.uint64(rounds) == round_) if rounds > 1 else np.arange(len(g))
+            own = np.flatnonzero(round_of(g, rounds) == round_) if rounds > 1 else np.arange(len(g))
             own = own[np.lexsort((g[own], bucket_of(g[own], buckets)))]
             g, part, fold = g[own], part[own], fold[own]
             heads = np.flatnonzero(np.concatenate([[True], g[1:] != g[:-1]])) if len(g) else np.empty(0, np.int64)
@@ -168,13 +194,12 @@ def _summed(t: pa.Table) -> pa.Table:
     return out
 
 
-def count_grams(docs: DataFrame, order: int, buckets: int, rounds: int = ROUNDS) -> DataFrame:
-    """(gram, part, f0, f1) of the n-grams of this order that both folds have. docs: (text, fold, key)."""
-    out = None
+def count_grams(words: DataFrame, order: int, buckets: int, rounds: int) -> list[DataFrame]:
+    """Staged tables (gram, part, f0, f1), one a round, of the n-grams of this order that both folds have."""
+    out = []
     for r in range(rounds):
-        packed = docs.mapInArrow(_counter(order, r, rounds, buckets), "bucket int, c0 binary, c1 binary, c2 binary, c3 binary")
-        found = staged(packed.groupBy("bucket").applyInArrow(_summed, "gram bigint, part bigint, f0 bigint, f1 bigint"), f"grams-{order}")
-        out = found if out is None else out.union(found)
+        packed = words.mapInArrow(_counter(order, r, rounds, buckets), "bucket int, c0 binary, c1 binary, c2 binary, c3 binary")
+        out.append(staged(packed.groupBy("bucket").applyInArrow(_summed, "gram bigint, part bigint, f0 bigint, f1 bigint"), f"grams-{order}"))
     return out
 
 
@@ -186,9 +211,10 @@ def _log(n: Column) -> Column:
 STEP, HALF = round(-np.log(BACKOFF) * MICRO), round(np.log(0.5) * MICRO)
 
 
-def differences(words: DataFrame, bigrams: DataFrame, trigrams: DataFrame) -> tuple[DataFrame, list[int]]:
-    """((gram, n, d0, d1), logarithms of the words in each fold): n is how often it comes in all, d0 what it changes for a
+def differences(tables: list[list[DataFrame]]) -> tuple[DataFrame, list[int]]:
+    """(staged (gram, n, d0, d1), logarithms of the words in each fold): n is how often it comes in all, d0 what it changes for a
     document of fold 0, which sees the counts of fold 1; d1 the other way round."""
+    words, bigrams, trigrams = (reduce(DataFrame.union, t) for t in tables)
     totals = words.where(F.col("gram") == ALL).select(_log(F.col("f0")), _log(F.col("f1"))).first() or (0, 0)
     words = words.where(F.col("gram") != ALL)
     n = (F.col("f0") + F.col("f1")).alias("n")
@@ -209,7 +235,9 @@ def differences(words: DataFrame, bigrams: DataFrame, trigrams: DataFrame) -> tu
         return _log(F.col(f"u{f}")) - _log(F.col(f"f{f}")) - F.lit(STEP) - _log(F.col(f"v{f}")) + _log(F.col(f"i{f}"))
 
     three = joined.select("gram", n, of_three(1).alias("d0"), of_three(0).alias("d1"))
-    return one.union(two).union(three), list(totals)
+    found = staged(one.union(two).union(three), "differences")
+    discard(known, *(t for order in tables for t in order))
+    return found, list(totals)
 
 
 class Hot:
@@ -245,7 +273,7 @@ def _exploder(hot, totals: list[int], round_: int, rounds: int, buckets: int):
             parts = []
             for _, doc, g, _ in _orders(sizes, w):
                 if rounds > 1:
-                    own = g % np.uint64(rounds) == round_
+                    own = round_of(g, rounds) == round_
                     g, doc = g[own], doc[own]
                 order = np.argsort(g, kind="stable")
                 g, doc = g[order], doc[order]
@@ -284,7 +312,7 @@ def _scored(packed: pa.Table, table: pa.Table) -> pa.Table:
         tag = np.frombuffer(tag, "<i8")
         if not g:
             keys.append(tag)
-            sums.append(np.concatenate([np.frombuffer(doc, "<i8").reshape(2, -1), np.ones((1, len(tag)), np.int64)]))   # in each of ROUNDS
+            sums.append(np.concatenate([np.frombuffer(doc, "<i8").reshape(2, -1), np.ones((1, len(tag)), np.int64)]))
             continue
         g = np.frombuffer(g, np.uint64)
         if not len(grams):
@@ -309,23 +337,21 @@ def score_documents(docs: DataFrame, doc_id: str = "doc_id", text: str = "text")
     small_batches(spark)
     key = F.xxhash64(F.coalesce(F.col(doc_id).cast("string"), F.lit("null")), F.coalesce(F.col(text), F.lit("")))
     rows = docs.select(F.col(text).alias("text"), fold_of(F.col(text)).alias("fold"), key.alias("key"), F.col(doc_id).alias("doc_id"))
-    texts = rows.select("text", "fold", "key")
     size = docs.agg(F.coalesce(F.sum(F.octet_length(text)), F.lit(0))).first()[0]
     buckets = max(1, round(size / WORD_BYTES / BUCKET_WORDS))
-    tables = [count_grams(texts, order, buckets, ROUNDS if order == ORDERS else 1) for order in range(1, ORDERS + 1)]
-    found, totals = differences(*tables)
-    found = staged(found, "differences")
+    words = staged(rows.select("text", "fold", "key").mapInArrow(_gather, WORDS), "words")
+    found, totals = differences([count_grams(words, order, buckets, n) for order, n in enumerate(COUNT_ROUNDS, 1)])
     hot_from = max(LEAST_HOT, round(size / WORD_BYTES) >> HOT_BITS)
     hot = sent(spark.sparkContext, Hot(found.where(F.col("n") >= hot_from).select("gram", "d0", "d1").collect()))
     rare = found.where(F.col("n") < hot_from).select(F.pmod(F.shiftrightunsigned("gram", 33), F.lit(buckets)).cast("int").alias("bucket"), "gram", "d0", "d1")
-    sums = None
+    sums = []
     for r in range(ROUNDS):
         run, names = _exploder(hot, totals, r, ROUNDS, buckets)
-        own = rare.where(F.pmod(F.col("gram").bitwiseAND(ROUNDS - 1), F.lit(ROUNDS)) == r)
-        scored = texts.mapInArrow(run, names).groupBy("bucket").cogroup(own.groupBy("bucket")).applyInArrow(_scored, "key bigint, cost bigint, n_tokens bigint, copies bigint")
-        part = staged(scored.groupBy("key").agg(*(F.sum(c).alias(c) for c in ("cost", "n_tokens", "copies"))), "sums")
-        sums = part if sums is None else sums.union(part)
-    sums = sums.groupBy("key").agg(*((F.sum(c)).alias(c) for c in ("cost", "n_tokens", "copies")))
+        own = rare.where(_round_of("gram") == r)
+        scored = words.mapInArrow(run, names).groupBy("bucket").cogroup(own.groupBy("bucket")).applyInArrow(_scored, "key bigint, cost bigint, n_tokens bigint, copies bigint")
+        sums.append(staged(scored.groupBy("key").agg(*(F.sum(c).alias(c) for c in ("cost", "n_tokens", "copies"))), "sums"))
+    discard(words, found)
+    sums = reduce(DataFrame.union, sums).groupBy("key").agg(*(F.sum(c).alias(c) for c in ("cost", "n_tokens", "copies")))
     each = lambda c: F.expr(f"{c} div (copies div {ROUNDS})").alias(c)
     out = rows.select("doc_id", "fold", "key").join(sums, "key").select("doc_id", "fold", each("n_tokens"), each("cost"))
     return out.withColumn("nats_per_token", F.when(F.col("n_tokens") > 0, F.round(F.col("cost") / F.col("n_tokens") / MICRO, 6)))
