@@ -41,7 +41,7 @@ LOW_SHARE, HIGH_SHARE, MARGIN, LEAST_GOOD, MIN_SPREAD = 0.001, 0.999, 0.05, 200,
 SHORT = 3000
 #: With too few of them: this often the range from the fifth to the ninety-fifth percentile of all, around the median.
 WIDE = 2.0
-#: Entries of a model that is sent to all workers: 24 bytes each.
+#: Entries of a model that is sent to all workers: 16 bytes each.
 MAX_MODEL = 4_000_000
 #: Code points that a task counts at a time, and entries it holds before it hands them on.
 GATHER, HOLD = 1 << 21, 1_500_000
@@ -173,20 +173,21 @@ def kneser_ney(counts: DataFrame) -> DataFrame:
 class GramModel:
     """Of each language and order sorted hashes with log probabilities and back-off weights."""
 
-    def __init__(self, rows: pa.Table) -> None:
+    def __init__(self, table: DataFrame) -> None:
+        """An order at a time, so that the driver holds little beside the arrays."""
         self.tables: dict[str, list] = {}
-        keys = rows["key"].combine_chunks().dictionary_encode()
-        for at, key in enumerate(keys.dictionary.to_pylist()):
-            own = rows.filter(pa.compute.equal(keys.indices, at))
-            sizes = pa.compute.utf8_length(own["gram"]).to_numpy()
-            levels = []
-            for k in range(ORDER + 1):
-                here = own.filter(pa.array(sizes == k))
-                points = np.frombuffer("".join(here["gram"].to_pylist()).encode("utf-32-le", "surrogatepass"), np.uint32)
-                h = gram_hashes(points, k)[::k] if k and len(points) else np.zeros(len(here), np.uint64)
+        for k in range(ORDER + 1):
+            rows = table.where(F.length("gram") == k).select("key", "gram", F.col("logp").cast("float"), F.col("logb").cast("float")).toArrow().combine_chunks()
+            keys = rows["key"].combine_chunks().dictionary_encode()
+            names = keys.dictionary.to_pylist()
+            for at, key in enumerate(names):
+                here = rows.filter(pa.compute.equal(keys.indices, at)).combine_chunks()
+                grams = pa.compute.binary_join(pa.ListArray.from_arrays([0, len(here)], here["gram"].combine_chunks()), "")[0].as_py() if k else ""
+                points = np.frombuffer(grams.encode("utf-32-le", "surrogatepass"), np.uint32)
+                h = gram_hashes(points, k)[::k] if k else np.zeros(len(here), np.uint64)
                 order = np.argsort(h)
-                levels.append((h[order], *(here[c].combine_chunks().fill_null(null).to_numpy()[order].astype(np.float64) for c, null in (("logp", np.nan), ("logb", 0.0)))))
-            self.tables[key] = levels
+                values = (here[c].combine_chunks().fill_null(null).to_numpy(zero_copy_only=False)[order] for c, null in (("logp", np.nan), ("logb", 0.0)))
+                self.tables.setdefault(key, []).append((h[order], *values))
 
     def logs(self, key: str, grams: np.ndarray) -> np.ndarray:
         """Log probability of each row of ORDER code points: by the longest end that is known, with the weights of all longer
@@ -224,7 +225,7 @@ class GramModel:
 def fit_grams(docs: DataFrame, text: str = "text", lang: str = "lang", max_model: int = MAX_MODEL) -> GramModel | DataFrame:
     """The model of all documents: arrays where its counted rows are within the bound, else its table."""
     model = kneser_ney(count_grams(docs, text, lang))
-    return GramModel(model.toArrow()) if model.count() <= max_model else model
+    return GramModel(model) if model.count() <= max_model else model
 
 
 def repeat_words(words: list[bytes]) -> int:
@@ -320,11 +321,11 @@ def joined_levels(rows: DataFrame, model: DataFrame) -> DataFrame:
     open_ = grams.select("key", "gram").distinct().select("key", "gram", F.col("gram").alias("end"), F.lit(0.0).alias("spent"))
     settled = []
     for k in range(ORDER, -1, -1):
-        own = model.where(F.length("gram") == k).select("key", F.col("gram").alias("end"), "logp")
+        own = model.where(F.length("gram") == k).select("key", F.col("gram").alias("end"), F.col("logp").cast("float").cast("double").alias("logp"))
         met = staged(open_.join(own, ["key", "end"], "left"), f"met-{k}")
         settled.append(met.where("logp is not null").select("key", "gram", (F.col("logp") + F.col("spent")).alias("log")))
         if k:
-            context = model.where(F.length("gram") == k - 1).select("key", F.col("gram").alias("context"), "logb")
+            context = model.where(F.length("gram") == k - 1).select("key", F.col("gram").alias("context"), F.col("logb").cast("float").cast("double").alias("logb"))
             left = met.where("logp is null").withColumn("context", F.substring("end", 1, k - 1)).join(context, ["key", "context"], "left")
             open_ = left.select("key", "gram", F.substring("end", 2, k - 1).alias("end"), (F.col("spent") + F.coalesce("logb", F.lit(0.0))).alias("spent"))
     logs = settled[0]
