@@ -415,6 +415,7 @@ def keep_quality(docs: DataFrame, labels: DataFrame | None = None, max_model: in
     own, model = docs.columns, fit_grams(docs, max_model=max_model)
     levels = score_quality(docs.select("doc_id", "text", "lang"), model, name="__mp_quality").where("not __mp_quality.base_failed")
     levels = levels.join(rated_good(docs, labels, "doc_id"), F.col("doc_id") == F.col("__mp_id"), "left").select("lang", "__mp_quality.level", "__mp_quality.n_chars", F.col("__mp_good").alias("good"))
+    levels = staged(levels, "levels")  # bands read them three times
     per_lang = band_table(levels)
     scored = score_quality(docs.select(F.struct("*").alias("__mp_row"), "text", "lang"), model, name="__mp_quality")
     judged = scored.join(per_lang, F.col("lang").eqNullSafe(F.col("__mp_lang")), "left")
