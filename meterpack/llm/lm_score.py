@@ -43,7 +43,7 @@ GATHER = 500_000
 #: Words of a bucket, more or less, and bytes taken for one.
 BUCKET_WORDS, WORD_BYTES = 1_000_000, 6
 #: Rounds in which words, bigrams and trigrams are counted, and in which all are scored.
-COUNT_ROUNDS, ROUNDS = (1, 2, 3), 3
+COUNT_ROUNDS, ROUNDS = (1, 2, 3), 4
 HOT_BITS = 20
 #: An n-gram seen so rarely is not hot, however small the table.
 LEAST_HOT = 16
