@@ -48,15 +48,18 @@ def sent(sc: SparkContext, what: object) -> Callable[[], object]:
     return get
 
 
-#: Rows of a text column that go to a Python worker at a time: texts are long, and an executor holds several batches.
-BATCH_ROWS = 1024
+#: Rows of a text column that go to a Python worker at a time, and bytes, whichever is fewer: texts and packed hashes are long,
+#: and an executor holds several batches, on both sides of the pipe.
+BATCH_ROWS, BATCH_BYTES = 1024, 8 << 20
 
 
 def small_batches(spark: SparkSession) -> None:
-    """Lowers the session's Arrow batch size to BATCH_ROWS where it is above; a runtime setting that any job may lower."""
-    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
-    if not 0 < int(spark.conf.get(key, "10000")) <= BATCH_ROWS:
-        spark.conf.set(key, str(BATCH_ROWS))
+    """Lowers the session's Arrow batch size to BATCH_ROWS and BATCH_BYTES where it is above; runtime settings that any job may
+    lower. A batch is closed by the row that passes the limit, so a longer text is a batch of its own."""
+    rows, size = "spark.sql.execution.arrow.maxRecordsPerBatch", "spark.sql.execution.arrow.maxBytesPerBatch"
+    if not 0 < int(spark.conf.get(rows, "10000")) <= BATCH_ROWS:
+        spark.conf.set(rows, str(BATCH_ROWS))
+    spark.conf.set(size, str(BATCH_BYTES))
 
 
 def trim() -> None:
