@@ -54,12 +54,13 @@ BATCH_ROWS, BATCH_BYTES = 1024, 8 << 20
 
 
 def small_batches(spark: SparkSession) -> None:
-    """Lowers the session's Arrow batch size to BATCH_ROWS and BATCH_BYTES where it is above; runtime settings that any job may
-    lower. A batch is closed by the row that passes the limit, so a longer text is a batch of its own."""
+    """Lowers the session's Arrow batches to BATCH_ROWS where it allows more, and to BATCH_BYTES where it names no size; runtime
+    settings that any job may lower. A batch is closed by the row that passes the limit, so a longer text is a batch of its own."""
     rows, size = "spark.sql.execution.arrow.maxRecordsPerBatch", "spark.sql.execution.arrow.maxBytesPerBatch"
     if not 0 < int(spark.conf.get(rows, "10000")) <= BATCH_ROWS:
         spark.conf.set(rows, str(BATCH_ROWS))
-    spark.conf.set(size, str(BATCH_BYTES))
+    if spark.conf.get(size, None) is None:
+        spark.conf.set(size, str(BATCH_BYTES))
 
 
 def trim() -> None:
