@@ -22,18 +22,24 @@ def draw(r: int, seed: int, batch: str = "0"):
 
 
 def seed_rows(vectors: DataFrame, k: int, seed: int) -> DataFrame:
-    """(cluster_id, stream_id, vec): the first by least md5, each next by a draw weighted with squared distance. The
-    running weights are taken in ranges with offsets only where they are large; here one batch is one task."""
-    vectors = kept(vectors.select("stream_id", "vec"), "vectors")
+    """(cluster_id, stream_id, vec): the first by least md5, each next by a draw weighted with squared distance. The sums of
+    ranges of ids say which range a draw falls in, and running weights are taken in that one only. Where every vector is a
+    seed already, there are no more."""
+    ranged = vectors.select("stream_id", "vec").repartitionByRange("stream_id").withColumn("__mp_range", F.spark_partition_id())
+    vectors = kept(ranged, "vectors")
     first = vectors.orderBy(F.md5(F.concat(F.col("stream_id").cast("string"), F.lit(f":{seed}:0")))).limit(1)
     seeds = first.select(F.lit(0).alias("cluster_id"), "stream_id", "vec")
     for r in range(1, k):
         seeds = kept(seeds, "seeds")
         every = seeds.agg(F.collect_list("vec").alias("centers"))  # k rows at most, as one
-        near = vectors.crossJoin(F.broadcast(every)).select("stream_id", "vec", F.array_min(F.transform("centers", lambda c: dist2(F.col("vec"), c))).alias("w"))
-        w = Window.orderBy("stream_id").rowsBetween(Window.unboundedPreceding, 0)
-        running = near.withColumn("upto", F.sum("w").over(w)).withColumn("all", F.sum("w").over(Window.partitionBy()))
-        hit = running.where(F.col("upto") > F.pmod(draw(r, seed), F.col("all"))).orderBy("stream_id").limit(1)
+        near = vectors.crossJoin(F.broadcast(every)).select("stream_id", "vec", "__mp_range", F.array_min(F.transform("centers", lambda c: dist2(F.col("vec"), c))).alias("w"))
+        before = Window.orderBy("__mp_range").rowsBetween(Window.unboundedPreceding, -1)  # one row a range
+        sums = near.groupBy("__mp_range").agg(F.sum("w").alias("own"))
+        sums = sums.select("__mp_range", "own", F.coalesce(F.sum("own").over(before), F.lit(0)).alias("before"), F.sum("own").over(Window.partitionBy()).alias("all"))
+        there = sums.withColumn("at", F.pmod(draw(r, seed), F.nullif(F.col("all"), F.lit(0))) - F.col("before")).where("at >= 0 and at < own").select("__mp_range", "at")
+        inside = near.join(F.broadcast(there), "__mp_range")
+        w = Window.partitionBy("__mp_range").orderBy("stream_id").rowsBetween(Window.unboundedPreceding, 0)
+        hit = inside.withColumn("upto", F.sum("w").over(w)).where("upto > at").orderBy("stream_id").limit(1)
         seeds = seeds.union(hit.select(F.lit(r), "stream_id", "vec"))
     return seeds
 
