@@ -8,7 +8,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from meterpack.kernels.bits import get_varints, put_varints, unzigzag, zigzag
@@ -16,6 +16,7 @@ from meterpack.kernels.codec import Config, decode_group, encode, read_config
 from meterpack.kernels.firststage import CODERS, decode_block
 from meterpack.kernels.group import lloyd, pad, random_cluster, seeds
 from meterpack.operators.firststage import rows_of, spread
+from meterpack.operators.ranks import dense_ranks
 from meterpack.schemas import PACKED, READINGS, STREAMS
 
 BATCH = 56
@@ -27,13 +28,8 @@ def batch_by_rank(streams: DataFrame, size: int = BATCH) -> DataFrame:
     """batch_id: the first `size` streams by id, the next `size`, and so on.
 
     The rank is taken over distinct ids in two levels (a rank in each range, offsets of the ranges), so that no task
-    sorts all ids."""
-    ids = streams.select("stream_id").distinct().repartitionByRange("stream_id").withColumn("range", F.spark_partition_id())
-    w = Window.partitionBy("range").orderBy("stream_id")
-    local = ids.withColumn("r", F.row_number().over(w) - 1)
-    before = Window.orderBy("range").rowsBetween(Window.unboundedPreceding, -1)
-    offsets = ids.groupBy("range").agg(F.count(F.lit(1)).alias("n")).select("range", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("offset"))  # one row a partition
-    ranked = local.join(F.broadcast(offsets), "range").select("stream_id", F.floor((F.col("offset") + F.col("r")) / size).cast("bigint").alias("batch_id"))
+    sorts all ids; the ranges are written first, as a lost executor would else deal them anew."""
+    ranked = dense_ranks(streams.select("stream_id").distinct(), "stream_id").select("stream_id", F.floor(F.col("rank") / size).cast("bigint").alias("batch_id"))
     return streams.join(ranked, "stream_id")
 
 
