@@ -169,6 +169,28 @@ def test_kneser_ney_by_the_definition(spark):
     assert model.sums("=xx", ["abc"])[0] == 0
 
 
+def test_model_in_pieces(spark, monkeypatch):
+    """A model above the bound of one piece is neither joined nor shuffled: no task writes the n-grams of texts, each piece is
+    less than all, and levels are those of the whole model."""
+    import random
+
+    random.seed(6)
+    letters = "abcdefghijklmnop étß日本語𝒳"
+    texts = ["".join(random.choices(letters, k=random.randrange(0, 400))) for _ in range(120)] + [None, "", "a"]
+    docs = spark.createDataFrame([(i, t, ("en", "fr", None)[i % 3]) for i, t in enumerate(texts)], "doc_id int, text string, lang string")
+    monkeypatch.setattr(quality, "joined_levels", None)
+    monkeypatch.setattr(quality, "WAIT", 1000)
+    levels = {}
+    for piece in (quality.PIECE, 20_000):
+        model = quality.fit_grams(docs, piece=piece)
+        levels[len(model.pieces)] = {r.doc_id: r.q for r in quality.score_quality(docs, model, name="q").collect()}
+    (one, whole), (many, pieced) = levels.items()
+    assert one == 1 and many > 3 and whole == pieced and max(q.level for q in whole.values()) > 0
+    table = quality.kneser_ney(quality.count_grams(docs))
+    sizes = [sum(len(t[0]) for key in quality.GramModel(table, p, many).tables.values() for t in key) for p in range(many)]
+    assert max(sizes) < table.count() / 2
+
+
 def plain_bands(rows, good):
     """(mid, low, high) of (level, n_chars) by id, by sorting."""
     cut = lambda xs, share: sorted(xs)[max(0, math.ceil(len(xs) * share - 1e-9) - 1)]
