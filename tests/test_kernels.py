@@ -162,3 +162,35 @@ def test_kmeans():
     assert pad([np.arange(3), np.arange(5)], "truncate").shape == (2, 3)
     assert pad([np.arange(9), np.arange(5)], "resample", 3).shape == (2, 3)
     assert pad([np.arange(9), np.arange(5)], "histogram", 4).sum() == 14
+
+
+def test_ranks_of_large_alphabets(monkeypatch):
+    """Ranks counted by bits are those of a list, in any order of the alphabet."""
+    from meterpack.kernels import mtf as kernel
+
+    monkeypatch.setattr(kernel, "LARGE", 0)
+    rng = np.random.default_rng(8)
+    assert kernel.larger_before(np.array([5, 1, 9, -3, 2])).tolist() == [0, 1, 0, 3, 2]
+    for n, size in ((1, 1), (2, 9), (700, 3), (900, 800), (1024, 64)):
+        x = rng.integers(0, size, n) * 5 - 9
+        for alphabet in (np.unique(x), rng.permutation(np.arange(size) * 5 - 9)):
+            ranks, _ = kernel.mtf(x, alphabet)
+            line, want = alphabet.tolist(), []
+            for s in x.tolist():
+                want.append(line.index(s))
+                line.insert(0, line.pop(want[-1]))
+            assert ranks.tolist() == want and kernel.mtf_inverse(ranks, alphabet).tolist() == x.tolist()
+
+
+def test_configurations_share_a_group():
+    """Run lengths packed side by side give the rows of each alone."""
+    from meterpack.kernels.codec import Config
+    from meterpack.plans.recompress import pack_batch
+
+    rng = np.random.default_rng(4)
+    rows = [{"stream_id": i, "block_no": 0, "coder": "identity", "n_readings": 90, "n_bits": 1440, "mu": 0, "sigma": 0, "first": 0, "words": rng.integers(0, 900, 90)} for i in range(8)]
+    cfgs = [Config(k=3, rle=r) for r in ("static", "dynamic", "token")]
+    both = pack_batch(1, 0, rows, *cfgs)
+    assert sorted(map(str, both)) == sorted(str(r) for c in cfgs for r in pack_batch(1, 0, rows, c))
+    with pytest.raises(ValueError):
+        pack_batch(1, 0, rows, Config(k=2), Config(k=3))
