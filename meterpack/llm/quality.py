@@ -2,10 +2,12 @@
 
 The model of each language is an interpolated modified Kneser-Ney model over ORDER code points, each text after ORDER - 1
 pads. All documents count: n-grams are counted in tasks and summed by hash partition, lower orders count the different
-n-grams that they end, discounts come from the counts of counts, and probabilities from joins of the orders. What a language
+n-grams that they end, discounts come from the counts of counts. All that the probability of an n-gram is made of shares the
+last code point of its context, but for single code points and discounts: so n-grams are dealt by it, and every part works out
+its own orders. More than MAX_MODEL n-grams are joined order by order instead. What a language
 has grows with its corpus, and flattens. The model travels as sorted arrays of 64-bit hashes with log probabilities and
-back-off weights. Above PIECE entries it travels in pieces by the last code point of a context, which all that an n-gram looks
-up share, and a worker holds one piece at a time; texts are neither shuffled nor written. A model of more than MAX_MODEL
+back-off weights. Above PIECE entries it travels in pieces by the same code point, and a worker holds one piece at a time; texts
+are neither shuffled nor written. A model of more than MAX_MODEL
 entries stays a table, and the n-grams of the documents are joined with it, order by order.
 
 A language's band lies around the perplexities of documents that a rater found good (labels), or, where there are too few of
@@ -30,6 +32,7 @@ from pyspark.sql import functions as F
 from meterpack.llm.common import BLANKS, TAIL_BYTES, byte_chunks, mix64, sent, small_batches, staged, text_chunks, trim
 
 SYMBOLS = b"#*$%&|<>"
+_SYMBOLS = [bytes((s,)) for s in SYMBOLS]
 MIN_WORDS = 50
 MAX_REPEAT_PERCENT = 50
 ORDER = 5
@@ -50,6 +53,8 @@ MAX_MODEL, PIECE = 64_000_000, 4_000_000
 WAIT = 1 << 20
 #: Code points that a task counts at a time, and entries it holds before it hands them on.
 GATHER, HOLD = 1 << 21, 1_500_000
+#: Parts of a language in which probabilities are worked out.
+PARTS = 64
 _BASE = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -61,9 +66,11 @@ def padded(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
 
 def gram_hashes(points: np.ndarray, n: int) -> np.ndarray:
     """A 64-bit hash of every n code points in a row."""
+    wide = points.astype(np.uint64)
     out = np.zeros(max(0, len(points) - n + 1), np.uint64)
     for i in range(n):
-        out = (out + points[i : len(points) - n + 1 + i].astype(np.uint64)) * _BASE
+        out += wide[i : len(points) - n + 1 + i]
+        out *= _BASE
         out ^= out >> np.uint64(29)
     return mix64(out)
 
@@ -74,18 +81,61 @@ def _own(sizes: np.ndarray) -> np.ndarray:
     return np.repeat(starts - (np.cumsum(sizes) - sizes), sizes) + np.arange(int(sizes.sum()))
 
 
+def _different(points: np.ndarray, own: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(n-grams, counts) of the windows that start at own. Places in the texts' alphabet make one number of a window."""
+    alphabet = np.unique(points)
+    if len(alphabet) ** ORDER >= 1 << 63:
+        _, first, n = np.unique(gram_hashes(points, ORDER)[own], return_index=True, return_counts=True)
+        return points[own[first][:, None] + np.arange(ORDER)], n
+    places = np.zeros(int(alphabet[-1]) + 1 if len(alphabet) else 1, np.int64)
+    places[alphabet] = np.arange(len(alphabet))
+    digits = places[points]
+    keys = digits[: len(points) - ORDER + 1].copy()
+    for i in range(1, ORDER):
+        keys *= len(alphabet)
+        keys += digits[i : len(points) - ORDER + 1 + i]
+    keys = np.sort(keys[own])
+    heads = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]])) if len(keys) else np.empty(0, np.int64)
+    n, left = np.diff(np.append(heads, len(keys))), keys[heads]
+    grams = np.empty((len(left), ORDER), np.uint32)
+    for i in range(ORDER - 1, -1, -1):
+        left, digit = np.divmod(left, len(alphabet))
+        grams[:, i] = alphabet[digit]
+    return grams, n
+
+
+def _row_hashes(grams: np.ndarray) -> np.ndarray:
+    """A 64-bit hash of each row of code points."""
+    k = grams.shape[1]
+    return gram_hashes(np.ascontiguousarray(grams).ravel(), k)[::k] if k and len(grams) else np.zeros(len(grams), np.uint64)
+
+
 def _tally(texts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(hashes in rising order, counts, code points) of the n-grams of some texts."""
     points, sizes = padded(texts)
-    own = _own(sizes)
-    h, first, n = np.unique(gram_hashes(points, ORDER)[own], return_index=True, return_counts=True)
-    return h, n, points[own[first][:, None] + np.arange(ORDER)]
+    grams, n = _different(points, _own(sizes))
+    order = np.argsort(h := _row_hashes(grams))
+    return h[order], n[order], grams[order]
 
 
 def _merged(parts: list[tuple]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    h, n, grams = (np.concatenate([p[i] for p in parts]) for i in range(3))
-    u, first, inverse = np.unique(h, return_index=True, return_inverse=True)
-    return u, np.bincount(inverse, n, len(u)).astype(np.int64), grams[first]
+    """Tallies as one."""
+    h, n, grams = parts[0]
+    for more, m, rows in parts[1:]:
+        at = np.minimum(np.searchsorted(h, more), max(0, len(h) - 1))
+        found = h[at] == more if len(h) else np.zeros(len(more), bool)
+        n = n.copy()
+        n[at[found]] += m[found]
+        new = np.flatnonzero(~found)
+        order = np.argsort(joined := np.concatenate([h, more[new]]), kind="stable")
+        h, n, grams = joined[order], np.concatenate([n, m[new]])[order], np.concatenate([grams, rows[new]])[order]
+    return h, n, grams
+
+
+def _texts_of(grams: np.ndarray) -> pa.Array:
+    """A string of each row of code points."""
+    k, text = grams.shape[1], np.ascontiguousarray(grams, "<u4").tobytes().decode("utf-32-le", "surrogatepass")
+    return pa.array([text[i : i + k] for i in range(0, len(text), k)], pa.string())
 
 
 def _count_grams(batches):
@@ -102,9 +152,7 @@ def _count_grams(batches):
     def out():
         for lang, parts in held.items():
             _, n, grams = parts[0]
-            text = grams.tobytes().decode("utf-32-le", "surrogatepass")
-            names = pa.array([text[i : i + ORDER] for i in range(0, len(text), ORDER)], pa.string())
-            yield pa.RecordBatch.from_arrays([pa.array([lang] * len(n), pa.string()), names, pa.array(n)], names=["lang", "gram", "n"])
+            yield pa.RecordBatch.from_arrays([pa.array([lang] * len(n), pa.string()), _texts_of(grams), pa.array(n)], names=["lang", "gram", "n"])
         held.clear()
 
     for batch in batches:
@@ -147,14 +195,96 @@ def discounted(table: DataFrame) -> DataFrame:
     return table.join(rates, F.col("key") == F.col("d_key")).select("key", "gram", "n", d.alias("d"))
 
 
-def kneser_ney(counts: DataFrame) -> DataFrame:
+def _rates(n1: int, n2: int, n3: int, n4: int) -> list[float]:
+    """discounted() for one language and order: the discounts of a count of 1, of 2, and of more."""
+    if not (n1 and n2 and n3):
+        return [0.5] * 3
+    y = n1 / (n1 + 2 * n2)
+    return [min(max(x, 0.05), float(k)) for k, x in ((1, 1 - 2 * y * n2 / n1), (2, 2 - 3 * y * n3 / n2), (3, 3 - 4 * y * n4 / n3))]
+
+
+def _counts_of_counts(n: np.ndarray) -> list[int]:
+    return np.bincount(np.minimum(n, 5), minlength=6)[1:5].tolist()
+
+
+def _part_orders(t: pa.Table) -> tuple[list[tuple], np.ndarray, np.ndarray]:
+    """Of a part's n-grams, (order, n-grams, counts, contexts, place among these, place in the order below) from the highest
+    order to the second; single code points with their counts."""
+    grams = np.frombuffer("".join(t["gram"].to_pylist()).encode("utf-32-le", "surrogatepass"), np.uint32).reshape(-1, ORDER)
+    n, out = t["n"].to_numpy(), []
+    for k in range(ORDER, 1, -1):
+        _, first, context = np.unique(_row_hashes(grams[:, :-1]), return_index=True, return_inverse=True)
+        _, ends, rest, below = np.unique(_row_hashes(grams[:, 1:]), return_index=True, return_inverse=True, return_counts=True)
+        out.append((k, grams, n, grams[first, :-1], context, rest))
+        grams, n = grams[ends, 1:], below
+    return out, grams[:, 0], n
+
+
+def _part_counts(t: pa.Table) -> pa.Table:
+    """(key, k, point, n1 to n4): the counts of counts of every order from the second on; of every code point its count, as n1."""
+    orders, points, n = _part_orders(t)
+    rows = [(k, 0, *_counts_of_counts(m)) for k, _, m, *_ in orders] + [(1, int(x), int(c), 0, 0, 0) for x, c in zip(points, n, strict=True)]
+    columns = [pa.array(c, pa.int64()) for c in zip(*rows, strict=True)]
+    trim()
+    return pa.table([pa.array([t["key"][0].as_py()] * len(rows), pa.string()), *columns], names=["key", "k", "point", "n1", "n2", "n3", "n4"])
+
+
+def _part_model(known):
+    """Rows (key, gram, logp, logb) of a part: its n-grams from the second order on, then their contexts."""
+
+    def run(t: pa.Table) -> pa.Table:
+        key = t["key"][0].as_py()
+        points, p, rates = known()[key]
+        orders, own, _ = _part_orders(t)
+        p, out = p[np.searchsorted(points, own)], []
+        for k, grams, n, contexts, context, rest in reversed(orders):
+            d = np.array(rates[k])[np.minimum(n, 3) - 1]
+            all_ = np.bincount(context, n)
+            weight = np.bincount(context, d) / all_
+            p = (n - d) / all_[context] + weight[context] * p[rest]
+            for rows, logp, logb in ((grams, np.log(p), None), (contexts, None, np.log(weight))):
+                logs = [pa.nulls(len(rows), pa.float64()) if x is None else pa.array(x) for x in (logp, logb)]
+                out.append(pa.table([pa.array([key] * len(rows), pa.string()), _texts_of(rows), *logs], names=["key", "gram", "logp", "logb"]))
+        trim()
+        return pa.concat_tables(out)
+
+    return run
+
+
+def kneser_ney(counts: DataFrame, most: int = MAX_MODEL) -> DataFrame:
     """(key, gram, logp, logb) of every n-gram of every order: the log probability of its last code point after the others, and
     the log of the weight that it gives lower orders as a context (null where it is none; pads are contexts only, so that their
     logp is null). counts: (lang, gram, n) of the
     highest order; key: the language behind a mark, so that none is null. One row of each language has an empty gram: logp is
-    that of a code point never seen, logb the weight of the order below all."""
+    that of a code point never seen, logb the weight of the order below all. More than `most` n-grams are joined."""
     key = F.coalesce(F.concat(F.lit("="), F.col("lang")), F.lit("null"))
-    tables = {ORDER: staged(counts.select(key.alias("key"), "gram", "n"), "grams")}
+    grams = staged(counts.select(key.alias("key"), "gram", "n"), "grams")
+    if grams.count() > most:
+        return joined_kneser_ney(grams)
+    parts = grams.groupBy("key", F.pmod(F.ascii(F.substring("gram", ORDER - 1, 1)), F.lit(PARTS)).alias("part"))
+    few = parts.applyInArrow(_part_counts, "key string, k bigint, point bigint, n1 bigint, n2 bigint, n3 bigint, n4 bigint")
+    few = few.groupBy("key", "k", "point").agg(*(F.sum(c).alias(c) for c in ("n1", "n2", "n3", "n4"))).orderBy("key", "k", "point").toArrow()
+    known, low = {}, []
+    keys = few["key"].to_numpy()
+    few = np.stack([few[c].to_numpy() for c in few.column_names[1:]]) if len(few) else np.empty((6, 0), np.int64)
+    for name, at in zip(*np.unique(keys.astype(str), return_index=True), strict=True):
+        own = few[:, at : at + int((keys == name).sum())]
+        points, n = own[1:3, own[0] == 1]
+        d = np.array(_rates(*_counts_of_counts(n)))[np.minimum(n, 3) - 1]
+        lower, weight = 1 / (len(points) + 1), d.sum() / n.sum()  # one more for all that never came
+        p = (n - d) / n.sum() + weight * lower
+        known[str(name)] = points, p, {int(k): _rates(*m) for k, _, *m in own[:, own[0] > 1].T.tolist()}
+        low.append((str(name), "", float(np.log(lower)), float(np.log(weight))))
+        low += [(str(name), chr(x), x_log, None) for x, x_log in zip(points.tolist(), np.log(p).tolist(), strict=True)]
+    spark, schema = counts.sparkSession, "key string, gram string, logp double, logb double"
+    high = parts.applyInArrow(_part_model(sent(spark.sparkContext, known)), schema)
+    out = high.union(spark.createDataFrame(low, schema)).groupBy("key", "gram")
+    return staged(out.agg(F.max("logp").alias("logp"), F.max("logb").alias("logb")), "model")
+
+
+def joined_kneser_ney(grams: DataFrame) -> DataFrame:
+    """kneser_ney() of staged (key, gram, n) by joins of the orders."""
+    tables = {ORDER: grams}
     for k in range(ORDER - 1, 0, -1):
         shorter = tables[k + 1].select("key", F.substring("gram", 2, k).alias("gram"))
         tables[k] = shorter.groupBy("key", "gram").agg(F.count(F.lit(1)).alias("n"))
@@ -222,6 +352,25 @@ class GramModel:
     def pieces(self) -> list:
         return [lambda: self]
 
+    def find(self, key: str, k: int, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(place, whether it is there) of each hash in an order: from where its first bits begin, which are as many as the
+        order needs to have one entry each, more or less."""
+        own = self.tables[key][k][0]
+        if not len(own):
+            return np.zeros(len(h), np.int64), np.zeros(len(h), bool)
+        shift = np.uint64(64 - max(1, len(own).bit_length()))
+        starts = self.__dict__.setdefault("starts", {}).get((key, k))
+        if starts is None:
+            starts = np.searchsorted(own, np.arange(1 << (64 - int(shift)), dtype=np.uint64) << shift)
+            self.starts[key, k] = starts = np.minimum(starts, len(own) - 1).astype(np.uint32)
+        at = starts[(h >> shift).astype(np.int64)].astype(np.int64)
+        behind = np.flatnonzero(own[at] < h)
+        while len(behind):
+            behind = behind[at[behind] < len(own) - 1]
+            at[behind] += 1
+            behind = behind[own[at[behind]] < h[behind]]
+        return at, own[at] == h
+
     def sums(self, key: str, texts: list[str]) -> np.ndarray:
         """Log probability of each text."""
         return text_sums(self.pieces, {key: texts})[key]
@@ -234,38 +383,45 @@ class GramModel:
             return out
         open_ = np.arange(len(grams))
         for k in range(ORDER, -1, -1):
-            h, logp, _ = self.tables[key][k]
-            ends = gram_hashes(np.ascontiguousarray(grams[open_, ORDER - k :]).ravel(), k)[::k] if k and len(open_) else np.zeros(len(open_), np.uint64)
-            at = np.minimum(np.searchsorted(h, ends), max(0, len(h) - 1))
-            found = (h[at] == ends) & ~np.isnan(logp[at]) if len(h) else np.zeros(len(open_), bool)
+            _, logp, logb = self.tables[key][k]
+            at, found = self.find(key, k, _row_hashes(grams[open_, ORDER - k :]))
+            if len(logp):
+                found &= ~np.isnan(logp[at])
             out[open_[found]] += logp[at[found]]
             open_ = open_[~found]
             if k and len(open_):
-                h, _, logb = self.tables[key][k - 1]
-                heads = gram_hashes(np.ascontiguousarray(grams[open_, ORDER - k : -1]).ravel(), k - 1)[:: k - 1] if k > 1 else np.zeros(len(open_), np.uint64)
-                at = np.minimum(np.searchsorted(h, heads), max(0, len(h) - 1))
-                known = h[at] == heads if len(h) else np.zeros(len(open_), bool)
-                out[open_[known]] += logb[at[known]]
+                at, known = self.find(key, k - 1, _row_hashes(grams[open_, ORDER - k : -1]))
+                out[open_[known]] += self.tables[key][k - 1][2][at[known]]
+        return out
+
+    def window_logs(self, key: str, points: np.ndarray, own: np.ndarray, h: np.ndarray) -> np.ndarray:
+        """logs() of the windows that start at own, with their hashes: few but the unseen need more than the highest order."""
+        if key not in self.tables:
+            return np.zeros(len(own))
+        logp = self.tables[key][ORDER][1]
+        at, found = self.find(key, ORDER, h)
+        out = logp[at].astype(np.float64) if len(logp) else np.full(len(own), np.nan)
+        left = np.flatnonzero(~found | np.isnan(out))
+        out[left] = self.logs(key, points[own[left][:, None] + np.arange(ORDER)])
         return out
 
 
 def text_sums(pieces: list, texts: dict[str, list[str]]) -> dict[str, np.ndarray]:
-    """Log probability of each text of each key; each different n-gram is looked up once, in its piece."""
+    """Log probability of each text of each key; each n-gram is looked up in its piece."""
     held = []
     for key, own_texts in texts.items():
         points, sizes = padded(own_texts)
         own = _own(sizes)
-        _, first, inverse = np.unique(gram_hashes(points, ORDER)[own], return_index=True, return_inverse=True)
-        held.append((key, sizes, points[own[first][:, None] + np.arange(ORDER)], inverse, np.zeros(len(first))))
+        held.append((key, sizes, points, own, gram_hashes(points, ORDER)[own], np.zeros(len(own))))
     for piece, get in enumerate(pieces):
         model = get()
-        for key, _, grams, _, logs in held:
-            mine = np.flatnonzero(grams[:, ORDER - 2] % len(pieces) == piece) if len(pieces) > 1 else slice(None)
-            logs[mine] = model.logs(key, grams[mine])
+        for key, _, points, own, h, logs in held:
+            mine = np.flatnonzero(points[own + ORDER - 2] % len(pieces) == piece) if len(pieces) > 1 else slice(None)
+            logs[mine] = model.window_logs(key, points, own[mine], h[mine])
         del model
     out = {}
-    for key, sizes, _, inverse, logs in held:
-        upto, ends = np.concatenate([[0.0], np.cumsum(logs[inverse])]), np.cumsum(sizes)
+    for key, sizes, *_, logs in held:
+        upto, ends = np.concatenate([[0.0], np.cumsum(logs)]), np.cumsum(sizes)
         out[key] = upto[ends] - upto[ends - sizes]
     return out
 
@@ -281,39 +437,50 @@ class SentModel:
 def fit_grams(docs: DataFrame, text: str = "text", lang: str = "lang", max_model: int = MAX_MODEL, piece: int = PIECE) -> SentModel | DataFrame:
     """The model of all documents: arrays where its counted rows are within the bound, else its table. An entry is in two
     pieces at most."""
-    model = kneser_ney(count_grams(docs, text, lang))
+    model = kneser_ney(count_grams(docs, text, lang), max_model)
     n = model.count()
     return model if n > max_model else SentModel(model, 1 if n <= piece else -(-2 * n // piece))
 
 
-def repeat_words(words: list[bytes]) -> int:
-    """Words that lie in a window of three words found at least twice."""
-    n = len(words)
-    if n < 4:
-        return 0
-    h = np.fromiter(map(hash, words), np.int64, n).view(np.uint64)
-    w = mix64(h[:-2] * np.uint64(0x9E3779B97F4A7C15) + h[1:-1]) * np.uint64(0xC2B2AE3D27D4EB4F) + h[2:]
-    order = np.argsort(w, kind="stable")
-    w = w[order]
-    same = w[1:] == w[:-1]
-    if not same.any():
-        return 0
-    twice = np.zeros(n - 2, bool)
-    twice[order[1:][same]] = True
-    twice[order[:-1][same]] = True
-    covered = np.zeros(n, bool)
+def _hashes(words: list[bytes]) -> np.ndarray:
+    return np.fromiter(map(hash, words), np.int64, len(words)).view(np.uint64)
+
+
+def repeats(texts: list[np.ndarray]) -> np.ndarray:
+    """Of each text, given as hashes of its words, the words that lie in a window of three found at least twice in it."""
+    sizes = np.fromiter(map(len, texts), np.int64, len(texts))
+    ends, n = np.cumsum(sizes), int(sizes.sum())
+    h = np.concatenate([np.empty(0, np.uint64), *texts])
+    covered, doc = np.zeros(n, bool), np.repeat(np.arange(len(texts)), sizes)
+    starts = np.flatnonzero(doc[2:] == doc[:-2]) if n > 2 else np.empty(0, np.int64)
+    w = mix64(h[starts] * np.uint64(0x9E3779B97F4A7C15) + h[starts + 1]) * np.uint64(0xC2B2AE3D27D4EB4F) + h[starts + 2]
+    w = mix64(w) + doc[starts].astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+    order = np.argsort(w)
+    same = np.flatnonzero(w[order[1:]] == w[order[:-1]])
+    twice = starts[np.concatenate([order[same], order[same + 1]])]
     for k in range(3):
-        covered[k : n - 2 + k] |= twice
-    return int(covered.sum())
+        covered[twice + k] = True
+    upto = np.concatenate([[0], np.cumsum(covered)])
+    return upto[ends] - upto[ends - sizes]
+
+
+def repeat_words(words: list[bytes]) -> int:
+    return int(repeats([_hashes(words)])[0])
+
+
+def measured(texts: list[bytes]) -> list[tuple[int, int, int, int, int]]:
+    """(n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words) of each text."""
+    out, hashes = [], []
+    for text in texts:
+        words = text.split()
+        hashes.append(_hashes(words))
+        lines = [x for x in text.split(b"\n") if x.strip()]
+        out.append((len(words), len(text.translate(None, BLANKS + TAIL_BYTES)), sum(map(text.count, _SYMBOLS)), len(lines) - len(set(lines))))
+    return [(*row, n) for row, n in zip(out, repeats(hashes).tolist(), strict=True)]
 
 
 def measures(text: bytes | None) -> tuple[int, int, int, int, int]:
-    """(n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words)."""
-    if not text:
-        return 0, 0, 0, 0, 0
-    words = text.split()
-    lines = [x for x in text.split(b"\n") if x.strip()]
-    return len(words), len(text.translate(None, BLANKS + TAIL_BYTES)), sum(map(text.count, (bytes((s,)) for s in SYMBOLS))), len(lines) - len(set(lines)), repeat_words(words)
+    return measured([text or b""])[0]
 
 
 def fails_base(n_words: int, n_repeat: int) -> bool:
@@ -348,7 +515,7 @@ def _judge(model: SentModel | None):
 
         for chunk in byte_chunks(text):
             chunk = [t or b"" for t in chunk]
-            rows += map(measures, chunk)
+            rows += measured(chunk)
             if model is not None:
                 waiting += [t.decode(errors="replace") for t in chunk]
                 if len(model.pieces) == 1 or sum(map(len, waiting)) >= WAIT:

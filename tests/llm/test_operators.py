@@ -169,6 +169,40 @@ def test_kneser_ney_by_the_definition(spark):
     assert model.sums("=xx", ["abc"])[0] == 0
 
 
+def test_model_by_parts_is_the_joined_one(spark, monkeypatch):
+    """Within the bound no order is joined with another: the driver plans some exchanges, not some seventy for 211 tasks each."""
+    import random
+
+    random.seed(9)
+    letters = "abc  étß日\U0001d4b3" + "".join(map(chr, range(0x4E00, 0x4E00 + 300)))
+    texts = ["".join(random.choices(letters, [40] * 10 + [1] * 300, k=random.randrange(0, 200))) for _ in range(60)] + ["", None, "\x02\x02a"]
+    docs = spark.createDataFrame([(t, ("en", "", None)[i % 3]) for i, t in enumerate(texts)], "text string, lang string").repartition(3)
+    rows = lambda table: {(r.key, r.gram): (r.logp, r.logb) for r in table.collect()}
+    want = rows(quality.kneser_ney(quality.count_grams(docs), most=0))
+    monkeypatch.setattr(quality, "joined_kneser_ney", None)
+    found = rows(quality.kneser_ney(quality.count_grams(docs)))
+    assert found.keys() == want.keys() and len(found) > 3000
+    for k, logs in want.items():
+        assert [x is None for x in found[k]] == [x is None for x in logs]
+        assert [x or 0 for x in found[k]] == pytest.approx([x or 0 for x in logs], rel=1e-9, abs=1e-12)
+    assert rows(quality.kneser_ney(quality.count_grams(docs.limit(0)))) == {}
+
+
+def test_repeats_stay_within_their_text():
+    """Many texts at a time give what each gives alone."""
+    texts = [b"a b c", b"a b c", b"", b"x y", b"a b c x a b c", b"b c a b c a", b"a a a a", b"q"]
+    assert [x[4] for x in quality.measured(texts)] == [quality.measures(t)[4] for t in texts] == [0, 0, 0, 0, 6, 6, 4, 0]
+
+
+def test_n_grams_of_wide_alphabets_are_counted_alike():
+    for points in (range(97, 105), range(0x4E00, 0x4E00 + 9000)):
+        text = "".join(map(chr, [*points, *points]))
+        _, n, grams = quality._tally([text, text[:50]])
+        found = {row.tobytes().decode("utf-32-le"): int(c) for row, c in zip(grams, n, strict=True)}
+        pads = quality.PAD * (quality.ORDER - 1)
+        assert found == collections.Counter((pads + t)[i : i + quality.ORDER] for t in (text, text[:50]) for i in range(len(t)))
+
+
 def test_model_in_pieces(spark, monkeypatch):
     """A model above the bound of one piece is neither joined nor shuffled: no task writes the n-grams of texts, each piece is
     less than all, and levels are those of the whole model."""
