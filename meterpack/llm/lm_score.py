@@ -1,20 +1,18 @@
-"""Stupid-backoff scores: n-gram count tables partitioned by hash, joined to the exploded n-grams, summed a document.
+"""Stupid-backoff scores: n-grams counted by hash partition, which answers every batch of documents with the counts it needs.
 
 Words, bigrams and trigrams of all texts are counted, however rare: every table grows with the input. Documents fall into two
 folds by the md5 of their text, and each is scored with the counts of the other fold, so that no document, nor its exact
 copy, vouches for itself. Costs are whole micro-nats, made of rounded logarithms of counts, so that sums do not depend on
 their order.
 
-A document pays, for every word, what it would pay if the other fold had nothing; each n-gram that the other fold does have
-corrects that by a difference. So only n-grams of both folds need a row in the table of differences, and a sum over a
-document's n-grams is all there is to do. N-grams travel packed, one row for each bucket of hashes and some million words
-(GATHER): columns of 64-bit hashes, summed or looked up a bucket at a time. N-grams above 2**-HOT_BITS of all words, which
-are 3 * 2**HOT_BITS at most by arithmetic, go to all workers instead, so that no bucket holds a long list of documents for
-one of them. Texts are read once, and kept as hashes until the end. Counting and scoring go in rounds by hash: shuffle files of
-a round go when it is written, which bounds the disk.
+Texts are read once, and kept as hashes, in batches of documents of one fold and GATHER words or some more. A batch sends its
+different n-grams with their counts, packed, one row for each bucket of hashes; the bucket adds up what all batches sent, and
+answers each batch with what the other fold has of its n-grams, in their order, so that no hash travels back. Since a batch
+holds the parts of its n-grams too, it knows all counts that its documents' costs are made of. So what travels is packed rows of
+batches, and one row a document comes out; a frequent n-gram is one entry a batch. Counting goes in rounds by hash: shuffle
+files of a round go when it is written, which bounds the disk.
 
 Two n-grams of equal 64-bit hash would be counted as one: below 1e10 different ones, three such pairs are expected at most.
-Documents are told apart by a 64-bit hash of id and text: equal rows share it and their score.
 
 Contract for odd input: a null or empty text has no words and costs nothing; rows of equal text cost the same; an empty
 table gives no rows; only the two columns named are read.
@@ -22,31 +20,32 @@ table gives no rows; only the two columns named are read.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
 from functools import reduce
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import IntegerType, LongType, StructField, StructType
 
-from meterpack.llm.common import byte_chunks, discard, sent, small_batches, staged, trim, word_hashes
+from meterpack.llm.common import byte_chunks, discard, find, small_batches, staged, starts_of, trim, word_hashes
 from meterpack.llm.decontaminate import words_of
 
-ORDERS = 3
-#: Pseudo words: the one before the first, which is counted once a text, and one whose counts are the words of a fold.
-START, ALL = 0x1E3779B97F4A7C15, 0x5555555555555555
+#: The word before the first, which is counted once a text.
+START = 0x1E3779B97F4A7C15
 BACKOFF = 0.4
 MICRO = 1_000_000
 #: Words that a task gathers in a row before it packs them.
 GATHER = 500_000
 #: Words of a bucket, more or less, and bytes taken for one.
-BUCKET_WORDS, WORD_BYTES = 1_000_000, 6
-#: Rounds in which words, bigrams and trigrams are counted, and in which all are scored.
-COUNT_ROUNDS, ROUNDS = (1, 2, 3), 4
-HOT_BITS = 20
-#: An n-gram seen so rarely is not hot, however small the table.
+BUCKET_WORDS, WORD_BYTES = 2_000_000, 6
+#: Rounds in which n-grams are counted.
+ROUNDS = 3
+#: Counts from here on, 255 at most, travel beside the bytes of the others.
 LEAST_HOT = 16
+#: What each step back costs, and a word that the other fold lacks (half a word) in place of log(count).
+STEP, HALF = round(-np.log(BACKOFF) * MICRO), round(np.log(0.5) * MICRO)
 
 
 def fold_of(text: Column) -> Column:
@@ -57,8 +56,7 @@ def _turned(x: np.ndarray, by: int) -> np.ndarray:
     return x << np.uint64(by) | x >> np.uint64(64 - by)
 
 
-#: Word hashes are mixed bits, so that turning the first part before it meets the second makes the order count, and one part
-#: and the key give the other.
+#: Word hashes are mixed bits, so that turning the first part before it meets the second makes the order count.
 TURN_WORD, TURN_BIGRAM = 1, 21
 
 
@@ -70,288 +68,199 @@ def trigram(uv: np.ndarray, vw: np.ndarray) -> np.ndarray:
     return _turned(uv, TURN_BIGRAM) ^ vw
 
 
-def _rest(gram: str, part: str, by: int) -> Column:
-    """The other part of an n-gram."""
-    return F.col(gram).bitwiseXOR(F.shiftleft(part, by).bitwiseOR(F.shiftrightunsigned(part, 64 - by)))
-
-
 def round_of(g: np.ndarray, rounds: int) -> np.ndarray:
     return (g & np.uint64(0x7FFFFFFF)) % np.uint64(rounds)
 
 
-def _round_of(gram: str) -> Column:
-    return F.pmod(F.col(gram).bitwiseAND(0x7FFFFFFF), F.lit(ROUNDS))
+def bucket_of(g: np.ndarray, buckets: int) -> np.ndarray:
+    """By the first bits, so that hashes in rising order have their buckets in rising order."""
+    return ((g >> np.uint64(32)) * np.uint64(buckets) >> np.uint64(32)).astype(np.int32)
 
 
-def bucket_of(g: np.ndarray, buckets: int) -> np.ndarray:
-    return ((g >> np.uint64(33)) % np.uint64(buckets)).astype(np.int32)
+WORDS = "batch bigint, fold int, n_texts bigint, n_words bigint, ids binary, sizes binary, vocabulary binary, places binary"
 
 
-WORDS = "keys binary, folds binary, sizes binary, vocabulary binary, places binary"
+def _boxed(ids: list[pa.Array]) -> bytes:
+    sink, table = pa.BufferOutputStream(), pa.table({"doc_id": pa.chunked_array(ids)})
+    with pa.ipc.new_stream(sink, table.schema) as out:
+        out.write_table(table)
+    return sink.getvalue().to_pybytes()
 
 
 def _gather(batches):
-    """Rows of documents (keys, folds, words of each) with GATHER words or a few more: their different words as hashes, and the
-    place there of every word. batches: (text, fold, key)."""
-    held, n = [], 0
+    """Rows of documents of one fold (ids, words of each) with GATHER words or a few more: their different words as hashes, and
+    the place there of every word. batches: (text, fold, doc_id)."""
+    held, n, made, task = ([], []), [0, 0], 0, TaskContext.get().partitionId()
 
-    def flush():
-        keys, folds, sizes, w = (np.concatenate([h[i] for h in held]) for i in range(4))
+    def flush(fold):
+        nonlocal made
+        sizes, w = (np.concatenate([h[i] for h in held[fold]]) for i in (1, 2))
         vocabulary, places = np.unique(w, return_inverse=True)
-        cells = (keys.astype("<i8"), folds, sizes.astype("<u4"), vocabulary, places.astype("<u4"))
-        return pa.RecordBatch.from_arrays([pa.array([c.tobytes()], pa.binary()) for c in cells], names=[c.split()[0] for c in WORDS.split(", ")])
+        cells = (_boxed([h[0] for h in held[fold]]), *(c.tobytes() for c in (sizes.astype("<u4"), vocabulary, places.astype("<u4"))))
+        heads = ((task << 32) + made, fold, int((sizes > 0).sum()), len(w))
+        made += 1
+        held[fold].clear()
+        n[fold] = 0
+        types = [pa.int64(), pa.int32(), pa.int64(), pa.int64(), *[pa.binary()] * 4]
+        return pa.RecordBatch.from_arrays([pa.array([c], t) for c, t in zip((*heads, *cells), types, strict=True)], names=[c.split()[0] for c in WORDS.split(", ")])
 
     for batch in batches:
-        folds, keys, at = batch.column(1).to_numpy(zero_copy_only=False).astype(np.uint8), batch.column(2).to_numpy(zero_copy_only=False), 0
+        folds, at = batch.column(1).to_numpy(zero_copy_only=False), 0
         for chunk in byte_chunks(batch.column(0)):
-            split = [words_of(t) for t in chunk]
-            sizes = np.fromiter(map(len, split), np.int64, len(split))
-            held.append((keys[at : at + len(split)], folds[at : at + len(split)], sizes, word_hashes([x for ws in split for x in ws])))
-            at += len(split)
-            n += int(sizes.sum())
-            if n >= GATHER or sum(len(h[0]) for h in held) >= 60_000:
-                yield flush()
-                held, n = [], 0
-    if held:
-        yield flush()
+            ids, own = batch.column(2).slice(at, len(chunk)), folds[at : at + len(chunk)]
+            at += len(chunk)
+            for fold in (0, 1):
+                if len(mine := np.flatnonzero(own == fold)):
+                    split = [words_of(chunk[i]) for i in mine]
+                    held[fold].append((ids.take(pa.array(mine)), np.fromiter(map(len, split), np.int64, len(split)), word_hashes([x for ws in split for x in ws])))
+                    n[fold] += len(held[fold][-1][2])
+                    if n[fold] >= GATHER or sum(len(h[1]) for h in held[fold]) >= 60_000:
+                        yield flush(fold)
+    for fold in (0, 1):
+        if held[fold]:
+            yield flush(fold)
     trim()
 
 
-def _gathered(batches) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
-    """(keys, folds, sizes, words) of each row of WORDS."""
-    for batch in batches:
-        for row in range(len(batch)):
-            keys, folds, sizes, vocabulary, places = (np.frombuffer(batch.column(i)[row].as_buffer(), k) for i, k in enumerate(("<i8", np.uint8, "<u4", np.uint64, "<u4")))
-            yield keys, folds, sizes.astype(np.int64), vocabulary[places]
+def _numbers(cell: pa.Scalar, kind: str) -> np.ndarray:
+    return np.frombuffer(cell.as_buffer(), kind)
 
 
-def _orders(sizes: np.ndarray, w: np.ndarray) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.ndarray]]:
-    """(order, place of its document, key, what tells its parts) of all n-grams: for a bigram its first word, for a trigram its
-    first bigram. The first word of a text follows START and is in no trigram."""
-    doc = np.repeat(np.arange(len(sizes), dtype=np.uint16), sizes)
+def _orders(sizes: np.ndarray, w: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(places of first words, bigrams that end at each word, places of words that end a trigram, these trigrams). The first word
+    of a text follows START and is in no trigram."""
     first = np.zeros(len(w), bool)
     first[(np.cumsum(sizes) - sizes)[sizes > 0]] = True
-    yield 1, doc, w, w
     v = np.empty_like(w)
     v[1:], v[first] = w[:-1], START
-    vw = bigram(v, w)
-    yield 2, doc, vw, v
-    later = np.flatnonzero(~first)
-    yield 3, doc[later], trigram(vw[later - 1], vw[later]), vw[later - 1]
+    vw, later = bigram(v, w), np.flatnonzero(~first)
+    return np.flatnonzero(first), vw, later, trigram(vw[later - 1], vw[later])
 
 
-def _packed(bucket: np.ndarray, columns: list[np.ndarray], extra: list[bytes]) -> pa.RecordBatch | None:
-    """One row a bucket: its number and its slice of each column as bytes. Rows are in the order of their buckets."""
-    if not len(bucket):
-        return None
-    heads = np.flatnonzero(np.concatenate([[True], bucket[1:] != bucket[:-1]]))
-    ends = [*heads[1:].tolist(), len(bucket)]
-    cells = [pa.array([c[a:z].tobytes() for a, z in zip(heads.tolist(), ends, strict=True)], pa.binary()) for c in columns]
-    return pa.RecordBatch.from_arrays([pa.array(bucket[heads]), *cells, *(pa.array([e] * len(heads), pa.binary()) for e in extra)], names=["bucket", *(f"c{i}" for i in range(len(columns) + len(extra)))])
+def _of_round(grams: list[np.ndarray], round_: int, rounds: int) -> tuple[np.ndarray, np.ndarray]:
+    """(different n-grams of a round in rising order, how often each comes)."""
+    g = np.sort(np.concatenate([x[round_of(x, rounds) == round_] for x in grams]))
+    heads = np.flatnonzero(np.concatenate([[True], g[1:] != g[:-1]])) if len(g) else np.empty(0, np.int64)
+    return g[heads], np.diff(np.append(heads, len(g)))
 
 
-def _counter(order: int, round_: int, rounds: int, buckets: int):
-    def run(batches):
-        for _, folds, sizes, w in _gathered(batches):
-            _, doc, g, part = next(x for x in _orders(sizes, w) if x[0] == order)
-            fold = folds[doc]
-            if order == 1:  # words of a fold in all, and texts as START
-                totals = np.bincount(folds, sizes, 2).astype(np.int64)
-                texts = np.bincount(folds[sizes > 0], minlength=2)
-            own = np.flatnonzero(round_of(g, rounds) == round_) if rounds > 1 else np.arange(len(g))
-            own = own[np.lexsort((g[own], bucket_of(g[own], buckets)))]
-            g, part, fold = g[own], part[own], fold[own]
-            heads = np.flatnonzero(np.concatenate([[True], g[1:] != g[:-1]])) if len(g) else np.empty(0, np.int64)
-            n1 = np.add.reduceat(fold, heads, dtype=np.uint32) if len(g) else np.empty(0, np.uint32)
-            n0 = (np.diff(np.append(heads, len(g))) - n1).astype(np.uint32)
-            g, part = g[heads], part[heads]
-            if order == 1:
-                more = np.array([ALL, START], np.uint64)
-                for key, n in zip(more, (totals, texts), strict=True):
-                    yield _packed(bucket_of(np.array([key]), buckets), [np.array([key]), np.array([key]), *(np.array([x], np.uint32) for x in n)], [])
-            out = _packed(bucket_of(g, buckets), [g, part, n0, n1], [])
-            if out is not None:
-                yield out
-        trim()
-
-    return run
-
-
-def _column(t: pa.Table, name: str, kind) -> np.ndarray:
-    return np.frombuffer(b"".join(t[name].to_pylist()), kind)
+def _short(n: np.ndarray, most: int) -> tuple[bytes, bytes]:
+    """Counts as bytes, and those that are too high for it."""
+    return np.minimum(n, most).astype(np.uint8).tobytes(), n[n >= most].astype("<u8").tobytes()
 
 
-def _summed(t: pa.Table) -> pa.Table:
-    """The n-grams of a bucket that both folds have, with their counts."""
-    g, part, n0, n1 = (_column(t, f"c{i}", k) for i, k in enumerate((np.uint64, np.uint64, np.uint32, np.uint32)))
-    order = np.argsort(g)
-    g = g[order]
-    heads = np.flatnonzero(np.concatenate([[True], g[1:] != g[:-1]]))
-    f0, f1 = (np.add.reduceat(n[order], heads, dtype=np.int64) for n in (n0, n1))
-    both = np.flatnonzero((f0 > 0) & (f1 > 0))
-    out = pa.table({"gram": g[heads[both]].view(np.int64), "part": part[order[heads[both]]].view(np.int64), "f0": f0[both], "f1": f1[both]})
-    trim()
-    return out
-
+def _long(low: np.ndarray, high: np.ndarray, most: int) -> np.ndarray:
+    n = low.astype(np.int64)
+    n[low == most] = high
+    return n
 
-def count_grams(words: DataFrame, order: int, buckets: int, rounds: int) -> list[DataFrame]:
-    """Staged tables (gram, part, f0, f1), one a round, of the n-grams of this order that both folds have."""
-    out = []
-    for r in range(rounds):
-        packed = words.mapInArrow(_counter(order, r, rounds, buckets), "bucket int, c0 binary, c1 binary, c2 binary, c3 binary")
-        out.append(staged(packed.groupBy("bucket").applyInArrow(_summed, "gram bigint, part bigint, f0 bigint, f1 bigint"), f"grams-{order}"))
-    return out
 
+SENT = "bucket int, batch bigint, fold int, grams binary, low binary, high binary"
 
-def _log(n: Column) -> Column:
-    return F.round(F.ln(n.cast("double")) * MICRO).cast("bigint")
-
-
-#: What each step back costs, and a word that the other fold lacks (half a word) in place of log(count).
-STEP, HALF = round(-np.log(BACKOFF) * MICRO), round(np.log(0.5) * MICRO)
-
-
-def differences(tables: list[list[DataFrame]]) -> tuple[DataFrame, list[int]]:
-    """(staged (gram, n, d0, d1), logarithms of the words in each fold): n is how often it comes in all, d0 what it changes for a
-    document of fold 0, which sees the counts of fold 1; d1 the other way round."""
-    words, bigrams, trigrams = (reduce(DataFrame.union, t) for t in tables)
-    totals = words.where(F.col("gram") == ALL).select(_log(F.col("f0")), _log(F.col("f1"))).first() or (0, 0)
-    words = words.where(F.col("gram") != ALL)
-    n = (F.col("f0") + F.col("f1")).alias("n")
-    one = words.where(F.col("gram") != START).select("gram", n, (F.lit(HALF) - _log(F.col("f1"))).alias("d0"), (F.lit(HALF) - _log(F.col("f0"))).alias("d1"))
-    head = words.select(F.col("gram").alias("part"), F.col("f0").alias("v0"), F.col("f1").alias("v1"))
-    last = words.select(F.col("gram").alias("rest"), F.col("f0").alias("w0"), F.col("f1").alias("w1"))
-    known = staged(bigrams.withColumn("rest", _rest("gram", "part", TURN_WORD)).join(head, "part").join(last, "rest"), "bigrams")
-
-    def of_two(f: int) -> Column:
-        return _log(F.col(f"v{f}")) - _log(F.col(f"f{f}")) - F.lit(STEP + totals[f]) + _log(F.col(f"w{f}"))
-
-    two = known.select("gram", n, of_two(1).alias("d0"), of_two(0).alias("d1"))
-    context = bigrams.select(F.col("gram").alias("part"), F.col("f0").alias("u0"), F.col("f1").alias("u1"))
-    inner = known.select(F.col("gram").alias("rest"), "v0", "v1", F.col("f0").alias("i0"), F.col("f1").alias("i1"))
-    joined = trigrams.withColumn("rest", _rest("gram", "part", TURN_BIGRAM)).join(context, "part").join(inner, "rest")
-
-    def of_three(f: int) -> Column:
-        return _log(F.col(f"u{f}")) - _log(F.col(f"f{f}")) - F.lit(STEP) - _log(F.col(f"v{f}")) + _log(F.col(f"i{f}"))
-
-    three = joined.select("gram", n, of_three(1).alias("d0"), of_three(0).alias("d1"))
-    found = staged(one.union(two).union(three), "differences")
-    discard(known, *(t for order in tables for t in order))
-    return found, list(totals)
 
+def _sender(round_: int, rounds: int, buckets: int, most: int):
+    def run(batches):
+        for batch in batches:
+            for row in batch.to_pylist():
+                sizes, w = np.frombuffer(row["sizes"], "<u4").astype(np.int64), np.frombuffer(row["vocabulary"], np.uint64)[np.frombuffer(row["places"], "<u4")]
+                _, two, _, three = _orders(sizes, w)
+                g, n = _of_round([w, two, three], round_, rounds)
+                bucket = bucket_of(g, buckets)
+                ends = [0, *(np.flatnonzero(bucket[1:] != bucket[:-1]) + 1).tolist(), len(g)]
+                out = [(int(bucket[a]), row["batch"], row["fold"], g[a:z].tobytes(), *_short(n[a:z], most)) for a, z in zip(ends, ends[1:], strict=False) if z > a]
+                if out:
+                    yield pa.RecordBatch.from_pylist([dict(zip(SENT_TYPES.names, x, strict=True)) for x in out], schema=SENT_TYPES)
+        trim()
 
-class Hot:
-    """Differences of frequent n-grams: sorted hashes, and a column for each fold."""
+    return run
 
-    def __init__(self, rows: list) -> None:
-        order = np.argsort(grams := np.array([r.gram for r in rows], np.int64).view(np.uint64))
-        self.grams = grams[order]
-        self.costs = np.array([(r.d0, r.d1) for r in rows], np.int64).reshape(-1, 2)[order].T
 
-    def find(self, g: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """(where each is, whether it is there)."""
-        if not len(self.grams):
-            return np.zeros(len(g), np.int64), np.zeros(len(g), bool)
-        at = np.minimum(np.searchsorted(self.grams, g), len(self.grams) - 1)
-        return at, self.grams[at] == g
+SENT_TYPES = pa.schema([("bucket", pa.int32()), ("batch", pa.int64()), ("fold", pa.int32()), ("grams", pa.binary()), ("low", pa.binary()), ("high", pa.binary())])
+ANSWERS = "batch bigint, round int, bucket int, low binary, high binary"
+ANSWER_TYPES = pa.schema([("batch", pa.int64()), ("round", pa.int32()), ("bucket", pa.int32()), ("low", pa.binary()), ("high", pa.binary())])
+
+
+def _answerer(round_: int, most: int):
+    """For each row that came to a bucket, how often the other fold has each of its n-grams."""
+
+    def run(t: pa.Table) -> pa.Table:
+        folds, sent_ = t["fold"].to_numpy(), [(_numbers(g, "<u8"), _long(_numbers(a, np.uint8), _numbers(b, "<u8"), most)) for g, a, b in zip(t["grams"], t["low"], t["high"], strict=True)]
+        sizes = np.array([len(g) for g, _ in sent_])
+        g, n = (np.concatenate([x[i] for x in sent_]) for i in (0, 1))
+        order = np.argsort(g)
+        g, n, fold = g[order], n[order], np.repeat(folds, sizes)[order]
+        heads = np.flatnonzero(np.concatenate([[True], g[1:] != g[:-1]]))
+        ones = np.add.reduceat(n * fold, heads)
+        runs = np.diff(np.append(heads, len(g)))
+        every = np.add.reduceat(n, heads)
+        other = np.where(fold == 0, np.repeat(ones, runs), np.repeat(every - ones, runs))
+        answer = np.empty(len(g), np.int64)
+        answer[order] = other
+        ends = np.cumsum(sizes)
+        low, high = zip(*(_short(answer[a:z], most) for a, z in zip(ends - sizes, ends, strict=True)), strict=True)
+        trim()
+        return pa.table([t["batch"], pa.array([round_] * len(t), pa.int32()), t["bucket"], pa.array(low, pa.binary()), pa.array(high, pa.binary())], schema=ANSWER_TYPES)
 
+    return run
 
-def _exploder(hot, totals: list[int], round_: int, rounds: int, buckets: int):
-    """Each n-gram of a document once, with its number, to its bucket: (hashes, places of documents, numbers, fold; the keys of
-    the documents). Frequent ones are summed here, and these sums travel as rows without hashes; in round 0 they hold what
-    a document pays anyway, and its words."""
-    names = "bucket int, c0 binary, c1 binary, c2 binary, c3 binary, c4 binary"
 
-    def run(batches):
-        table = hot()
-        for keys, folds, sizes, w in _gathered(batches):
-            tag = keys.astype("<i8").tobytes()
-            cost, counts = np.zeros((2, len(sizes)), np.int64)
-            if round_ == 0:
-                counts = sizes
-                cost = np.where(sizes > 0, (2 * sizes - 1) * STEP + sizes * (np.array(totals)[1 - folds.astype(np.int64)] - HALF), 0)
-            parts = []
-            for _, doc, g, _ in _orders(sizes, w):
-                if rounds > 1:
-                    own = round_of(g, rounds) == round_
-                    g, doc = g[own], doc[own]
-                order = np.argsort(g, kind="stable")
-                g, doc = g[order], doc[order]
-                heads = np.flatnonzero(np.concatenate([[True], (g[1:] != g[:-1]) | (doc[1:] != doc[:-1])])) if len(g) else np.empty(0, np.int64)
-                n = np.diff(np.append(heads, len(g)))
-                g, doc = g[heads], doc[heads]
-                at, found = table.find(g)
-                if found.any():
-                    d = table.costs[folds[doc[found]], at[found]] * n[found]
-                    cost = cost + np.bincount(doc[found], d, len(sizes)).astype(np.int64)
-                rare = ~found
-                parts.append((g[rare], doc[rare], n[rare].astype(np.uint32)))
-            g, doc, n = (np.concatenate([p[i] for p in parts]) for i in range(3))
-            bucket = bucket_of(g, buckets)
-            order = np.argsort(bucket, kind="stable")
-            g, doc, n = g[order], doc[order], n[order]
-            out = _packed(bucket[order], [g, doc, n, folds[doc]], [tag])
-            if out is not None:
-                yield out
-            if len(keys):
-                sums = np.stack([cost, counts]).astype("<i8").tobytes()
-                home = bucket_of(keys[:1].view(np.uint64), buckets)
-                yield pa.RecordBatch.from_arrays([pa.array(home), *(pa.array([x], pa.binary()) for x in (b"", sums, b"", b"", tag))], names=[c.split()[0] for c in names.split(", ")])
+def _log(n: np.ndarray) -> np.ndarray:
+    return np.rint(np.log(np.maximum(n, 1)) * MICRO).astype(np.int64)
+
+
+def _scorer(texts: list[int], logs: list[int], rounds: int, most: int):
+    """(doc_id, fold, n_tokens, cost) of a batch's documents. texts: of each fold; logs: of the words of each."""
+
+    def run(words: pa.Table, answers: pa.Table) -> pa.Table:
+        answers, out = answers.sort_by([("round", "ascending"), ("bucket", "ascending")]), []
+        n = _long(*(np.frombuffer(b"".join(answers[c].to_pylist()), kind) for c, kind in (("low", np.uint8), ("high", "<u8"))), most)
+        for row in words.to_pylist():
+            sizes, vocabulary, places = (np.frombuffer(row[c], k) for c, k in (("sizes", "<u4"), ("vocabulary", np.uint64), ("places", "<u4")))
+            sizes, w, other = sizes.astype(np.int64), vocabulary[places], 1 - row["fold"]
+            first, two, later, three = _orders(sizes, w)
+            grams = np.concatenate([_of_round([w, two, three], r, rounds)[0] for r in range(rounds)])
+            order = np.flatnonzero(n)
+            order = order[np.argsort(grams[order])]
+            grams, counts = grams[order], n[order]
+            starts = starts_of(grams)
+
+            def found(g):
+                at, there = find(grams, starts, g)  # noqa: B023
+                return (_log(counts[at]) if len(counts) else np.zeros(len(g), np.int64)), there  # noqa: B023
+
+            (one, has_one), (l2, has_two), (l3, has_three) = found(vocabulary), found(two), found(three)
+            l1, has_one = one[places], has_one[places]
+            lv = np.empty_like(l1)
+            lv[1:], lv[first] = l1[:-1], _log(np.array([texts[other]]))[0]
+            cost = np.full(len(w), 2 * STEP + logs[other] - HALF, np.int64)
+            cost[first] -= STEP
+            cost += np.where(has_one, HALF - l1, 0) + np.where(has_two, lv - l2 - STEP - logs[other] + l1, 0)
+            cost[later] += np.where(has_three, l2[later - 1] - l3 - STEP - lv[later] + l2[later], 0)
+            upto, ends = np.concatenate([[0], np.cumsum(cost)]), np.cumsum(sizes)
+            ids = pa.ipc.open_stream(row["ids"]).read_all()["doc_id"]
+            out.append(pa.table({"doc_id": ids, "fold": pa.array([row["fold"]] * len(ids), pa.int32()), "n_tokens": sizes, "cost": upto[ends] - upto[ends - sizes]}))
         trim()
+        return pa.concat_tables(out)
 
-    return run, names
-
-
-def _scored(packed: pa.Table, table: pa.Table) -> pa.Table:
-    """(key, cost, n_tokens, copies) of a bucket, a row for each document and batch."""
-    rows = zip(*(packed[f"c{i}"].to_pylist() for i in range(5)), strict=True)
-    order = np.argsort(grams := table["gram"].to_numpy().view(np.uint64))
-    grams, costs = grams[order], np.stack([table[c].to_numpy()[order] for c in ("d0", "d1")])
-    keys, sums = [], []
-    for g, doc, n, fold, tag in rows:
-        tag = np.frombuffer(tag, "<i8")
-        if not g:
-            keys.append(tag)
-            sums.append(np.concatenate([np.frombuffer(doc, "<i8").reshape(2, -1), np.ones((1, len(tag)), np.int64)]))
-            continue
-        g = np.frombuffer(g, np.uint64)
-        if not len(grams):
-            continue
-        at = np.minimum(np.searchsorted(grams, g), len(grams) - 1)
-        own = np.flatnonzero(grams[at] == g)
-        doc, n, fold = (np.frombuffer(x, k)[own] for x, k in ((doc, np.uint16), (n, np.uint32), (fold, np.uint8)))
-        total = np.bincount(doc, costs[fold, at[own]] * n, len(tag)).astype(np.int64)
-        seen = np.flatnonzero(total)
-        keys.append(tag[seen])
-        sums.append(np.stack([total[seen], np.zeros(len(seen), np.int64), np.zeros(len(seen), np.int64)]))
-    key = np.concatenate(keys) if keys else np.empty(0, np.int64)
-    cost, n, copies = np.concatenate(sums, 1) if sums else np.empty((3, 0), np.int64)
-    out = pa.table({"key": key, "cost": cost, "n_tokens": n, "copies": copies}).group_by("key").aggregate([("cost", "sum"), ("n_tokens", "sum"), ("copies", "sum")])
-    trim()
-    return out.select(["key", "cost_sum", "n_tokens_sum", "copies_sum"]).rename_columns(["key", "cost", "n_tokens", "copies"])
+    return run
 
 
 def score_documents(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """One row a document: doc_id, fold, n_tokens, cost (micro-nats), nats_per_token."""
-    spark = docs.sparkSession
-    small_batches(spark)
-    key = F.xxhash64(F.coalesce(F.col(doc_id).cast("string"), F.lit("null")), F.coalesce(F.col(text), F.lit("")))
-    rows = docs.select(F.col(text).alias("text"), fold_of(F.col(text)).alias("fold"), key.alias("key"), F.col(doc_id).alias("doc_id"))
-    size = docs.agg(F.coalesce(F.sum(F.octet_length(text)), F.lit(0))).first()[0]
-    buckets = max(1, round(size / WORD_BYTES / BUCKET_WORDS))
-    words = staged(rows.select("text", "fold", "key").mapInArrow(_gather, WORDS), "words")
-    found, totals = differences([count_grams(words, order, buckets, n) for order, n in enumerate(COUNT_ROUNDS, 1)])
-    hot_from = max(LEAST_HOT, round(size / WORD_BYTES) >> HOT_BITS)
-    hot = sent(spark.sparkContext, Hot(found.where(F.col("n") >= hot_from).select("gram", "d0", "d1").collect()))
-    rare = found.where(F.col("n") < hot_from).select(F.pmod(F.shiftrightunsigned("gram", 33), F.lit(buckets)).cast("int").alias("bucket"), "gram", "d0", "d1")
-    sums = []
+    small_batches(docs.sparkSession)
+    rows = docs.select(F.col(text).alias("text"), fold_of(F.col(text)).alias("fold"), F.col(doc_id).alias("doc_id"))
+    words = staged(rows.mapInArrow(_gather, WORDS), "words")
+    sums = {r.fold: r for r in words.groupBy("fold").agg(F.sum("n_texts").alias("texts"), F.sum("n_words").alias("words")).collect()}
+    texts, totals = ([int(sums[f][c]) if f in sums else 0 for f in (0, 1)] for c in ("texts", "words"))
+    logs = _log(np.array(totals)).tolist() if all(totals) else [0, 0]
+    buckets = max(1, round(sum(totals) / BUCKET_WORDS))
+    answers, most = [], min(LEAST_HOT, 255)
     for r in range(ROUNDS):
-        run, names = _exploder(hot, totals, r, ROUNDS, buckets)
-        own = rare.where(_round_of("gram") == r)
-        scored = words.mapInArrow(run, names).groupBy("bucket").cogroup(own.groupBy("bucket")).applyInArrow(_scored, "key bigint, cost bigint, n_tokens bigint, copies bigint")
-        sums.append(staged(scored.groupBy("key").agg(*(F.sum(c).alias(c) for c in ("cost", "n_tokens", "copies"))), "sums"))
-    discard(words, found)
-    sums = reduce(DataFrame.union, sums).groupBy("key").agg(*(F.sum(c).alias(c) for c in ("cost", "n_tokens", "copies")))
-    each = lambda c: F.expr(f"{c} div (copies div {ROUNDS})").alias(c)
-    out = rows.select("doc_id", "fold", "key").join(sums, "key").select("doc_id", "fold", each("n_tokens"), each("cost"))
+        asked = words.mapInArrow(_sender(r, ROUNDS, buckets, most), SENT)
+        answers.append(staged(asked.groupBy("bucket").applyInArrow(_answerer(r, most), ANSWERS), "answers"))
+    schema = StructType([StructField("doc_id", rows.schema["doc_id"].dataType), StructField("fold", IntegerType()), StructField("n_tokens", LongType()), StructField("cost", LongType())])
+    own, known = words.select("batch", "fold", "ids", "sizes", "vocabulary", "places"), reduce(DataFrame.union, answers)
+    scored = own.groupBy("batch").cogroup(known.groupBy("batch")).applyInArrow(_scorer(texts, logs, ROUNDS, most), schema)
+    out = staged(scored, "scores")
+    discard(words, *answers)
     return out.withColumn("nats_per_token", F.when(F.col("n_tokens") > 0, F.round(F.col("cost") / F.col("n_tokens") / MICRO, 6)))

@@ -29,7 +29,7 @@ import pyarrow.compute
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from meterpack.llm.common import BLANKS, TAIL_BYTES, byte_chunks, mix64, sent, small_batches, staged, text_chunks, trim
+from meterpack.llm.common import BLANKS, TAIL_BYTES, byte_chunks, find, mix64, sent, small_batches, staged, starts_of, text_chunks, trim
 
 SYMBOLS = b"#*$%&|<>"
 _SYMBOLS = [bytes((s,)) for s in SYMBOLS]
@@ -353,23 +353,11 @@ class GramModel:
         return [lambda: self]
 
     def find(self, key: str, k: int, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """(place, whether it is there) of each hash in an order: from where its first bits begin, which are as many as the
-        order needs to have one entry each, more or less."""
-        own = self.tables[key][k][0]
-        if not len(own):
-            return np.zeros(len(h), np.int64), np.zeros(len(h), bool)
-        shift = np.uint64(64 - max(1, len(own).bit_length()))
-        starts = self.__dict__.setdefault("starts", {}).get((key, k))
-        if starts is None:
-            starts = np.searchsorted(own, np.arange(1 << (64 - int(shift)), dtype=np.uint64) << shift)
-            self.starts[key, k] = starts = np.minimum(starts, len(own) - 1).astype(np.uint32)
-        at = starts[(h >> shift).astype(np.int64)].astype(np.int64)
-        behind = np.flatnonzero(own[at] < h)
-        while len(behind):
-            behind = behind[at[behind] < len(own) - 1]
-            at[behind] += 1
-            behind = behind[own[at[behind]] < h[behind]]
-        return at, own[at] == h
+        """(place, whether it is there) of each hash in an order."""
+        own, starts = self.tables[key][k][0], self.__dict__.setdefault("starts", {})
+        if (key, k) not in starts:
+            starts[key, k] = starts_of(own)
+        return find(own, starts[key, k], h)
 
     def sums(self, key: str, texts: list[str]) -> np.ndarray:
         """Log probability of each text."""

@@ -460,6 +460,21 @@ def test_lm_costs_by_the_definition(spark, monkeypatch, gather, bucket_words, le
     assert found == collections.Counter((i, *w) for i, w in zip([*range(len(texts)), 7, None], want, strict=True))
 
 
+def test_lm_rows_do_not_grow_with_buckets(spark, monkeypatch):
+    """What is written is packed by batch and bucket, and one row a document: no row for an n-gram, nor for a document and bucket."""
+    import random
+
+    random.seed(4)
+    monkeypatch.setattr(lm_score, "BUCKET_WORDS", 500)
+    made, plain = [], lm_score.staged
+    monkeypatch.setattr(lm_score, "staged", lambda df, name: made.append((name, (out := plain(df, name)).count())) or out)
+    texts = [" ".join(f"w{random.randrange(200)}" for _ in range(60)) for _ in range(200)]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id int, text string").coalesce(1)
+    assert lm_score.score_documents(docs).count() == len(texts)
+    batches, buckets = 2, len(texts) * 60 // 500
+    assert all(n <= max(len(texts), batches * buckets) for _, n in made), made
+
+
 def test_private_keys_are_told_apart_by_body(spark):
     """Four owners, a key each, and one key that all have: the header is the same everywhere."""
     head, end = "-----BEGIN RSA PRIVATE KEY-----", "-----END RSA PRIVATE KEY-----"
