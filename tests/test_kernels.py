@@ -194,3 +194,47 @@ def test_configurations_share_a_group():
     assert sorted(map(str, both)) == sorted(str(r) for c in cfgs for r in pack_batch(1, 0, rows, c))
     with pytest.raises(ValueError):
         pack_batch(1, 0, rows, Config(k=2), Config(k=3))
+
+
+def test_coding_in_step_is_coding_one_by_one():
+    """Many blocks at once give the bytes that each gives alone, also where they differ in length and have escaped symbols."""
+    from meterpack.kernels import arith
+
+    rng = np.random.default_rng(3)
+    blocks = [rng.integers(0, top, n) for n in (0, 1, 2, 40, 511, 512, 513, 1500) for top in (1, 2, 300, 70000)]
+    blocks += [np.where(rng.random(1440) < 0.05, rng.integers(0, 60000, 1440), 0) for _ in range(20)] + [np.array([0] * 900 + [9**9, -(9**9)])]
+    assert arith.ac_encode_many(blocks) == [ac_encode(x) for x in blocks]
+    assert arith.gaussian_encode_many(blocks) == [gaussian_encode(x) for x in blocks]
+    for x, (payload, model) in zip(blocks, arith.ac_encode_many(blocks), strict=True):
+        same(ac_decode(payload, model)[0], x)
+
+
+def test_larger_before_and_rotations_of_long_blocks():
+    from meterpack.kernels.bwt import rotation_order
+    from meterpack.kernels.mtf import larger_before
+
+    rng = np.random.default_rng(4)
+    for n in (1, 2, 3, 255, 256, 257, 1000):
+        x = rng.permutation(n)
+        same(larger_before(x), [(x[:i] > v).sum() for i, v in enumerate(x)])
+    x = rng.permutation((1 << 18) + 999)
+    found = larger_before(x)
+    for i in (1, 5000, 1 << 17, 1 << 18, len(x) - 1):
+        assert found[i] == (x[:i] > x[i]).sum()
+    for x in (np.tile([3, 1, 2], 7), np.zeros(9, np.int64), rng.integers(0, 2, 300)):
+        same(rotation_order(x), sorted(range(len(x)), key=lambda i: (np.roll(x, -i).tolist(), i)))
+
+
+def test_lloyd_with_kept_sums_is_lloyd():
+    rng = np.random.default_rng(5)
+    x = rng.integers(0, 65536, (300, 20)).astype(float)
+    labels, centers, _, _ = lloyd(x, x[seeds(x, np.arange(300), 6, 42)])
+    same(centers, np.stack([x[labels == c].mean(0) for c in range(6)]))
+
+
+def test_grid_blocks_are_the_blocks_of_the_grid(spark, sf):
+    from meterpack.sources import carriers as C
+
+    for length in (256, 1440, 1000):
+        row = lambda r: (r.stream_id, r.block_no, r.n_readings, tuple(r.readings))
+        assert sorted(map(row, C.grid_blocks(spark, sf, length).collect())) == sorted(map(row, C.blocks(C.meter_grid(spark, sf), length).collect()))
