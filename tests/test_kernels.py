@@ -238,3 +238,13 @@ def test_grid_blocks_are_the_blocks_of_the_grid(spark, sf):
     for length in (256, 1440, 1000):
         row = lambda r: (r.stream_id, r.block_no, r.n_readings, tuple(r.readings))
         assert sorted(map(row, C.grid_blocks(spark, sf, length).collect())) == sorted(map(row, C.blocks(C.meter_grid(spark, sf), length).collect()))
+
+
+def test_batches_packed_together_are_batches_packed_alone():
+    from meterpack.plans.recompress import pack_batch, pack_batches
+
+    rng = np.random.default_rng(6)
+    row = lambda i: {"stream_id": i, "coder": "identity", "n_readings": 30, "n_bits": 480, "mu": 0, "sigma": 0, "first": 0, "words": rng.integers(0, 9, 30).astype(np.int32)}
+    cfgs = tuple(Config(k=2, rle=rle) for rle in ("static", "dynamic"))
+    batches = [(b, 0, [row(8 * b + i) for i in range(8)], cfgs) for b in range(20)]
+    assert list(pack_batches(batches)) == [r for b, w, rows, c in batches for r in pack_batch(b, w, rows, *c)]
